@@ -42,4 +42,4 @@ def byte_text(text: Column) -> Column:
     number of continuation bytes after a lead byte still tells which of both it was.  So this
     is "lower-case A-Z only" for comparing, hashing and ASCII patterns, at the speed of lower().
     """
-    return F.lower(F.decode(text.cast("binary"), F.lit("ISO-8859-1")))
+    return F.lower(F.decode(text.cast("binary"), "ISO-8859-1"))

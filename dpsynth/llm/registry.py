@@ -6,17 +6,38 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from dpsynth.llm import bpe
+from dpsynth.llm import bpe, langid, linededup, simhash
 from dpsynth.llm.common import table
 
 
+def op2_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return langid.predict_languages(table(spark, sf_dir, "documents"))
+
+
+def op6_simhash_components(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return simhash.component_digests(table(spark, sf_dir, "documents"))
+
+
+def op7_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return linededup.line_digests(table(spark, sf_dir, "documents"))
+
+
 def op10_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.encode_digests(table(spark, sf_dir, "documents"))
 
 
+#: Every operator query: its function and its DuckDB twin, if SQL can express it.
+REGISTERED: dict[str, tuple[Callable[[SparkSession, str], DataFrame], str | None]] = {
+    "op2_language_id": (op2_language_id, None),
+    "op6_simhash_components": (op6_simhash_components, None),
+    "op7_line_dedup": (op7_line_dedup, linededup.ORACLE),
+    "op10_byte_bpe": (op10_byte_bpe, None),
+}
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {"op10_byte_bpe": op10_byte_bpe}
+    return {name: run for name, (run, _) in REGISTERED.items()}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {name: sql for name, (_, sql) in REGISTERED.items() if sql}
