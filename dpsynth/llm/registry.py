@@ -6,14 +6,25 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from dpsynth.llm import bpe, langid, linededup, simhash
+from dpsynth.llm import bpe, chat, fmindex, langid, licences, linededup, simhash
 from dpsynth.llm.common import table
 
 
+def op1_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
+    turns = table(spark, sf_dir, "conversations", "conv_id", "turn", "role", "text")
+    said = "</s>[INST] ok [/INST]"
+    probe = spark.createDataFrame([(-7, 0, "user", said), (-7, 1, "assistant", said)], "conv_id long, turn long, role string, text string")
+    return chat.chat_digests(turns.unionByName(probe))
+
+
 def op2_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     return langid.predict_languages(table(spark, sf_dir, "documents"))
 
 
+def op5_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return fmindex.contamination_digests(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
 def op6_simhash_components(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.component_digests(table(spark, sf_dir, "documents"))
 
@@ -22,15 +33,22 @@ def op7_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return linededup.line_digests(table(spark, sf_dir, "documents"))
 
 
+def op8_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return licences.scan(table(spark, sf_dir, "documents"))
+
+
 def op10_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.encode_digests(table(spark, sf_dir, "documents"))
 
 
 #: Every operator query: its function and its DuckDB twin, if SQL can express it.
 REGISTERED: dict[str, tuple[Callable[[SparkSession, str], DataFrame], str | None]] = {
+    "op1_chat_format": (op1_chat_format, chat.ORACLE),
     "op2_language_id": (op2_language_id, None),
+    "op5_decontaminate": (op5_decontaminate, fmindex.ORACLE),
     "op6_simhash_components": (op6_simhash_components, None),
     "op7_line_dedup": (op7_line_dedup, linededup.ORACLE),
+    "op8_license_scan": (op8_license_scan, None),
     "op10_byte_bpe": (op10_byte_bpe, None),
 }
 
