@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from dpsynth.llm import bpe, chat, fmindex, langid, licences, linededup, simhash
+from dpsynth.llm import backoff, bpe, chat, fmindex, langid, licences, linededup, quality, simhash
 from dpsynth.llm.common import table
 
 
@@ -21,6 +21,14 @@ def op2_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     return langid.predict_languages(table(spark, sf_dir, "documents"))
 
 
+def op3_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality.judge(table(spark, sf_dir, "documents")).drop("grp", "distance")
+
+
+def op4_backoff_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return backoff.score_documents(table(spark, sf_dir, "documents"))
+
+
 def op5_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     return fmindex.contamination_digests(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
 
@@ -45,6 +53,8 @@ def op10_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
 REGISTERED: dict[str, tuple[Callable[[SparkSession, str], DataFrame], str | None]] = {
     "op1_chat_format": (op1_chat_format, chat.ORACLE),
     "op2_language_id": (op2_language_id, None),
+    "op3_quality_rules": (op3_quality_rules, None),
+    "op4_backoff_scores": (op4_backoff_scores, backoff.ORACLE),
     "op5_decontaminate": (op5_decontaminate, fmindex.ORACLE),
     "op6_simhash_components": (op6_simhash_components, None),
     "op7_line_dedup": (op7_line_dedup, linededup.ORACLE),
