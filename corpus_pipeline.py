@@ -1,19 +1,59 @@
-"""The corpus pipeline: operators of dpsynth.llm as stages over the documents table."""
+"""The corpus pipeline: operators of dpsynth.llm as stages over the documents table.
+
+Each stage takes (spark, docs, sf_dir) and works on all that its predecessor kept; run() chains
+them.  All stages but the last return the columns of documents.
+"""
 
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from dpsynth.llm import bpe
+from dpsynth.llm import bpe, fmindex, langid, linededup, simhash
 from dpsynth.llm.common import table
 
+#: Documents below this score, and those without a letter, are rejected.
+MIN_LANG_SCORE = 0.5
+
+
+def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Stage 1: documents whose language can be told.  Without any labelled text all stay."""
+    model = langid.train(docs)
+    if not model.langs:
+        return docs
+    return langid.identify(docs, model).where(F.col("score") >= MIN_LANG_SCORE).select(*docs.columns)
+
+
+def dedup_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Stage 2: lines that ten or more documents share go; n_chars follows the text."""
+    kept = linededup.dedup_lines(docs)
+    return kept.withColumn("n_chars", F.length("text").cast(docs.schema["n_chars"].dataType)).select(*docs.columns)
+
+
+def dedup_documents(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Stage 3: one document of each SimHash component stays."""
+    return simhash.keep_one(docs)
+
+
+def decontaminate(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Stage 4: documents with a passage of the benchmark go."""
+    return fmindex.clean_documents(docs, table(spark, sf_dir, "benchmark"))
+
 
 def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Stage 5: the tokens of every text that is left."""
+    """Stage 5: every text that is left, with its token ids."""
     return bpe.encode_documents(docs)
 
 
-STAGES = [("byte-level BPE", encode)]
+STAGES = [
+    ("language ID", identify_language),
+    ("line dedup", dedup_lines),
+    ("SimHash near-dedup", dedup_documents),
+    ("benchmark decontamination", decontaminate),
+    ("byte-level BPE", encode),
+]
+
+#: SQL has no XXH64 fingerprints, no naive Bayes and no byte-pair encoding; tests compare with a brute-force version.
 ORACLE_SQL = None
 
 
