@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from dpsynth.llm import backoff, bpe, chat, fmindex, langid, licences, linededup, quality, simhash
+from dpsynth.llm import backoff, bpe, chat, fmindex, langid, licences, linededup, pii, quality, simhash
 from dpsynth.llm.common import table
 
 
@@ -45,6 +45,10 @@ def op8_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return licences.scan(table(spark, sf_dir, "documents"))
 
 
+def op9_personal_data(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pii.find(table(spark, sf_dir, "documents"))
+
+
 def op10_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.encode_digests(table(spark, sf_dir, "documents"))
 
@@ -59,6 +63,7 @@ REGISTERED: dict[str, tuple[Callable[[SparkSession, str], DataFrame], str | None
     "op6_simhash_components": (op6_simhash_components, None),
     "op7_line_dedup": (op7_line_dedup, linededup.ORACLE),
     "op8_license_scan": (op8_license_scan, None),
+    "op9_personal_data": (op9_personal_data, None),
     "op10_byte_bpe": (op10_byte_bpe, None),
 }
 
