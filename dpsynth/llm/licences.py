@@ -56,14 +56,16 @@ def phrase_mask(notice: str, phrase: str) -> int:
 
 
 def word_places(docs: DataFrame) -> DataFrame:
-    """doc_id, row_hash, n_words and hits: array<struct<p, w>>, the places of index words.
+    """doc_id, row_hash, n_words, hits: array<struct<p, w>> (the places of index words), and seen:
+    the distinct words among them.
 
     The only step that reads texts; cut behind here, as the hits are used several times.
     """
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
     words = F.regexp_extract_all(byte_text(F.col("text")), F.lit("[0-9a-z\\x{80}-\\x{ff}]+"), F.lit(0))
     places = F.filter(F.transform(words, lambda w, i: F.when(w.isin(VOCABULARY), F.struct(i.alias("p"), w.alias("w")))), lambda x: x.isNotNull())
-    return cut(rows.select("doc_id", F.xxhash64("text").alias("row_hash"), F.size(words).cast("long").alias("n_words"), places.alias("hits")))
+    found = rows.select("doc_id", F.xxhash64("text").alias("row_hash"), F.size(words).cast("long").alias("n_words"), places.alias("hits"))
+    return cut(found.withColumn("seen", F.array_distinct(F.transform("hits", lambda x: x["w"]))))
 
 
 def base_places(hits: Column) -> Column:
@@ -91,17 +93,19 @@ def alignments(places: DataFrame, rare_words: int = RARE_WORDS) -> DataFrame:
     word of the fixed vocabulary.
     """
     spark = places.sparkSession
-    seen = {r["w"]: r["n"] for r in places.select(F.explode(F.array_distinct(F.transform("hits", lambda x: x["w"]))).alias("w")).groupBy("w").agg(F.count("*").alias("n")).collect()}
+    seen = {r["w"]: r["n"] for r in places.select(F.explode("seen").alias("w")).groupBy("w").agg(F.count("*").alias("n")).collect()}
     total = sum(seen.values()) + 1
     idf = {w: math.log(total / (1 + seen.get(w, 0))) for w in VOCABULARY}
-    posts = F.broadcast(spark.createDataFrame([(w, t, i, idf[w]) for w, t, i in POSTINGS], "w string, label string, q int, idf double"))
+    posts = F.broadcast(spark.createDataFrame(POSTINGS, "w string, label string, q int"))
     order = {w: i for i, w in enumerate(sorted(VOCABULARY, key=lambda w: (-idf[w], w)))}
-    rank = F.create_map(*[F.lit(x) for kv in order.items() for x in kv])
+    # a template that lacks a word of its mandatory phrases cannot be in the file: most files end here
+    must = F.array(*[F.struct(F.lit(t).alias("label"), F.array(*[F.lit(w) for w in sorted({w for p in must for w in p.split()})]).alias("words")) for t, (_, must) in TEMPLATES.items()])
+    alive = places.where(F.size("seen") > 0).withColumn("alive", F.transform(F.filter(must, lambda t: F.size(F.array_except(t["words"], F.col("seen"))) == 0), lambda t: t["label"])).where(F.size("alive") > 0)
     # the file's rarest words: ranks are distinct, so the smallest few are a threshold
-    ranks = F.array_sort(F.array_distinct(F.transform("hits", lambda x: F.element_at(rank, x["w"]))))
-    rare = places.where(F.size("hits") > 0).select("doc_id", "row_hash", "hits", F.element_at(F.slice(ranks, 1, rare_words), -1).alias("limit"))
-    each = rare.select("doc_id", "row_hash", "limit", F.explode("hits").alias("x")).select("doc_id", "row_hash", F.col("x.p").alias("p"), F.col("x.w").alias("w"), (F.element_at(rank, F.col("x.w")) <= F.col("limit")).alias("is_rare"))
-    aligned = each.join(posts, "w").groupBy("doc_id", "row_hash", "label", (F.col("p") - F.col("q")).alias("offset")).agg(F.bit_or(F.expr("shiftleft(1L, q)")).alias("mask"), F.max("is_rare").alias("by_rare"))
+    rank = F.create_map(*[F.lit(x) for kv in order.items() for x in kv])
+    ranks = F.array_sort(F.transform("seen", lambda w: F.element_at(rank, w)))
+    each = alive.select("doc_id", "row_hash", "alive", F.element_at(F.slice(ranks, 1, rare_words), -1).alias("limit"), F.explode("hits").alias("x")).select("doc_id", "row_hash", "alive", F.col("x.p").alias("p"), F.col("x.w").alias("w"), (F.element_at(rank, F.col("x.w")) <= F.col("limit")).alias("is_rare"))
+    aligned = each.join(posts, "w").where(F.array_contains("alive", F.col("label"))).groupBy("doc_id", "row_hash", "label", (F.col("p") - F.col("q")).alias("offset")).agg(F.bit_or(F.expr("shiftleft(1L, q)")).alias("mask"), F.max("is_rare").alias("by_rare"))
     rules = F.broadcast(spark.createDataFrame([(t, len(n.split()), [phrase_mask(n, p) for p in must]) for t, (n, must) in TEMPLATES.items()], "label string, size int, must array<long>"))
     share = F.bit_count("mask") / F.col("size")
     whole = F.forall("must", lambda m: m.bitwiseAND(F.col("mask")) == m)
