@@ -16,6 +16,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from dpsynth.domain import DomainSpec
 from dpsynth.model.graphical import GraphicalModel, _collapse
+from dpsynth.model.mixture import MixtureModel
 
 SLICE = 1 << 18
 
@@ -26,9 +27,8 @@ def plan_columns(model: GraphicalModel) -> list[tuple[int, tuple[int, ...], np.n
     for clique, table in zip(model.tree.cliques, model.cliques, strict=True):
         parents = tuple(i for i in clique if i in made)
         for i in (i for i in clique if i not in made):
-            shown = _collapse(table, clique, (*parents, i) if False else tuple(sorted((*parents, i))))
             order = tuple(sorted((*parents, i)))
-            shown = np.moveaxis(shown, order.index(i), -1).reshape(-1, model.spec.attrs[i].size)
+            shown = np.moveaxis(_collapse(table, clique, order), order.index(i), -1).reshape(-1, model.spec.attrs[i].size)
             out.append((i, parents, shown))
             parents = tuple(sorted((*parents, i)))
             made.add(i)
@@ -70,14 +70,17 @@ def make_slice(columns: list[tuple[int, tuple[int, ...], np.ndarray]], spec: Dom
 def generate(spark: SparkSession, model: GraphicalModel, n: int | None = None, seed: int = 0, method: str = "round", slice_rows: int = SLICE) -> DataFrame:
     """``n`` records (the model's mass, rounded, by default) in the encoded schema."""
     n = max(1, round(model.total)) if n is None else n
-    columns, spec = plan_columns(model), model.spec
-    slices = -(-n // slice_rows)
+    mixture = model if isinstance(model, MixtureModel) else None
+    columns, spec = mixture or plan_columns(model), model.spec
+    slices, mixed = -(-n // slice_rows), mixture is not None
     shared = spark.sparkContext.broadcast(columns)
 
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for f in frames:
             for k in f["id"]:
                 rows = min(slice_rows, n - int(k) * slice_rows)
-                yield pd.DataFrame(make_slice(shared.value, spec, rows, np.random.default_rng([seed, int(k)]), method), columns=spec.names)
+                rng = np.random.default_rng([seed, int(k)])
+                made = shared.value.make_rows(rows, rng) if mixed else make_slice(shared.value, spec, rows, rng, method)
+                yield pd.DataFrame(made, columns=spec.names)
 
     return spark.range(0, slices, 1, min(slices, 10_000)).mapInPandas(run, ", ".join(f"{x} int" for x in spec.names))
