@@ -1,0 +1,118 @@
+"""Streams of records: marginal counts by event time, and private releases of closed windows.
+
+Counts add up over disjoint inputs, so a stream can keep a store.  Every release costs budget:
+tumbling windows hold each record once; sliding ones hold it width / slide times.
+"""
+
+from __future__ import annotations
+
+import json
+from collections.abc import Callable, Iterator
+from pathlib import Path
+
+import pandas as pd
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from dpsynth.domain import DomainSpec, marginal_id
+from dpsynth.functions import cell
+from dpsynth.privacy.accountant import rho_gauss
+
+EVENTS = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
+
+
+def read_events(spark: SparkSession, folder: str, files_per_trigger: int = 1) -> DataFrame:
+    """A stream of event files; ts becomes a timestamp, as watermarks need one."""
+    stream = spark.readStream.schema(EVENTS).option("maxFilesPerTrigger", files_per_trigger).parquet(folder)
+    return stream.withColumn("ts", F.col("ts").cast("timestamp"))
+
+
+def encode_events(events: DataFrame, spec: DomainSpec) -> DataFrame:
+    """event_id, ts, user_id and the codes of a flat event (stream or table)."""
+    ready = events.withColumns({"k": F.get_json_object("props", "$.k").cast("int"), "weekday_code": F.weekday("ts")})
+    return ready.select("event_id", "ts", "user_id", *[F.expr(a.rule).cast("int").alias(f"{a.name}_code") for a in spec.attrs])
+
+
+def coded(events: DataFrame, spec: DomainSpec) -> DataFrame:
+    return events.select("event_id", "ts", "user_id", *[F.col(f"{a.name}_code").alias(a.name) for a in spec.attrs])
+
+
+def window_marginals(codes: DataFrame, spec: DomainSpec, subset: tuple[int, ...], width: str = "1 day", slide: str | None = None, late: str = "1 hour") -> DataFrame:
+    """start, marginal_id, cell, cnt per tumbling or sliding window; later rows than the watermark are dropped."""
+    w = F.window("ts", width, slide) if slide else F.window("ts", width)
+    counted = codes.withWatermark("ts", late).groupBy(w, cell(spec, subset).alias("cell")).agg(F.count("*").alias("cnt"))
+    return counted.select(F.col("window.start").alias("start"), F.lit(marginal_id(subset)).cast("long").alias("marginal_id"), "cell", "cnt")
+
+
+def session_lengths(events: DataFrame, gap: str = "30 minutes", late: str = "1 hour") -> DataFrame:
+    """user_id, start, n: events of each session of a user."""
+    return events.withWatermark("ts", late).groupBy("user_id", F.session_window("ts", gap)).agg(F.count("*").alias("n")).select("user_id", F.col("session_window.start").alias("start"), "n")
+
+
+def first_events(events: DataFrame, late: str = "1 hour") -> DataFrame:
+    """Repeated deliveries of an event within the watermark are dropped."""
+    return events.withWatermark("ts", late).dropDuplicatesWithinWatermark(["event_id"])
+
+
+def capped(events: DataFrame, m: int) -> DataFrame:
+    """At most m events of each user over the life of the stream: event_id, user_id, nth.
+
+    State is one number per user; noise on what is counted later must be scaled by m.
+    """
+
+    def count(key: tuple, frames: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
+        seen = state.get[0] if state.exists else 0
+        for f in frames:
+            take = f.sort_values(["ts", "event_id"]).head(max(0, m - seen))
+            if len(take):
+                yield pd.DataFrame({"event_id": take["event_id"], "user_id": key[0], "nth": range(seen + 1, seen + len(take) + 1)})
+                seen += len(take)
+        state.update((seen,))
+
+    return events.groupBy("user_id").applyInPandasWithState(count, "event_id long, user_id long, nth int", "seen int", "append", "NoTimeout")
+
+
+class ReleaseLedger:
+    """Releases by batch on a shared folder: a batch that is retried after a crash gets back the
+    numbers it released before, so it neither draws nor pays twice."""
+
+    def __init__(self, folder: str, rho: float):
+        self.folder, self.rho = Path(folder), rho
+        self.folder.mkdir(parents=True, exist_ok=True)
+
+    @property
+    def used(self) -> float:
+        return sum(json.loads(p.read_text())["rho"] for p in self.folder.glob("batch-*.json"))
+
+    def release(self, batch: int, cost: float, draw: Callable[[], list[list[float]]]) -> list[list[float]]:
+        path = self.folder / f"batch-{batch}.json"
+        if path.exists():
+            return json.loads(path.read_text())["rows"]
+        if self.used + cost > self.rho * (1 + 1e-12):
+            raise RuntimeError(f"batch {batch} would pass the budget")
+        rows = draw()
+        part = path.with_suffix(".part")
+        part.write_text(json.dumps({"rho": cost, "rows": rows}))
+        part.rename(path)
+        return rows
+
+
+def releasing(ledger: ReleaseLedger, spec: DomainSpec, subset: tuple[int, ...], sigma: float, noise, sink: Callable[[int, list[list[float]]], None]) -> Callable[[DataFrame, int], None]:
+    """A foreachBatch function: closed windows get Gaussian noise on every cell and go to the sink.
+
+    A window's cells are as many as the marginal has; the windows of a batch fit the driver.
+    """
+
+    def run(batch: DataFrame, number: int) -> None:
+        def draw() -> list[list[float]]:
+            out = []
+            frame = batch.toPandas()
+            for start, rows in frame.groupby("start"):
+                counts = dict(zip(rows["cell"], rows["cnt"], strict=True))
+                z = noise.gaussian(sigma, spec.size(subset))
+                out += [[float(pd.Timestamp(start).timestamp()), c, float(counts.get(c, 0) + z[c])] for c in range(spec.size(subset))]
+            return out
+
+        sink(number, ledger.release(number, rho_gauss(sigma), draw))
+
+    return run
