@@ -25,12 +25,6 @@ def uncell_sql(spec: DomainSpec, subset: Sequence[int], at: int, column: str = "
     return f"cast(floor({column} / {weight}) as bigint) % {spec.attrs[at].size}"
 
 
-def recell_sql(spec: DomainSpec, wide: Sequence[int], narrow: Sequence[int], column: str = "cell") -> str:
-    """Text of the cell over ``narrow`` that a cell over ``wide`` falls into."""
-    parts = [f"(({column} div {spec.strides(wide)[list(wide).index(i)]}) % {spec.attrs[i].size}) * {w}" for i, w in zip(narrow, spec.strides(narrow), strict=True)]
-    return " + ".join(parts)
-
-
 def uniform(seed: int, *key: Column, salt: str = "u") -> Column:
     """In (0, 1), from the first twelve hex digits of an MD5 over seed and key."""
     text = F.concat_ws("|", F.lit(str(seed)), *[k.cast("string") for k in key], F.lit(salt))

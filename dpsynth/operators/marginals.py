@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from dpsynth.domain import DomainSpec, attrs_of, marginal_id
-from dpsynth.functions import cell, recell_sql
+from dpsynth.functions import cell
 from dpsynth.plans import cover_plan
 
 Subset = tuple[int, ...]
@@ -72,14 +72,19 @@ def _by_arrow(codes: DataFrame, spec: DomainSpec, subsets: list[Subset]) -> Data
 
 
 def rollup(store: DataFrame, spec: DomainSpec, wide_to_narrow: dict[Subset, list[Subset]]) -> DataFrame:
-    """Marginals that are sums over wider ones in ``store``: one aggregation for all of them."""
-    cases = None
+    """Marginals that are sums over wider ones in ``store``: one aggregation for all of them.
+
+    What to sum over what is a small table (a row per narrow set, broadcast), so the plan's size
+    does not grow with the number of sets, and its code stays within what can be compiled.
+    """
+    plan = []
     for wide, narrow in wide_to_narrow.items():
-        rows = F.array(*[F.struct(F.lit(marginal_id(r)).cast("long").alias("marginal_id"), F.expr(recell_sql(spec, wide, r)).cast("long").alias("cell")) for r in narrow])
-        hit = F.col("marginal_id") == F.lit(marginal_id(wide))
-        cases = F.when(hit, rows) if cases is None else cases.when(hit, rows)
-    each = store.select(F.explode(cases).alias("x"), "cnt")
-    return each.groupBy("x.marginal_id", "x.cell").agg(F.sum("cnt").cast("long").alias("cnt"))
+        weight = dict(zip(wide, spec.strides(wide), strict=True))
+        plan += [(marginal_id(wide), marginal_id(r), [(weight[i], spec.attrs[i].size, w) for i, w in zip(r, spec.strides(r), strict=True)]) for r in narrow]
+    table = store.sparkSession.createDataFrame(plan, "wide long, narrow long, digits array<struct<stride:long,size:long,weight:long>>")
+    digit = lambda at, x: at + F.floor(F.col("cell") / x["stride"]) % x["size"] * x["weight"]  # noqa: E731  counts of cells are far below 2^53
+    each = store.join(F.broadcast(table), F.col("marginal_id") == F.col("wide")).select(F.col("narrow").alias("marginal_id"), F.aggregate("digits", F.lit(0).cast("long"), digit).alias("cell"), "cnt")
+    return each.groupBy("marginal_id", "cell").agg(F.sum("cnt").cast("long").alias("cnt"))
 
 
 def merge_store(a: DataFrame, b: DataFrame) -> DataFrame:
