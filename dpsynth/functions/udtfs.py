@@ -1,4 +1,7 @@
-"""Table functions over attribute sets, and Arrow functions for accounting on tables."""
+"""Table functions over attribute sets, and Arrow functions for accounting on tables.
+
+Spark binds such functions to a session, so they are made on demand.
+"""
 
 from __future__ import annotations
 
@@ -6,14 +9,12 @@ from collections.abc import Iterator
 from itertools import combinations, product
 
 import pandas as pd
-from pyspark.sql import SparkSession
+from pyspark.sql import Column, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql.functions import pandas_udf, udtf
 
 from dpsynth.privacy.accountant import delta_of, rho_of
 
 
-@udtf(returnType="subset array<int>")
 class Subsets:
     """All k-subsets of 0..d-1."""
 
@@ -22,7 +23,6 @@ class Subsets:
             yield (list(r),)
 
 
-@udtf(returnType="cell bigint, codes array<int>")
 class Cells:
     """Every cell of a domain with its codes."""
 
@@ -31,7 +31,6 @@ class Cells:
             yield cell, list(codes)
 
 
-@udtf(returnType="mask bigint")
 class Closure:
     """Masks of the non-empty subsets of one set."""
 
@@ -41,28 +40,28 @@ class Closure:
                 yield (sum(1 << i for i in r),)
 
 
-@pandas_udf("double")
-def rho_for(eps: pd.Series, delta: pd.Series) -> pd.Series:
-    return pd.Series([rho_of(e, d) for e, d in zip(eps, delta, strict=True)])
+def rho_for(eps: Column | str, delta: Column | str) -> Column:
+    """rho of each budget in a column."""
+    run = lambda e, d: pd.Series([rho_of(x, y) for x, y in zip(e, d, strict=True)])
+    return F.pandas_udf(run, "double", F.PandasUDFType.SCALAR)(eps, delta)
 
 
-@pandas_udf("double")
-def delta_for(rho: pd.Series, eps: pd.Series) -> pd.Series:
-    return pd.Series([delta_of(r, e) for r, e in zip(rho, eps, strict=True)])
+def delta_for(rho: Column | str, eps: Column | str) -> Column:
+    run = lambda r, e: pd.Series([delta_of(x, y) for x, y in zip(r, e, strict=True)])
+    return F.pandas_udf(run, "double", F.PandasUDFType.SCALAR)(rho, eps)
 
 
-@pandas_udf("double")
-def stouffer_p(z: pd.Series) -> float:
-    """Combined z of a group."""
-    return float(z.sum() / len(z) ** 0.5)
+def stouffer_arrow(z: Column | str) -> Column:
+    """Combined z of a group, as a grouped-aggregate Arrow function."""
+    return F.pandas_udf(lambda v: float(v.sum() / len(v) ** 0.5), "double", F.PandasUDFType.GROUPED_AGG)(z)
 
 
-def register(spark: SparkSession) -> None:
-    for name, f in (("dp_subsets", Subsets), ("dp_cells", Cells), ("dp_closure", Closure)):
-        spark.udtf.register(name, f)
-    for name, g in (("dp_rho_for", rho_for), ("dp_delta_for", delta_for)):
-        spark.udf.register(name, g)
+def stouffer_sql(z: str) -> Column:
+    """The same from built-in aggregates, which have partial forms: the one to use at scale."""
+    return F.sum(z) / F.sqrt(F.count(z))
 
 
-def stouffer_sql(z: str) -> F.Column:
-    return F.sum(z) / F.sqrt(F.count(z))
+def register(spark: SparkSession) -> None:
+    """dp_subsets(d, k), dp_cells(sizes) and dp_closure(attrs) for SQL."""
+    for name, cls, kind in (("dp_subsets", Subsets, "subset array<int>"), ("dp_cells", Cells, "cell bigint, codes array<int>"), ("dp_closure", Closure, "mask bigint")):
+        spark.udtf.register(name, F.udtf(cls, returnType=kind))

@@ -5,7 +5,7 @@ from __future__ import annotations
 import tempfile
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from dpsynth import streaming as st
@@ -41,7 +41,10 @@ def agg(df: DataFrame, by: list[str], **cols) -> DataFrame:
     return rounded(df.groupBy(*by).agg(*[c.alias(n) for n, c in cols.items()]))
 
 
-n = F.count("*")
+def rows() -> Column:
+    return F.count("*")
+
+
 
 # -- scans, sources, sinks -----------------------------------------------------------------------
 def _round_trip(kind: str) -> Run:
@@ -52,7 +55,7 @@ def _round_trip(kind: str) -> Run:
         path = f"{spark.sparkContext.getCheckpointDir() or spark.conf.get('spark.checkpoint.dir', None) or tempfile.mkdtemp()}/dpsynth-{kind}"
         tb.write_as(df, path, kind, "overwrite")
         back = tb.read_as(spark, path, kind, "c_custkey long, c_mktsegment string, c_acctbal double")
-        return agg(back, ["c_mktsegment"], n=n, balance=F.sum("c_acctbal"))
+        return agg(back, ["c_mktsegment"], n=rows(), balance=F.sum("c_acctbal"))
 
     return run
 
@@ -74,7 +77,7 @@ def _views(spark: SparkSession, sf_dir: str) -> DataFrame:
 # -- joins -----------------------------------------------------------------------------------------
 def _bands(t: Tables) -> DataFrame:
     bands = t.spark.createDataFrame([(i, 2000.0 * i, 2000.0 * (i + 1)) for i in range(-1, 6)], "band int, lo double, hi double")
-    return agg(rel.range_join(t("customer", "c_acctbal"), "c_acctbal", bands, width=2000.0), ["band"], n=n, balance=F.sum("c_acctbal"))
+    return agg(rel.range_join(t("customer", "c_acctbal"), "c_acctbal", bands, width=2000.0), ["band"], n=rows(), balance=F.sum("c_acctbal"))
 
 
 def _as_of(t: Tables) -> DataFrame:
@@ -84,12 +87,12 @@ def _as_of(t: Tables) -> DataFrame:
 
 
 def _salted(t: Tables) -> DataFrame:
-    return agg(rel.salted_join(t("lineitem", "l_suppkey", "l_quantity", "l_linenumber"), t("supplier", "s_suppkey", "s_nationkey").withColumnRenamed("s_suppkey", "l_suppkey"), "l_suppkey"), ["s_nationkey"], n=n, quantity=F.sum("l_quantity"))
+    return agg(rel.salted_join(t("lineitem", "l_suppkey", "l_quantity", "l_linenumber"), t("supplier", "s_suppkey", "s_nationkey").withColumnRenamed("s_suppkey", "l_suppkey"), "l_suppkey"), ["s_nationkey"], n=rows(), quantity=F.sum("l_quantity"))
 
 
 def _theta(t: Tables) -> DataFrame:
     a, b = (t("nation", "n_nationkey", "n_regionkey").select(F.col("n_nationkey").alias(f"k{s}"), F.col("n_regionkey").alias(f"r{s}")) for s in "ab")
-    return a.join(b, (F.col("ra") == F.col("rb")) & (F.col("ka") < F.col("kb"))).groupBy("ra").agg(n.alias("n"))
+    return a.join(b, (F.col("ra") == F.col("rb")) & (F.col("ka") < F.col("kb"))).groupBy("ra").agg(rows().alias("n"))
 
 
 def _self_join(t: Tables) -> DataFrame:
@@ -212,38 +215,38 @@ LINE = "l_orderkey", "l_linenumber", "l_quantity", "l_extendedprice", "l_discoun
 DAY = "date_trunc('day', ts)"
 
 QUERIES = {
-    "o_scan_parquet": (of(lambda t: agg(t("lineitem", "l_returnflag", "l_quantity"), ["l_returnflag"], n=n, q=F.sum("l_quantity"))), "select l_returnflag, count(*) as n, round(sum(l_quantity), 4) as q from lineitem group by all"),
+    "o_scan_parquet": (of(lambda t: agg(t("lineitem", "l_returnflag", "l_quantity"), ["l_returnflag"], n=rows(), q=F.sum("l_quantity"))), "select l_returnflag, count(*) as n, round(sum(l_quantity), 4) as q from lineitem group by all"),
     **{f"o_roundtrip_{k}": (_round_trip(k), "select c_mktsegment, count(*) as n, round(sum(c_acctbal), 4) as balance from customer group by all") for k in ("csv", "json", "orc")},
     "o_store_sink": (_store_sink, f"select * from ({marginals_sql('F2', [(1,)])})"),
     "o_views": (_views, "select r_name, count(*) as n from nation join region on n_regionkey = r_regionkey group by r_name"),
     "o_text_features": (of(lambda t: t("documents", "doc_id", "text").select("doc_id", F.contains("text", F.lit("@")).alias("has_at"), F.length("text").cast("long").alias("chars"), F.regexp_count("text", F.lit("[0-9]")).cast("long").alias("digits"))), "select doc_id, contains(text, '@') as has_at, length(text) as chars, len(regexp_extract_all(text, '[0-9]'))::bigint as digits from documents"),
-    "o_page_features": (of(lambda t: t("pages", "url", "html").groupBy(F.parse_url("url", F.lit("PROTOCOL")).alias("scheme")).agg(n.alias("n"), F.sum(F.length("html")).alias("chars"))), "select regexp_extract(url, '^([a-z]+):', 1) as scheme, count(*) as n, sum(length(html))::bigint as chars from pages group by all"),
+    "o_page_features": (of(lambda t: t("pages", "url", "html").groupBy(F.parse_url("url", F.lit("PROTOCOL")).alias("scheme")).agg(rows().alias("n"), F.sum(F.length("html")).alias("chars"))), "select regexp_extract(url, '^([a-z]+):', 1) as scheme, count(*) as n, sum(length(html))::bigint as chars from pages group by all"),
     "o_projection": (of(lambda t: rounded(t("lineitem", *LINE).select("l_orderkey", "l_linenumber", (F.col("l_extendedprice") * (1 - F.col("l_discount"))).alias("net")))), "select l_orderkey, l_linenumber, round(l_extendedprice * (1 - l_discount), 4) as net from lineitem"),
-    "o_filters": (of(lambda t: t("lineitem", *LINE).where("l_discount between 0.02 and 0.08 and l_returnflag in ('A', 'R') and l_linestatus rlike '^[FO]$' and l_quantity < 30").groupBy("l_returnflag").agg(n.alias("n"))), "select l_returnflag, count(*) as n from lineitem where l_discount between 0.02 and 0.08 and l_returnflag in ('A', 'R') and l_quantity < 30 group by all"),
-    "o_conditional": (of(lambda t: t("documents", "doc_id").join(t("labels"), "doc_id", "left").select(F.coalesce(F.nullif("quality", F.lit(0)), F.lit(9)).alias("q"), F.when(F.col("toxic").isNull(), 2).otherwise(F.col("toxic")).alias("t")).groupBy("q", "t").agg(n.alias("n"))), "select coalesce(nullif(quality, 0), 9) as q, case when toxic is null then 2 else toxic end as t, count(*) as n from documents d left join labels l on d.doc_id = l.doc_id group by all"),
+    "o_filters": (of(lambda t: t("lineitem", *LINE).where("l_discount between 0.02 and 0.08 and l_returnflag in ('A', 'R') and l_linestatus rlike '^[FO]$' and l_quantity < 30").groupBy("l_returnflag").agg(rows().alias("n"))), "select l_returnflag, count(*) as n from lineitem where l_discount between 0.02 and 0.08 and l_returnflag in ('A', 'R') and l_quantity < 30 group by all"),
+    "o_conditional": (of(lambda t: t("documents", "doc_id").join(t("labels"), "doc_id", "left").select(F.coalesce(F.nullif("quality", F.lit(0)), F.lit(9)).alias("q"), F.when(F.col("toxic").isNull(), 2).otherwise(F.col("toxic")).alias("t")).groupBy("q", "t").agg(rows().alias("n"))), "select coalesce(nullif(quality, 0), 9) as q, case when toxic is null then 2 else toxic end as t, count(*) as n from documents d left join labels l on d.doc_id = l.doc_id group by all"),
     "o_sub_population": (lambda s, d: (lambda x: marginals(x[0].where("returnflag = 2"), x[1], [(1, 3), (4, 9)]))(load(s, d, "F1")), marginals_sql("F1", [(1, 3), (4, 9)], f"select * from ({encoded_sql('F1')}) where returnflag = 2")),
     # joins
-    "o_star_join": (of(lambda t: agg(t("orders", "o_custkey", "o_totalprice").join(F.broadcast(t("customer", "c_custkey", "c_nationkey")), F.expr("o_custkey = c_custkey")).join(F.broadcast(t("nation", "n_nationkey", "n_name")), F.expr("c_nationkey = n_nationkey")), ["n_name"], n=n, total=F.sum("o_totalprice"))), "select n_name, count(*) as n, round(sum(o_totalprice), 4) as total from orders join customer on o_custkey = c_custkey join nation on c_nationkey = n_nationkey group by all"),
-    "o_merge_join": (of(lambda t: agg(t("lineitem", "l_orderkey", "l_quantity").join(t("orders", "o_orderkey", "o_orderpriority").hint("merge"), F.expr("l_orderkey = o_orderkey")), ["o_orderpriority"], n=n, q=F.sum("l_quantity"))), "select o_orderpriority, count(*) as n, round(sum(l_quantity), 4) as q from lineitem join orders on l_orderkey = o_orderkey group by all"),
-    "o_hash_join": (of(lambda t: agg(t("lineitem", "l_orderkey", "l_quantity").join(t("orders", "o_orderkey", "o_orderstatus").hint("shuffle_hash"), F.expr("l_orderkey = o_orderkey")), ["o_orderstatus"], n=n, q=F.avg("l_quantity"))), "select o_orderstatus, count(*) as n, round(avg(l_quantity), 4) as q from lineitem join orders on l_orderkey = o_orderkey group by all"),
-    "o_left_join": (of(lambda t: t("documents", "doc_id", "lang").join(t("labels"), "doc_id", "left").groupBy("lang", F.coalesce("quality", F.lit(-1)).alias("quality")).agg(n.alias("n"))), "select lang, coalesce(quality, -1) as quality, count(*) as n from documents d left join labels l on d.doc_id = l.doc_id group by all"),
-    "o_full_join": (of(lambda t: t("supplier", "s_nationkey").groupBy("s_nationkey").agg(n.alias("s")).join(t("customer", "c_nationkey").where("c_nationkey < 20").groupBy("c_nationkey").agg(n.alias("c")), F.expr("s_nationkey = c_nationkey"), "full").select(F.coalesce("s_nationkey", "c_nationkey").alias("k"), F.coalesce("s", F.lit(0)).alias("s"), F.coalesce("c", F.lit(0)).alias("c"))), "select coalesce(s_nationkey, c_nationkey) as k, coalesce(s, 0) as s, coalesce(c, 0) as c from (select s_nationkey, count(*) as s from supplier group by all) full join (select c_nationkey, count(*) as c from customer where c_nationkey < 20 group by all) on s_nationkey = c_nationkey"),
-    "o_semi_join": (of(lambda t: t("customer", "c_custkey", "c_mktsegment").join(t("orders", "o_custkey"), F.expr("c_custkey = o_custkey"), "left_semi").groupBy("c_mktsegment").agg(n.alias("n"))), "select c_mktsegment, count(*) as n from customer where c_custkey in (select o_custkey from orders) group by all"),
+    "o_star_join": (of(lambda t: agg(t("orders", "o_custkey", "o_totalprice").join(F.broadcast(t("customer", "c_custkey", "c_nationkey")), F.expr("o_custkey = c_custkey")).join(F.broadcast(t("nation", "n_nationkey", "n_name")), F.expr("c_nationkey = n_nationkey")), ["n_name"], n=rows(), total=F.sum("o_totalprice"))), "select n_name, count(*) as n, round(sum(o_totalprice), 4) as total from orders join customer on o_custkey = c_custkey join nation on c_nationkey = n_nationkey group by all"),
+    "o_merge_join": (of(lambda t: agg(t("lineitem", "l_orderkey", "l_quantity").join(t("orders", "o_orderkey", "o_orderpriority").hint("merge"), F.expr("l_orderkey = o_orderkey")), ["o_orderpriority"], n=rows(), q=F.sum("l_quantity"))), "select o_orderpriority, count(*) as n, round(sum(l_quantity), 4) as q from lineitem join orders on l_orderkey = o_orderkey group by all"),
+    "o_hash_join": (of(lambda t: agg(t("lineitem", "l_orderkey", "l_quantity").join(t("orders", "o_orderkey", "o_orderstatus").hint("shuffle_hash"), F.expr("l_orderkey = o_orderkey")), ["o_orderstatus"], n=rows(), q=F.avg("l_quantity"))), "select o_orderstatus, count(*) as n, round(avg(l_quantity), 4) as q from lineitem join orders on l_orderkey = o_orderkey group by all"),
+    "o_left_join": (of(lambda t: t("documents", "doc_id", "lang").join(t("labels"), "doc_id", "left").groupBy("lang", F.coalesce("quality", F.lit(-1)).alias("quality")).agg(rows().alias("n"))), "select lang, coalesce(quality, -1) as quality, count(*) as n from documents d left join labels l on d.doc_id = l.doc_id group by all"),
+    "o_full_join": (of(lambda t: t("supplier", "s_nationkey").groupBy("s_nationkey").agg(rows().alias("s")).join(t("customer", "c_nationkey").where("c_nationkey < 20").groupBy("c_nationkey").agg(rows().alias("c")), F.expr("s_nationkey = c_nationkey"), "full").select(F.coalesce("s_nationkey", "c_nationkey").alias("k"), F.coalesce("s", F.lit(0)).alias("s"), F.coalesce("c", F.lit(0)).alias("c"))), "select coalesce(s_nationkey, c_nationkey) as k, coalesce(s, 0) as s, coalesce(c, 0) as c from (select s_nationkey, count(*) as s from supplier group by all) full join (select c_nationkey, count(*) as c from customer where c_nationkey < 20 group by all) on s_nationkey = c_nationkey"),
+    "o_semi_join": (of(lambda t: t("customer", "c_custkey", "c_mktsegment").join(t("orders", "o_custkey"), F.expr("c_custkey = o_custkey"), "left_semi").groupBy("c_mktsegment").agg(rows().alias("n"))), "select c_mktsegment, count(*) as n from customer where c_custkey in (select o_custkey from orders) group by all"),
     "o_anti_join": (of(lambda t: t("customer", "c_custkey").join(t("orders", "o_custkey").where("o_custkey % 3 <> 0"), F.expr("c_custkey = o_custkey"), "left_anti")), "select c_custkey from customer where not exists (select 1 from orders where o_custkey = c_custkey and o_custkey % 3 <> 0)"),
     "o_theta_join": (of(_theta), "select a.n_regionkey as ra, count(*) as n from nation a join nation b on a.n_regionkey = b.n_regionkey and a.n_nationkey < b.n_nationkey group by all"),
     "o_range_join": (of(_bands), "select range::int as band, count(*) as n, round(sum(c_acctbal), 4) as balance from customer join range(-1, 6) on c_acctbal >= 2000 * range and c_acctbal < 2000 * (range + 1) group by all"),
     "o_as_of_join": (of(_as_of), "with v as (select user_id, ts, max(event_id) as event_id, count(*) as m from events where event_type = 'view' group by all) select p.event_id, coalesce((select v.event_id from v where v.user_id = p.user_id and v.ts <= p.ts order by v.ts desc limit 1), -1) as view_id from events p where event_type = 'purchase'"),
-    "o_null_safe_join": (of(lambda t: t("documents", "doc_id").join(t("labels"), "doc_id", "left").select("quality").alias("a").join(t.spark.createDataFrame([(0, "bad"), (1, "good"), (None, "none")], "q int, name string").alias("b"), F.expr("quality <=> q")).groupBy("name").agg(n.alias("n"))), "select case quality when 0 then 'bad' when 1 then 'good' else 'none' end as name, count(*) as n from documents d left join labels l on d.doc_id = l.doc_id group by all"),
+    "o_null_safe_join": (of(lambda t: t("documents", "doc_id").join(t("labels"), "doc_id", "left").select("quality").alias("a").join(t.spark.createDataFrame([(0, "bad"), (1, "good"), (None, "none")], "q int, name string").alias("b"), F.expr("quality <=> q")).groupBy("name").agg(rows().alias("n"))), "select case quality when 0 then 'bad' when 1 then 'good' else 'none' end as name, count(*) as n from documents d left join labels l on d.doc_id = l.doc_id group by all"),
     "o_self_join": (of(_self_join), "with o as (select o_orderpriority, o_custkey % 5 as trial, avg(o_totalprice) as v from orders group by all) select o_orderpriority, round(a.v / b.v, 4) as ratio from o a join o b using (o_orderpriority) where a.trial = 0 and b.trial = 1"),
     "o_salted_join": (of(_salted), "select s_nationkey, count(*) as n, round(sum(l_quantity), 4) as quantity from lineitem join supplier on l_suppkey = s_suppkey group by all"),
     # aggregations
-    "o_hash_agg": (of(lambda t: agg(t("lineitem", *LINE), ["l_returnflag", "l_linestatus"], n=n, q=F.sum("l_quantity"), p=F.avg("l_extendedprice"), m=F.max("l_shipdate"))), "select l_returnflag, l_linestatus, count(*) as n, round(sum(l_quantity), 4) as q, round(avg(l_extendedprice), 4) as p, max(l_shipdate) as m from lineitem group by all"),
+    "o_hash_agg": (of(lambda t: agg(t("lineitem", *LINE), ["l_returnflag", "l_linestatus"], n=rows(), q=F.sum("l_quantity"), p=F.avg("l_extendedprice"), m=F.max("l_shipdate"))), "select l_returnflag, l_linestatus, count(*) as n, round(sum(l_quantity), 4) as q, round(avg(l_extendedprice), 4) as p, max(l_shipdate) as m from lineitem group by all"),
     "o_sequences": (of(lambda t: t("events", "user_id", "event_id", "event_type").groupBy("user_id").agg(F.array_sort(F.collect_list(F.struct("event_id", "event_type"))).alias("e")).select("user_id", F.concat_ws(",", F.transform("e", lambda x: x["event_type"])).alias("types"))), "select user_id, string_agg(event_type, ',' order by event_id) as types from events group by user_id"),
     "o_count_distinct": (of(lambda t: t("lineitem", "l_returnflag", "l_partkey", "l_suppkey").groupBy("l_returnflag").agg(F.countDistinct("l_partkey").alias("parts"), F.countDistinct("l_partkey", "l_suppkey").alias("pairs"))), "select l_returnflag, count(distinct l_partkey) as parts, count(distinct (l_partkey, l_suppkey)) as pairs from lineitem group by all"),
     "o_approx_distinct": (of(lambda t: t("lineitem", "l_partkey").agg((F.abs(F.approx_count_distinct("l_partkey", 0.02) / F.countDistinct("l_partkey") - 1) < 0.1).alias("close"))), "select true as close"),
-    "o_cube": (of(lambda t: t("lineitem", "l_returnflag", "l_linestatus").cube("l_returnflag", "l_linestatus").agg(n.alias("n"), F.grouping_id().cast("int").alias("gid"))), "select l_returnflag, l_linestatus, count(*) as n, grouping_id(l_returnflag, l_linestatus)::int as gid from lineitem group by cube (l_returnflag, l_linestatus)"),
+    "o_cube": (of(lambda t: t("lineitem", "l_returnflag", "l_linestatus").cube("l_returnflag", "l_linestatus").agg(rows().alias("n"), F.grouping_id().cast("int").alias("gid"))), "select l_returnflag, l_linestatus, count(*) as n, grouping_id(l_returnflag, l_linestatus)::int as gid from lineitem group by cube (l_returnflag, l_linestatus)"),
     "o_rollup": (of(lambda t: rounded(t("orders", "o_orderstatus", "o_orderpriority", "o_totalprice").rollup("o_orderstatus", "o_orderpriority").agg(F.sum("o_totalprice").alias("total")), 2)), "select o_orderstatus, o_orderpriority, round(sum(o_totalprice), 2) as total from orders group by rollup (o_orderstatus, o_orderpriority)"),
-    "o_grouping_sets": (of(lambda t: t("orders", "o_orderstatus", "o_orderpriority").groupingSets([["o_orderstatus"], ["o_orderpriority"]], "o_orderstatus", "o_orderpriority").agg(n.alias("n"))), "select o_orderstatus, o_orderpriority, count(*) as n from orders group by grouping sets ((o_orderstatus), (o_orderpriority))"),
+    "o_grouping_sets": (of(lambda t: t("orders", "o_orderstatus", "o_orderpriority").groupingSets([["o_orderstatus"], ["o_orderpriority"]], "o_orderstatus", "o_orderpriority").agg(rows().alias("n"))), "select o_orderstatus, o_orderpriority, count(*) as n from orders group by grouping sets ((o_orderstatus), (o_orderpriority))"),
     "o_pivot": (of(lambda t: t("lineitem", "l_returnflag", "l_linestatus").groupBy("l_returnflag").pivot("l_linestatus", ["F", "O"]).agg(F.count(F.lit(1))).na.fill(0)), "select l_returnflag, count(*) filter (where l_linestatus = 'F') as \"F\", count(*) filter (where l_linestatus = 'O') as \"O\" from lineitem group by all"),
     "o_unpivot": (of(lambda t: rounded(t("customer", "c_custkey", "c_acctbal").withColumn("half", F.col("c_acctbal") / 2).unpivot(["c_custkey"], ["c_acctbal", "half"], "what", "value"))), "select c_custkey, 'c_acctbal' as what, round(c_acctbal, 4) as value from customer union all select c_custkey, 'half', round(c_acctbal / 2, 4) from customer"),
     "o_moments": (of(lambda t: agg(t("lineitem", *LINE), ["l_linestatus"], sd=F.stddev_samp("l_quantity"), vp=F.var_pop("l_quantity"), r=F.corr("l_quantity", "l_extendedprice"), c=F.covar_samp("l_quantity", "l_discount"))), "select l_linestatus, round(stddev_samp(l_quantity), 4) as sd, round(var_pop(l_quantity), 4) as vp, round(corr(l_quantity, l_extendedprice), 4) as r, round(covar_samp(l_quantity, l_discount), 4) as c from lineitem group by all"),
@@ -256,11 +259,11 @@ QUERIES = {
     "o_offsets": (of(_offsets), "select event_id, lag(event_type) over w as before, lead(event_type) over w as after, first_value(event_type) over w as first from events window w as (partition by user_id order by ts, event_id)"),
     "o_running_sum": (of(_running), "select o_orderkey, round(sum(o_totalprice) over (partition by o_custkey order by o_orderkey rows unbounded preceding), 2) as running from orders"),
     "o_range_frame": (of(_hour_before), "select event_id, count(*) over (partition by user_id order by floor(epoch(ts)) range between 3600 preceding and current row) as n from events"),
-    "o_share": (of(lambda t: rounded(t("customer", "c_mktsegment", "c_nationkey").groupBy("c_nationkey", "c_mktsegment").agg(n.alias("n")).withColumn("share", F.col("n") / F.sum("n").over(Window.partitionBy("c_nationkey"))), 9)), "select c_nationkey, c_mktsegment, n, round(n / sum(n) over (partition by c_nationkey), 9) as share from (select c_nationkey, c_mktsegment, count(*) as n from customer group by all)"),
+    "o_share": (of(lambda t: rounded(t("customer", "c_mktsegment", "c_nationkey").groupBy("c_nationkey", "c_mktsegment").agg(rows().alias("n")).withColumn("share", F.col("n") / F.sum("n").over(Window.partitionBy("c_nationkey"))), 9)), "select c_nationkey, c_mktsegment, n, round(n / sum(n) over (partition by c_nationkey), 9) as share from (select c_nationkey, c_mktsegment, count(*) as n from customer group by all)"),
     "o_sorted": (of(lambda t: t("lineitem", "l_orderkey", "l_linenumber", "l_quantity").repartitionByRange(8, "l_orderkey").sortWithinPartitions("l_orderkey", "l_linenumber").where("l_quantity > 45")), "select l_orderkey, l_linenumber, l_quantity from lineitem where l_quantity > 45"),
     "o_top_k": (of(lambda t: t("orders", "o_orderkey", "o_totalprice").orderBy(F.desc("o_totalprice"), "o_orderkey").offset(5).limit(10)), "select o_orderkey, o_totalprice from orders order by o_totalprice desc, o_orderkey limit 10 offset 5"),
     "o_top_per_group": (of(lambda t: rel.top_per_group(t("customer", "c_custkey", "c_nationkey", "c_acctbal"), "c_nationkey", [F.desc("c_acctbal"), F.asc("c_custkey")], 3).select("c_custkey", "c_nationkey")), "select c_custkey, c_nationkey from (select *, row_number() over (partition by c_nationkey order by c_acctbal desc, c_custkey) as k from customer) where k <= 3"),
-    "o_union": (of(lambda t: t("supplier", "s_nationkey").withColumnRenamed("s_nationkey", "k").unionByName(t("customer", "c_nationkey").withColumnRenamed("c_nationkey", "k")).groupBy("k").agg(n.alias("n"))), "select k, count(*) as n from (select s_nationkey as k from supplier union all select c_nationkey from customer) group by k"),
+    "o_union": (of(lambda t: t("supplier", "s_nationkey").withColumnRenamed("s_nationkey", "k").unionByName(t("customer", "c_nationkey").withColumnRenamed("c_nationkey", "k")).groupBy("k").agg(rows().alias("n"))), "select k, count(*) as n from (select s_nationkey as k from supplier union all select c_nationkey from customer) group by k"),
     "o_intersect_all": (of(lambda t: t("supplier", "s_nationkey").withColumnRenamed("s_nationkey", "k").intersectAll(t("customer", "c_nationkey").withColumnRenamed("c_nationkey", "k"))), "select s_nationkey as k from supplier intersect all select c_nationkey from customer"),
     "o_except_all": (of(lambda t: t("customer", "c_nationkey").withColumnRenamed("c_nationkey", "k").exceptAll(t("supplier", "s_nationkey").withColumnRenamed("s_nationkey", "k"))), "select c_nationkey as k from customer except all select s_nationkey from supplier"),
     "o_distinct": (of(lambda t: t("lineitem", "l_returnflag", "l_linestatus", "l_linenumber").distinct()), "select distinct l_returnflag, l_linestatus, l_linenumber from lineitem"),
