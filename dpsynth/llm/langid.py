@@ -40,31 +40,32 @@ class GramIndex:
     def __init__(self, bits: int):
         self.bits, self.none, self.letters = bits, 1 << bits, letter_table()
 
-    def _segments(self, texts: list[str]) -> Iterator[tuple[list[int], list[bool], list[str]]]:
-        owner: list[int] = []
-        again: list[bool] = []
-        parts: list[str] = []
+    def _segments(self, texts: list[str]) -> Iterator[list[tuple[int, bool, bool, str]]]:
+        """Blocks of (owning text, whether it went on before, goes on behind, characters).
+
+        A segment begins with the last two characters of the one before it.
+        """
+        block: list[tuple[int, bool, bool, str]] = []
         room = SEGMENT
         for i, text in enumerate(texts):
             low = text.lower()
             for start in range(0, max(1, len(low)), SEGMENT):
                 part = low[max(0, start - 2) : start + SEGMENT]
-                if parts and len(part) > room:
-                    yield owner, again, parts
-                    owner, again, parts, room = [], [], [], SEGMENT
-                owner.append(i)
-                again.append(start > 0)
-                parts.append(part)
+                if block and len(part) > room:
+                    yield block
+                    block, room = [], SEGMENT
+                block.append((i, start > 0, start + SEGMENT < len(low), part))
                 room -= len(part)
-        if parts:
-            yield owner, again, parts
+        if block:
+            yield block
 
     def batches(self, texts: list[str]) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
         """Per block of segments: owning text, segment starts, letters per segment, bucket indices (2 x n)."""
-        for owner, again, parts in self._segments(texts):
-            # two blanks end each segment, so no gram runs over its end
-            code = np.frombuffer("".join([p + "\0\0" for p in parts]).encode("utf-32-le", "surrogatepass"), np.uint32)
-            starts = np.cumsum([0, *(len(p) + 2 for p in parts[:-1])])
+        for block in self._segments(texts):
+            # two blanks end each segment; grams that begin in them are none
+            code = np.frombuffer("".join([p + "\0\0" for _, _, _, p in block]).encode("utf-32-le", "surrogatepass"), np.uint32)
+            ends = np.cumsum([len(p) + 2 for _, _, _, p in block]) - 2
+            starts = np.concatenate([[0], ends[:-1] + 2])
             letter = self.letters[np.minimum(code, 0xFFFF)]
             if len(wide := np.flatnonzero(code > 0xFFFF)):
                 letter[wide] = [chr(c).isalpha() for c in code[wide]]
@@ -79,9 +80,11 @@ class GramIndex:
                 for k in range(1, n):
                     some |= letter[k : len(c) - n + 1 + k]
                 index[row, : len(hashed)] = np.where(some, (hashed >> np.uint32(32 - self.bits)).astype(np.int64), self.none)
-            # the bigram at the head of a later segment was in the one before
-            index[0, starts[np.array(again, bool)]] = self.none
-            yield np.array(owner), starts, np.add.reduceat(letter.astype(np.int64), starts), index
+            index[:, ends] = index[:, ends + 1] = self.none
+            # each gram of a text counts in one segment: in the last one that has all of it
+            again, on = (np.array([x[k] for x in block], bool) for k in (1, 2))
+            index[0, starts[again]] = index[0, ends[on] - 1] = index[1, ends[on] - 1] = index[1, ends[on] - 2] = self.none
+            yield np.array([x[0] for x in block]), starts, np.add.reduceat(letter.astype(np.int64), starts), index
 
 
 class NaiveBayes:
