@@ -24,7 +24,7 @@ from dpsynth.llm.common import cut, shuffle_width
 
 ALPHA, MIN_COUNT = 0.4, 2
 #: Compressed input bytes for which one chunk and one owner is made.
-CHUNK_BYTES = 12 << 20
+CHUNK_BYTES = 6 << 20
 
 LOWER = bytes(c + 32 if 65 <= c <= 90 else c for c in range(256))
 SPACE = np.isin(np.arange(256), [32, *range(9, 14)])
