@@ -62,7 +62,8 @@ def drop_bitmaps(lines: DataFrame, policy: str = "all", min_docs: int = MIN_DOCS
     policy "all": keys in at least min_docs documents lose all their lines; "later": they keep
     the first occurrence (smallest doc_id, then position).
     """
-    frequent = key_statistics(lines).where(F.col("n_docs") >= min_docs)
+    # cut, so that the join below has plain exchanges on both sides and AQE can split a hot line
+    frequent = cut(key_statistics(lines).where(F.col("n_docs") >= min_docs))
     hit = lines.join(frequent, ["h1", "h2"])
     if policy == "later":
         same = F.col("doc_id").eqNullSafe(F.col("first.doc_id")) & (F.col("pos") == F.col("first.pos")) & (F.col("row_hash") == F.col("first.row_hash"))
