@@ -243,11 +243,14 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     return star.select(F.col("a").alias("node"), F.col("b").alias("root")).union(star.select(F.col("b").alias("node"), F.col("b").alias("root")).distinct())
 
 
-def near_duplicates(docs: DataFrame, shingle: int = SHINGLE, radius: int = RADIUS, shard_limit: int = SHARD_LIMIT) -> DataFrame:
-    """Per row of ``docs``: doc_id, row_hash, fp, root (fingerprint that stands for the component)."""
+def near_duplicates(docs: DataFrame, shingle: int = SHINGLE, radius: int = RADIUS, shard_limit: int = SHARD_LIMIT) -> tuple[DataFrame, DataFrame]:
+    """Rows (doc_id, row_hash, fp) of ``docs``, and (fp, root) of every distinct fingerprint, where
+    root is the fingerprint that stands for its component.  Both are cut: joins on fp then have
+    plain exchanges on both sides, so AQE can split a fingerprint that many copies share."""
     rows = cut(fingerprint(docs, shingle))
-    found = components(links(rows.select("fp").distinct(), radius, shard_limit=shard_limit))
-    return rows.join(found.withColumnRenamed("node", "fp"), "fp", "left").select("doc_id", "row_hash", "fp", F.coalesce("root", "fp").alias("root"))
+    prints = rows.select("fp").distinct()
+    found = components(links(prints, radius, shard_limit=shard_limit)).withColumnRenamed("node", "fp")
+    return rows, cut(prints.join(found, "fp", "left").select("fp", F.coalesce("root", "fp").alias("root")))
 
 
 def component_digests(docs: DataFrame, shingle: int = SHINGLE, radius: int = RADIUS) -> DataFrame:
@@ -256,16 +259,20 @@ def component_digests(docs: DataFrame, shingle: int = SHINGLE, radius: int = RAD
     Null and empty texts have the fingerprint zero and are linked like any other.  Null doc_ids
     belong to components but are never their smallest; repeated rows each give a row.
     """
-    near = near_duplicates(docs, shingle, radius)
-    least = near.groupBy("root").agg(F.min("doc_id").alias("component_id"))
-    return near.join(least, "root").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
+    rows, roots = near_duplicates(docs, shingle, radius)
+    # smallest ids of fingerprints, then of components: one row a fingerprint, however many copies
+    least = rows.groupBy("fp").agg(F.min("doc_id").alias("least")).join(roots, "fp")
+    of = least.groupBy("root").agg(F.min("least").alias("component_id"))
+    named = cut(roots.join(of, "root").select("fp", "component_id"))
+    return rows.join(named, "fp").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 
 def keep_one(docs: DataFrame, shingle: int = SHINGLE, radius: int = RADIUS) -> DataFrame:
     """``docs`` with one row of each component: that of the smallest doc_id, then text hash."""
-    near = near_duplicates(docs, shingle, radius)
-    first = near.groupBy("root").agg(F.min(F.struct("doc_id", "row_hash")).alias("k")).select(F.col("k.doc_id").alias("llm_doc"), F.col("k.row_hash").alias("llm_hash")).distinct()
+    rows, roots = near_duplicates(docs, shingle, radius)
+    least = rows.groupBy("fp").agg(F.min(F.struct("doc_id", "row_hash")).alias("k")).join(roots, "fp")
+    first = least.groupBy("root").agg(F.min("k").alias("k")).select(F.col("k.doc_id").alias("llm_doc"), F.col("k.row_hash").alias("llm_hash")).distinct()
     same = F.col("llm_doc").eqNullSafe(F.col("llm_key")) & (F.col("llm_hash") == F.col("llm_row"))
-    rows = docs.withColumns({"llm_key": F.col("doc_id").cast("long"), "llm_row": F.xxhash64(F.col("text").cast("string"))})
-    met = rows.join(first.hint("shuffle_hash"), same, "left_semi")
+    every = docs.withColumns({"llm_key": F.col("doc_id").cast("long"), "llm_row": F.xxhash64(F.col("text").cast("string"))})
+    met = every.join(first.hint("shuffle_hash"), same, "left_semi")
     return met.dropDuplicates(["llm_key", "llm_row"]).select(*docs.columns)
