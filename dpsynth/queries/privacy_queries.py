@@ -4,20 +4,21 @@ from __future__ import annotations
 
 import math
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from dpsynth import uncertainty as un
 from dpsynth import workload as wl
 from dpsynth.domain import marginal_id
-from dpsynth.fixtures import SPECS, encoded_sql, load
-from dpsynth.functions import cell_sql, gauss_duck, gumbel_duck, laplace_duck, register, uncell_sql
+from dpsynth.fixtures import SPECS, load
+from dpsynth.functions import udtfs
+from dpsynth.functions import gauss, gauss_duck, gumbel_duck, laplace_duck, register, uncell_sql
 from dpsynth.operators import marginals as mg
 from dpsynth.privacy import mechanisms as me
-from dpsynth.queries.marginal_queries import DENSE_SQL, _closure_sql, _exact_sql, kway, marginals_sql
+from dpsynth.queries.marginal_queries import DENSE_SQL, _closure_sql, kway, marginals_sql
 from dpsynth.sources.tables import read_table
 from dpsynth.synth.baselines import gaussian_shares
-from dpsynth.synth.rounds import HALF_NORMAL, score_table
+from dpsynth.synth.rounds import HALF_NORMAL, score_cogroups, score_table
 
 SEED, SIGMA = 42, 3.0
 
@@ -68,8 +69,6 @@ def _query_gauss(spark: SparkSession, sf_dir: str) -> DataFrame:
     spec, w = SPECS["F7"], wl.all_kway(SPECS["F7"], 2)
     sd = spark.createDataFrame([(marginal_id(r), math.sqrt(1 / (2 * 0.5 * s))) for r, s in gaussian_shares(w, spec).items()], "marginal_id long, sigma double")
     dense = _dense_store(spark, sf_dir, "F7", list(w.merged())).join(F.broadcast(sd), "marginal_id")
-    from dpsynth.functions import gauss
-
     return dense.select("marginal_id", "cell", F.round(F.col("cnt") + F.col("sigma") * gauss(SEED, F.col("marginal_id"), F.col("cell")), 6).alias("value"))
 
 
@@ -89,9 +88,9 @@ def _scores(kind: str):
 
     def frame(spark: SparkSession, sf_dir: str) -> DataFrame:
         dense = _dense_store(spark, sf_dir, "F7", CLOSURE7)
-        n = F.sum("cnt").over(__import__("pyspark").sql.Window.partitionBy("marginal_id"))
+        n = F.sum("cnt").over(Window.partitionBy("marginal_id"))
         if kind == "uniform":
-            cells = F.count("*").over(__import__("pyspark").sql.Window.partitionBy("marginal_id"))
+            cells = F.count("*").over(Window.partitionBy("marginal_id"))
             modelled = dense.select("marginal_id", "cell", (n / cells).alias("value"))
         else:
             ones = {i: dense.where(F.col("marginal_id") == marginal_id((i,))).select(F.col("cell").alias(f"c{i}"), (F.col("cnt") / n).alias(f"p{i}")) for i in range(spec.d)}
@@ -129,6 +128,23 @@ def score_sql(kind: str) -> str:
 
 
 _UNIFORM, _INDEPENDENT = _scores("uniform"), _scores("independent")
+
+
+def _cogrouped(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """L1 distance of each closure set of F7 from the uniform model, by a cogrouped map."""
+    dense = _dense_store(spark, sf_dir, "F7", CLOSURE7)
+    w = Window.partitionBy("marginal_id")
+    modelled = _dense_store(spark, sf_dir, "F7", CLOSURE7).select("marginal_id", "cell", (F.sum("cnt").over(w) / F.count("*").over(w)).alias("value"))
+    return score_cogroups(dense, modelled).select("marginal_id", F.round("l1", 6).alias("l1"))
+
+
+def _combined(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Combined z of the balances of each segment's customers: Arrow aggregate and built-in twin."""
+    z = read_table(spark, sf_dir, "customer", ["c_mktsegment", "c_acctbal"]).select("c_mktsegment", (F.col("c_acctbal") / 5000 - 1).alias("z"))
+    a = z.groupBy("c_mktsegment").agg(F.round(udtfs.stouffer_arrow("z"), 6).alias("arrow"))
+    return a.join(z.groupBy("c_mktsegment").agg(F.round(udtfs.stouffer_sql("z"), 6).alias("built_in")), "c_mktsegment")
+
+
 MOST = max(wl.all_kway(SPECS["F7"], 3).weights().values())
 
 
@@ -151,8 +167,6 @@ def _select_all(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def _ledger(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Running cost of a sequence of releases, one for each supplier: 1/(2 sigma^2) + eps^2/8."""
-    from pyspark.sql import Window
-
     rows = read_table(spark, sf_dir, "supplier", ["s_suppkey", "s_nationkey"]).select(F.col("s_suppkey").alias("round"), "s_nationkey", (F.lit(10.0) + F.col("s_nationkey")).alias("sigma"), (F.col("s_nationkey") / 100).alias("eps"))
     register(spark)
     cost = F.expr("dp_rho_gauss(sigma) + dp_rho_exp(eps)")
@@ -224,10 +238,10 @@ QUERIES = {
     "a_score_independent": _INDEPENDENT[1:],
     "a_first_pick": (_first_pick, f"select marginal_id, round(score * {0.5 / (2 * MOST)!r} + {gumbel_duck(SEED, 'marginal_id', chr(39) + 'pick' + chr(39))}, 5) as key from ({score_sql('independent')}) order by key desc limit 1"),
     "bl_fixed_first_pick": (_fixed_pick, f"select marginal_id, round((l1 - n_r) * 0.25 + {gumbel_duck(SEED, 'marginal_id', chr(39) + 'pick' + chr(39))}, 5) as key from ({score_sql('uniform')}) where bit_count(marginal_id) = 2 order by key desc limit 1"),
+    "a_score_cogroup": (_cogrouped, f"select marginal_id, round(l1, 6) as l1 from ({score_sql('uniform')})"),
+    "c_combined_z": (_combined, "select c_mktsegment, round(sum(c_acctbal / 5000 - 1) / sqrt(count(*)), 6) as arrow, round(sum(c_acctbal / 5000 - 1) / sqrt(count(*)), 6) as built_in from customer group by all"),
     "u_supported": (_supported, SUPPORTED_SQL),
     "u_variance": (_variance, VARIANCE_SQL),
     "u_round_pick": (_round_pick, "select o_custkey as marginal_id, max(o_orderkey) as round from orders group by o_custkey"),
     "u_weighted_average": (_wavg, _wavg_sql()),
 }
-
-__all__ = ["QUERIES", "cell_sql", "encoded_sql", "_exact_sql"]

@@ -126,7 +126,7 @@ def _hour_before(t: Tables) -> DataFrame:
 
 
 # -- streams ---------------------------------------------------------------------------------------
-def _stream(make: Callable[[DataFrame], DataFrame], mode: str = "append", closing: bool = True) -> Run:
+def _stream(make: Callable[[DataFrame], DataFrame], mode: str = "append") -> Run:
     """Events replayed as files in the order of time through a query, to its end.
 
     Last files far in the future move the watermark past everything, so all windows close.
@@ -143,12 +143,15 @@ def _stream(make: Callable[[DataFrame], DataFrame], mode: str = "append", closin
         events = tb.read_table(spark, sf_dir, "events")
         schema = events.select("event_id", "ts", "user_id", "event_type", "value", "props").schema
         last = spark.sql("select -1L as event_id, timestamp_ntz'2999-01-01' as ts, -1L as user_id, 'end' as event_type, 0.0D as value, '{}' as props")
-        ordered = events.orderBy("ts") if closing else events.orderBy("event_id")
-        ordered.select(*schema.names).coalesce(1).write.mode("append").parquet(f"{base}/in")
+        events.orderBy("ts").select(*schema.names).coalesce(1).write.mode("append").parquet(f"{base}/in")
         for days in range(2):  # the second one is met under the watermark that the first one sets
             last.withColumn("ts", F.expr(f"ts + interval {days} days")).select(*schema.names).coalesce(1).write.mode("append").parquet(f"{base}/in")
-        query = make(st.read_events(spark, f"{base}/in")).writeStream.outputMode(mode).format("parquet").option("path", f"{base}/out").option("checkpointLocation", f"{base}/state").trigger(availableNow=True).start()
-        query.awaitTermination()
+        writer = make(st.read_events(spark, f"{base}/in")).writeStream.outputMode(mode).option("checkpointLocation", f"{base}/state").trigger(availableNow=True)
+        if mode == "append":
+            writer = writer.format("parquet").option("path", f"{base}/out")
+        else:  # each batch brings the whole result, or what has changed of it
+            writer = writer.foreachBatch(lambda df, k: df.withColumn("batch", F.lit(k)).write.mode("append").parquet(f"{base}/out"))
+        writer.start().awaitTermination()
         return spark.read.parquet(f"{base}/out")
 
     return run
@@ -180,6 +183,30 @@ def _capped(e: DataFrame) -> DataFrame:
     return st.capped(e.where("user_id >= 0"), 5).select("user_id", "nth")
 
 
+def _latest(mode: str) -> Run:
+    """Running counts by event type: every batch's rows are kept, the last one of each type counts."""
+
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        out = _stream(lambda e: e.where("user_id >= 0").groupBy("event_type").agg(rows().alias("n")), mode)(spark, sf_dir)
+        return out.groupBy("event_type").agg(F.max_by("n", "batch").alias("n"))
+
+    return run
+
+
+def _released(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Closed days of event types with Gaussian noise, released once a batch: a row per day and type."""
+    from dpsynth.privacy.mechanisms import NoiseSource
+
+    ledger, found = st.ReleaseLedger(tempfile.mkdtemp(), 10.0), []
+    codes = lambda e: st.coded(st.encode_events(e, _F6), _F6)
+    base = tempfile.mkdtemp()
+    tb.read_table(spark, sf_dir, "events").coalesce(1).write.mode("append").parquet(f"{base}/in")
+    counts = st.window_marginals(codes(st.read_events(spark, f"{base}/in")), _F6, (0,))
+    each = st.releasing(ledger, _F6, (0,), 1.0, NoiseSource(0), lambda k, r: found.extend(r))
+    counts.writeStream.outputMode("append").foreachBatch(each).option("checkpointLocation", f"{base}/state").trigger(availableNow=True).start().awaitTermination()
+    return spark.createDataFrame(found or [[0.0, 0.0, 0.0]], "start double, cell double, value double")
+
+
 def _static_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Stream joined with a static vocabulary."""
     vocabulary = spark.createDataFrame([(c, i) for i, c in enumerate(("click", "error", "purchase", "signup", "view"))], "event_type string, code int")
@@ -286,5 +313,8 @@ QUERIES = {
     "s_sessions": (_stream(_sessions), "with g as (select user_id, ts, case when ts - lag(ts) over (partition by user_id order by ts) < interval '30 minutes' then 0 else 1 end as new from events), s as (select user_id, ts, sum(new) over (partition by user_id order by ts rows unbounded preceding) as k from g) select user_id, floor(epoch(min(ts)))::bigint as start, count(*) as n from s group by user_id, k"),
     "s_deduplicated": (_stream(_deduped), "select event_id, user_id from events"),
     "s_capped": (_stream(_capped), "select user_id, cast(k as int) as nth from (select user_id, unnest(range(1, least(n, 5) + 1)) as k from (select user_id, count(*) as n from events group by user_id))"),
+    "s_complete": (_latest("complete"), "select event_type, count(*) as n from events group by all"),
+    "s_update": (_latest("update"), "select event_type, count(*) as n from events group by all"),
+    "s_release": (_released, None),
     "s_static_join": (_static_join, "select event_id, case event_type when 'click' then 0 when 'error' then 1 when 'purchase' then 2 when 'signup' then 3 else 4 end::int as code from events"),
 }

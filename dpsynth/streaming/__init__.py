@@ -110,7 +110,7 @@ def releasing(ledger: ReleaseLedger, spec: DomainSpec, subset: tuple[int, ...],
             for start, rows in frame.groupby("start"):
                 counts = dict(zip(rows["cell"], rows["cnt"], strict=True))
                 z = noise.gaussian(sigma, spec.size(subset))
-                out += [[float(pd.Timestamp(start).timestamp()), c, float(counts.get(c, 0) + z[c])] for c in range(spec.size(subset))]
+                out += [[float(pd.Timestamp(start).timestamp()), float(c), float(counts.get(c, 0) + z[c])] for c in range(spec.size(subset))]
             return out
 
         sink(number, ledger.release(number, rho_gauss(sigma), draw))

@@ -9,6 +9,7 @@ from pyspark.sql import DataFrame
 from dpsynth.domain import DomainSpec
 from dpsynth.operators.marginals import MarginalStore
 from dpsynth.privacy.accountant import ApproxDP
+from dpsynth.privacy.mechanisms import NoiseSource
 from dpsynth.synth import baselines
 from dpsynth.synth.base import AdaptiveConfig, SynthesisResult
 from dpsynth.synth.rounds import ABLATIONS, ablation, synthesize_adaptive, synthesize_fixed_round
@@ -41,8 +42,12 @@ def synthesize_from(store: MarginalStore, workload: Workload, budget: ApproxDP |
     return RIVALS[mechanism](store, workload, rho, cfg.seed, **kw)
 
 
-def synthesize(codes: DataFrame, spec: DomainSpec, workload: Workload, budget: ApproxDP | float, mechanism: str = "adaptive", cfg: AdaptiveConfig | None = None, **kw) -> SynthesisResult:
-    """Encoded records to a fitted model: one scan for the store, then the mechanism."""
+def synthesize(codes: DataFrame, spec: DomainSpec, workload: Workload, budget: ApproxDP | float, mechanism: str = "adaptive", cfg: AdaptiveConfig | None = None, release: bool = False, **kw) -> SynthesisResult:
+    """Encoded records to a fitted model: one scan for the store, then the mechanism.
+
+    release=True refuses a seeded configuration: what leaves the trusted side needs system entropy.
+    """
+    NoiseSource((cfg or AdaptiveConfig()).seed).check(release)
     subsets = workload.closure() if mechanism in ("adaptive", "fixed_round") or mechanism in ABLATIONS else needed_subsets(spec, workload)
     store = MarginalStore.build(codes, spec, subsets)
     try:

@@ -14,7 +14,7 @@ from dpsynth.model.graphical import Measurement, estimate_total, fit, independen
 from dpsynth.model.junction import elimination_cliques
 from dpsynth.model.mixture import Generator, fit_relaxed
 from dpsynth.operators.marginals import MarginalStore
-from dpsynth.privacy.accountant import Ledger, rho_exp, rho_gauss
+from dpsynth.privacy.accountant import Ledger
 from dpsynth.privacy.mechanisms import NoiseSource, exp_select, gaussian_release
 from dpsynth.synth.base import Clock, Round, SynthesisResult, Transcript
 from dpsynth.workload import Workload
@@ -221,6 +221,3 @@ def synthesize_gen_mix(store: MarginalStore, workload: Workload, rho: float, see
         model = net.fit(run.transcript.measured, total, steps)
     return run.result(model)
 
-
-def costs(sigma: float, eps: float) -> float:
-    return rho_gauss(sigma) + rho_exp(eps)
