@@ -107,9 +107,14 @@ def densify(store: DataFrame, spec: DomainSpec, subsets: Iterable[Subset]) -> Da
 class MarginalStore:
     """Exact marginals of a closure.  Trusted side: nothing of it leaves without noise.
 
-    Built with one scan: wide sets of a cover plan are counted, all others are sums over them.
+    Built with one scan.  Where all cells together fit a task (TASK_CELLS) each task counts all
+    sets densely in numpy; beyond, the wide sets of a cover plan are counted and all others are
+    sums over them.
     """
 
+    #: Cells that a task may count densely, 8 bytes each.
+    TASK_CELLS = 4_000_000
+
     #: Cells that may be brought to the driver; beyond, scoring stays distributed.
     DRIVER_CELLS = 20_000_000
 
@@ -118,15 +123,19 @@ class MarginalStore:
         self._dense: dict[Subset, np.ndarray] = {}
 
     @classmethod
-    def build(cls, codes: DataFrame, spec: DomainSpec, subsets: Iterable[Subset], cap: int = 1_000_000, plan: str = "inline") -> MarginalStore:
+    def build(cls, codes: DataFrame, spec: DomainSpec, subsets: Iterable[Subset], cap: int = 1_000_000, plan: str = "auto") -> MarginalStore:
+        """plan: auto, direct (dense counts of every set) or cover (wide sets and roll-up)."""
         from pyspark import StorageLevel
 
         subsets = sorted({tuple(r) for r in subsets}, key=lambda r: (len(r), r))
-        cover = cover_plan(subsets, spec, cap)
-        below: dict[Subset, list[Subset]] = {}
-        for r, wide in cover.items():
-            below.setdefault(wide, []).append(r)
-        table = rollup(marginals(codes, spec, below, plan), spec, below).persist(StorageLevel.MEMORY_AND_DISK)
+        if plan == "direct" or plan == "auto" and sum(map(spec.size, subsets)) <= cls.TASK_CELLS:
+            table = marginals(codes, spec, subsets, "arrow")
+        else:
+            below: dict[Subset, list[Subset]] = {}
+            for r, wide in cover_plan(subsets, spec, cap).items():
+                below.setdefault(wide, []).append(r)
+            table = rollup(marginals(codes, spec, below), spec, below)
+        table = table.persist(StorageLevel.MEMORY_AND_DISK)
         first = marginal_id(subsets[0])
         n = table.where(F.col("marginal_id") == first).agg(F.sum("cnt")).first()[0] or 0
         return cls(table, spec, subsets, int(n))

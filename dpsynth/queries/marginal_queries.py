@@ -46,12 +46,12 @@ def _marginals(name: str, subsets: list[Subset], plan: str = "inline"):
     return run, marginals_sql(name, subsets)
 
 
-def _store(name: str, k: int):
+def _store(name: str, k: int, plan: str = "auto"):
     subsets = wl.all_kway(SPECS[name], k).closure()
 
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         codes, spec = load(spark, sf_dir, name)
-        return mg.MarginalStore.build(codes, spec, subsets).table
+        return mg.MarginalStore.build(codes, spec, subsets, plan=plan).table
 
     return run, marginals_sql(name, subsets)
 
@@ -230,6 +230,7 @@ QUERIES = {
     "m_arrow": _marginals("F2", kway("F2", 2), "arrow"),
     "m_store_F5": _store("F5", 3),
     "m_store_F1": _store("F1", 2),
+    "m_rollup": _store("F5", 3, "cover"),
     "m_dense_zero_cells": (_dense, DENSE_SQL),
     "m_weighted": (_weighted, f"select {cell_sql(SPECS['F2'], (1, 5))} as cell, count(*) as cnt from ({encoded_sql('F2')}) group by all"),
     "m_normalized": (_normalized, f"select marginal_id, cell, round(cnt / sum(cnt) over (partition by marginal_id), 9) as freq from ({marginals_sql('F2', kway('F2', 1))})"),

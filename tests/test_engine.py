@@ -48,6 +48,8 @@ def test_plans_agree(spark, f5):
     assert rows(mg.marginals(codes, spec, sets, "grouping_sets")) == want
     assert rows(mg.marginals(codes, spec, sets, "arrow")) == want
     assert rows(store.table.where("bit_count(marginal_id) = 2")) == want
+    cover = mg.MarginalStore.build(codes, spec, store.subsets, 5_000, "cover")
+    assert rows(cover.table) == rows(store.table)
 
 
 def test_one_more_record_moves_one_cell_of_each_marginal(spark, f7):
@@ -240,3 +242,22 @@ def test_domain_round_trip():
     assert domain_from_json(domain_to_json(fixtures.SPECS["F2"])) == fixtures.SPECS["F2"]
     assert marginal_id((0, 3)) == 9 and attrs_of(9) == (0, 3)
     assert fixtures.SPECS["F1"].size() == 2_514_758_400_000
+
+
+def test_a_release_needs_system_entropy(spark, f7):
+    codes, spec, _ = f7
+    with pytest.raises(ValueError):
+        synth.synthesize(codes, spec, wl.all_kway(spec, 2), 0.5, "adaptive", CFG, release=True)
+
+
+def test_laplace_noise_follows_the_l1_sensitivity(f7):
+    from dataclasses import replace
+
+    from dpsynth.privacy.accountant import Neighbor
+    from dpsynth.synth.rounds import Loop
+
+    _, spec, store = f7
+    w = wl.all_kway(spec, 2)
+    unit = lambda **k: Loop(store, w, 1.0, replace(CFG, **k)).unit
+    assert unit(noise="laplace") == 1 and unit(noise="laplace", neighbor=Neighbor.BOUNDED) == 2
+    assert unit(neighbor=Neighbor.BOUNDED) == pytest.approx(math.sqrt(2)) and unit(rows_per_unit=3) == 3
