@@ -9,7 +9,6 @@ text.  Whole texts are scored; long ones in segments, whose sums add up.
 
 from __future__ import annotations
 
-import math
 from collections.abc import Iterator
 
 import numpy as np
