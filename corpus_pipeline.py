@@ -9,7 +9,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from dpsynth.llm import bpe, fmindex, langid, linededup, simhash
+from dpsynth.llm import bpe, fmindex, langid, linededup, nearcopies
 from dpsynth.llm.common import table
 
 #: Documents below this score, and those without a letter, are rejected.
@@ -31,8 +31,8 @@ def dedup_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def dedup_documents(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Stage 3: one document of each SimHash component stays."""
-    return simhash.keep_one(docs)
+    """Stage 3: one document of each component of near copies (five-word shingles, similarity 0.8) stays."""
+    return nearcopies.keep_one(docs)
 
 
 def decontaminate(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
