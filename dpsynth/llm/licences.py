@@ -2,11 +2,12 @@
 
 A fixed set of licence notices is indexed by word: postings (template, position).  Files keep
 only the places of words that occur in the index.  Which of them are rare is measured on the
-corpus (document frequency over all files).  The rarest words of each file are looked up first;
-their postings give alignments (template, file position - template position).  The other words
-then confirm or refute an alignment by the same relative position: a bit mask per alignment has
-the template words that stand where they should.  A label needs its mandatory phrases whole and
-enough of the rest.
+corpus (document frequency over all files).  Of each template that a file may hold, the rarest
+words that the file has are looked up first, RARE_WORDS of those in its mandatory phrases, so a
+file may hold any number of notices; their postings give alignments (template, file position -
+template position).  The other words then confirm or refute an alignment by the same relative
+position: a bit mask per alignment has the template words that stand where they should.  A label
+needs its mandatory phrases whole and enough of the rest.
 """
 
 from __future__ import annotations
@@ -41,7 +42,7 @@ TEMPLATES = {
     "unlicense": ("this is free and unencumbered software released into the public domain", ["unencumbered software released into the public domain"]),
     "copyright": ("copyright c all rights reserved", ["all rights reserved"]),
 }
-#: Distinct words of a file that are looked up, and the share of a template that must match.
+#: Rarest mandatory words of each template that are looked up in a file, and the share of a template that must match.
 RARE_WORDS, MIN_SHARE = 8, 0.6
 
 POSTINGS = [(word, name, i) for name, (notice, _) in TEMPLATES.items() for i, word in enumerate(notice.split())]
@@ -96,15 +97,14 @@ def alignments(places: DataFrame, rare_words: int = RARE_WORDS) -> DataFrame:
     seen = {r["w"]: r["n"] for r in places.select(F.explode("seen").alias("w")).groupBy("w").agg(F.count("*").alias("n")).collect()}
     total = sum(seen.values()) + 1
     idf = {w: math.log(total / (1 + seen.get(w, 0))) for w in VOCABULARY}
-    posts = F.broadcast(spark.createDataFrame(POSTINGS, "w string, label string, q int"))
     order = {w: i for i, w in enumerate(sorted(VOCABULARY, key=lambda w: (-idf[w], w)))}
+    # an alignment that counts has all mandatory words, so also the rarest of them, whatever else the file holds
+    leads = {t: sorted({w for p in must for w in p.split()}, key=order.get)[:rare_words] for t, (_, must) in TEMPLATES.items()}
+    posts = F.broadcast(spark.createDataFrame([(w, t, q, w in leads[t]) for w, t, q in POSTINGS], "w string, label string, q int, is_rare boolean"))
     # a template that lacks a word of its mandatory phrases cannot be in the file: most files end here
     must = F.array(*[F.struct(F.lit(t).alias("label"), F.array(*[F.lit(w) for w in sorted({w for p in must for w in p.split()})]).alias("words")) for t, (_, must) in TEMPLATES.items()])
     alive = places.where(F.size("seen") > 0).withColumn("alive", F.transform(F.filter(must, lambda t: F.size(F.array_except(t["words"], F.col("seen"))) == 0), lambda t: t["label"])).where(F.size("alive") > 0)
-    # the file's rarest words: ranks are distinct, so the smallest few are a threshold
-    rank = F.create_map(*[F.lit(x) for kv in order.items() for x in kv])
-    ranks = F.array_sort(F.transform("seen", lambda w: F.element_at(rank, w)))
-    each = alive.select("doc_id", "row_hash", "alive", F.element_at(F.slice(ranks, 1, rare_words), -1).alias("limit"), F.explode("hits").alias("x")).select("doc_id", "row_hash", "alive", F.col("x.p").alias("p"), F.col("x.w").alias("w"), (F.element_at(rank, F.col("x.w")) <= F.col("limit")).alias("is_rare"))
+    each = alive.select("doc_id", "row_hash", "alive", F.explode("hits").alias("x")).select("doc_id", "row_hash", "alive", F.col("x.p").alias("p"), F.col("x.w").alias("w"))
     aligned = each.join(posts, "w").where(F.array_contains("alive", F.col("label"))).groupBy("doc_id", "row_hash", "label", (F.col("p") - F.col("q")).alias("offset")).agg(F.bit_or(F.expr("shiftleft(1L, q)")).alias("mask"), F.max("is_rare").alias("by_rare"))
     rules = F.broadcast(spark.createDataFrame([(t, len(n.split()), [phrase_mask(n, p) for p in must]) for t, (n, must) in TEMPLATES.items()], "label string, size int, must array<long>"))
     share = F.bit_count("mask") / F.col("size")

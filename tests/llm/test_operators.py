@@ -289,6 +289,16 @@ def test_templates_are_found(spark):
     assert none["labels"] == ""
 
 
+@pytest.mark.parametrize("rare_words", [1, licences.RARE_WORDS])
+def test_all_templates_in_one_text(spark, rare_words):
+    some = ["mit-grant", "bsd", "apache-2.0", "gpl-3.0", "mit"]
+    notices = [[n for n, _ in licences.TEMPLATES.values()], [licences.TEMPLATES[t][0] for t in some]]
+    rows = [(i, "\nzzz\n".join(x)) for i, x in enumerate(notices)]
+    found = {r["doc_id"]: r for r in licences.scan(spark.createDataFrame(rows, "doc_id long, text string"), rare_words).collect()}
+    assert set(licences.TEMPLATES) <= set(found[0]["labels"].split(",")) and set(some) <= set(found[1]["labels"].split(","))
+    assert found[0]["score"] == found[1]["score"] == 1.0
+
+
 # -- 9 personal data --------------------------------------------------------------------------------
 NAIVE = [r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+", r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)", r"[0-9]([\x20-]?[0-9])+", r"\+[0-9][\x20().0-9-]+[0-9]"]
 
