@@ -60,7 +60,7 @@ def target_of(name: str, spec: DomainSpec) -> int:
 
 def run_grid(spark: SparkSession, sf_dir: str, datasets: Sequence[str] = ("F7",), workloads: Sequence[str] = ("all3",), epsilons: Sequence[float] = EPSILONS, mechanisms: Sequence[str] = ("adaptive", "independent"), trials: int = 5, cfg: AdaptiveConfig | None = None) -> DataFrame:
     """Errors of every run (columns RESULTS); trial k uses seed k."""
-    cfg = cfg or AdaptiveConfig(cap_mb=2.0)
+    cfg = cfg or AdaptiveConfig()
     stores: dict[str, DenseStore] = {}
     for name in datasets:
         codes, spec = fixtures.load(spark, sf_dir, name)
@@ -104,7 +104,7 @@ def bound_experiment(spark: SparkSession, sf_dir: str, dataset: str = "F5", eps:
     codes, spec = fixtures.load(spark, sf_dir, dataset)
     w = wl.all_kway(spec, 3)
     store = MarginalStore.build(codes, spec, w.closure())
-    r = synthesize_from(store, w, rho_of(eps, DELTA), "adaptive", cfg or AdaptiveConfig(seed=0, cap_mb=2.0))
+    r = synthesize_from(store, w, rho_of(eps, DELTA), "adaptive", cfg or AdaptiveConfig(seed=0))
     synth = MarginalStore.build(r.generate(spark), spec, w.closure())
     rows = [(marginal_id(s), kind, float(b), float(np.abs(store.dense(s) - synth.dense(s)).sum())) for s, kind, b in bound_rows(r.transcript, {s: synth.dense(s) for s in w.merged()}, w.merged())]
     for s in (store, synth):

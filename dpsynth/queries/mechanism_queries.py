@@ -17,7 +17,7 @@ from dpsynth.privacy.accountant import ApproxDP, Neighbor
 from dpsynth.synth import ABLATIONS, MECHANISMS, AdaptiveConfig, synthesize
 from dpsynth.synth.baselines import answer_gaussian, expected_gaussian_error
 
-CFG = AdaptiveConfig(seed=0, cap_mb=2.0)
+CFG = AdaptiveConfig(seed=0)
 BUDGET = ApproxDP(10.0)
 
 
@@ -75,7 +75,7 @@ def _capacity(spark: SparkSession, sf_dir: str) -> DataFrame:
     from dataclasses import replace
 
     out = None
-    for mb in (0.01, 0.1, 1.0):
+    for mb in (0.01, 0.1, 1.0, 80.0):
         g = grid.run_grid(spark, sf_dir, ["F5"], ["all3"], [10.0], ["adaptive"], 1, replace(CFG, cap_mb=mb)).withColumn("cap_mb", F.lit(mb))
         out = g if out is None else out.unionByName(g)
     return out.select("cap_mb", "error", "size_mb", "rounds")
