@@ -66,6 +66,19 @@ def _ablation(spark: SparkSession, sf_dir: str) -> DataFrame:
     return grid.ablation_table(grid.run_grid(spark, sf_dir, ["F7"], ["all3"], [1.0, 10.0], names, 3, CFG))
 
 
+def _grid(name: str, workload: str, mechanisms: list[str]):
+    """A whole grid on one table: all budgets, five trials."""
+
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        return grid.run_grid(spark, sf_dir, [name], [workload], grid.EPSILONS, mechanisms, 5, CFG)
+
+    return run, None
+
+
+def _whole_bounds(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return mt.bound_tightness(grid.bound_experiment(spark, sf_dir, "F1"))
+
+
 def _bounds(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mt.bound_tightness(grid.bound_experiment(spark, sf_dir, "F5"))
 
@@ -158,7 +171,13 @@ def _summary(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 SUMMARY_SQL = " union all ".join(f"select '{n}' as fixture, (select count(*) from ({encoded_sql(n)})) as records, {s.d}::int as d, {min(s.sizes)}::int as min_size, {max(s.sizes)}::int as max_size, '{s.size()}' as domain" for n, s in SPECS.items())
 
+#: The six tables of the whole experiments, and all that is compared on them.
+TABLES, RIVALS = ("F1", "F2", "F3", "F4", "F5", "F6"), [*MECHANISMS, "gen_mix_query"]
+
 QUERIES = {
+    **{f"x_{w}_{t}": _grid(t, w, RIVALS) for w in ("all3", "target", "skewed", "all2") for t in TABLES},
+    **{f"x_ablation_{t}": _grid(t, "all3", ["adaptive", *ABLATIONS]) for t in TABLES},
+    "x_bounds_F1": (_whole_bounds, None),
     **{f"x_records_{m}": _records("F7" if m in ("gen_mix", "relaxed_proj") else "F5", m) for m in MECHANISMS},
     "x_records_adaptive_F2": _records("F2", "adaptive"),
     "x_bounded_F5": _bounded_size("F5"),
