@@ -25,9 +25,10 @@ from dpsynth.llm.common import cut
 #: Share of a group that an estimate rests on, concentration steps, smallest group with its own estimate.
 SUPPORT, STEPS, MIN_GROUP = 0.75, 3, 50
 #: Standard deviations below which a component is not believed: ratios that are zero in most texts have none of their own.
-FLOORS = (0.1, 0.38, 1.0, 1.0)
-#: Chi-square with four degrees of freedom: the median, and the quantile beyond which one in a million lies.
-MEDIAN, CUTOFF = 3.3567, 33.3769
+#: For repeated lines and words half the step that one repeated line of eight words makes in 300: log1p(1000 / 300) / 2, log1p(1600 / 300) / 2.
+FLOORS = (0.1, 0.38, 0.73, 0.92)
+#: Chi-square with four degrees of freedom: the median, and the quantile beyond which one in a thousand lies.
+MEDIAN, CUTOFF = 3.3567, 18.4668
 BASE_WORDS, BASE_REPEATS = 50, 50
 
 SPACES, SYMBOLS = b" \t\n\x0b\x0c\r", b"#*$%&|<>"

@@ -160,6 +160,19 @@ def test_outliers_are_found(spark):
     assert all(found[i] for i in range(120)) and not any(found[1000 + i] for i in range(10))
 
 
+def test_repeated_lines_are_rejected_in_a_clean_group(spark):
+    rng = np.random.default_rng(1)
+    word = lambda: "".join(rng.choice(list("abcdefghij"), rng.integers(3, 8)))
+    text = lambda n: "\n".join(" ".join(word() for _ in range(10)) for _ in range(n))
+    clean = [(i, text(30), "en", "s") for i in range(120)]
+    line = " ".join(word() for _ in range(10))
+    half = [(1000, text(16) + ("\n" + line) * 14, "en", "s")]
+    once = [(1001, text(28) + ("\n" + line) * 2, "en", "s")]
+    found = {r["doc_id"]: r for r in quality.judge(spark.createDataFrame(clean + half + once, "doc_id long, text string, lang string, source string")).collect()}
+    assert not found[1000]["base_failed"] and not found[1000]["kept"]
+    assert all(found[i]["kept"] for i in (*range(120), 1001))
+
+
 # -- 5 benchmark ------------------------------------------------------------------------------------
 def test_fm_index_against_scanning():
     rng = np.random.default_rng(0)
