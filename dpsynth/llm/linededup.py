@@ -20,7 +20,7 @@ MIN_CHARS, MIN_DOCS = 1, 10
 
 
 def line_keys(text: Column, min_chars: int = MIN_CHARS) -> Column:
-    """Array over the lines of a text: two hashes of the key, or null where the key is too short.
+    """Array over the lines of a text: two hashes of the key with seeds of their own, or null where the key is too short.
 
     The key is the line stripped of ASCII white space at both ends, A-Z lowered.  It is hashed in
     the byte form of common.byte_text; code points are its bytes that don't continue a character.
@@ -29,7 +29,7 @@ def line_keys(text: Column, min_chars: int = MIN_CHARS) -> Column:
     def hashed(line: Column) -> Column:
         key = F.btrim(line, F.lit(ASCII_SPACE))
         size = F.length(key) if min_chars <= 1 else F.length(F.regexp_replace(key, "[\u0080-¿]", ""))
-        return F.when(size >= min_chars, F.struct(F.xxhash64(key).alias("h1"), F.xxhash64(key, F.lit("second")).alias("h2")))
+        return F.when(size >= min_chars, F.struct(F.xxhash64(key).alias("h1"), F.xxhash64(F.lit("second"), key).alias("h2")))
 
     return F.transform(F.split(byte_text(text), "\n", -1), hashed)
 

@@ -280,6 +280,15 @@ def test_min_chars_counts_code_points(spark):
     assert {r["text"] for r in linededup.dedup_lines(df, "all", 3, 2).collect()} == {"é"}
 
 
+def test_second_line_hash_is_not_seeded_by_the_first(spark):
+    lines = ["a shared line", "other"]
+    text = spark.createDataFrame([("\n".join(lines),)], "text string")
+    got = text.select(linededup.line_keys(text["text"]).alias("k")).first()["k"]
+    second = spark.createDataFrame([(x,) for x in lines], "x string").selectExpr("xxhash64(x, 'second') as c", "xxhash64('second', x) as own").collect()
+    assert [k["h2"] for k in got] == [r["own"] for r in second]
+    assert not {k["h2"] for k in got} & {r["c"] for r in second}
+
+
 # -- 8 licences -------------------------------------------------------------------------------------
 def test_base_phrases(documents):
     found = {r["doc_id"]: r for r in licences.scan(documents).collect()}
