@@ -8,7 +8,7 @@ its n-grams up and sums per document.  Every n-gram of a chunk travels once, wha
 frequency, so frequent words make no skew.  Rows of plain 64-bit keys would need some 30 bytes
 for each n-gram; a block needs about four.
 
-Keys are hashes of key_bits() bits: about one n-gram in 2^24 may share its key with another.
+Keys are hashes of KEY_BITS bits at every size: at 10^10 n-grams one in 10^9 shares its key with another.
 """
 
 from __future__ import annotations
@@ -25,6 +25,7 @@ from dpsynth.llm.common import cut, shuffle_width
 ALPHA, MIN_COUNT = 0.4, 2
 #: Compressed input bytes for which one chunk and one owner is made.
 CHUNK_BYTES = 6 << 20
+KEY_BITS = 64
 
 LOWER = bytes(c + 32 if 65 <= c <= 90 else c for c in range(256))
 SPACE = np.isin(np.arange(256), [32, *range(9, 14)])
@@ -90,11 +91,6 @@ def unpack(block: bytes, n: int) -> np.ndarray:
     return np.ascontiguousarray(planes.T).view("<u8").reshape(-1)
 
 
-def key_bits(input_bytes: int) -> int:
-    """Bits of a key: 24 more than the number of n-grams needs (some three to a byte of compressed input)."""
-    return min(64, max(40, math.ceil(math.log2(max(2, input_bytes))) + 24))
-
-
 def distinct_grams(texts: list[str | None], bits: int) -> tuple[np.ndarray, np.ndarray]:
     words, counts = word_hashes(texts)
     one, two, three, place = gram_keys(words, counts, bits)
@@ -134,9 +130,9 @@ def block_scores(texts: list[str | None], totals: np.ndarray, bits: int, alpha:
 
 
 def input_bytes(docs: DataFrame) -> int:
-    """Spark's estimate of the input's size; where it has none, that of a small table."""
+    """Spark's estimate of the input's size; where it has none, the bytes of the texts."""
     size = int(docs._jdf.queryExecution().optimizedPlan().stats().sizeInBytes())
-    return size if size < 1 << 60 else 1 << 20
+    return size if size < 1 << 60 else int(docs.agg(F.sum(F.octet_length(F.col("text").cast("string")))).first()[0] or 0)
 
 
 def score_documents(docs: DataFrame, alpha: float = ALPHA, min_count: int = MIN_COUNT, chunks: int | None = None) -> DataFrame:
@@ -150,7 +146,7 @@ def score_documents(docs: DataFrame, alpha: float = ALPHA, min_count: int = MIN_
     """
     size = input_bytes(docs)
     n = chunks or max(shuffle_width(docs.sparkSession), math.ceil(size / CHUNK_BYTES))
-    bits = key_bits(size)
+    bits = KEY_BITS
     base = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     rows = base.withColumn("chunk", F.pmod(F.xxhash64("doc_id", "text"), F.lit(n)).cast("int"))
 

@@ -173,6 +173,12 @@ def test_repeated_lines_are_rejected_in_a_clean_group(spark):
     assert all(found[i]["kept"] for i in (*range(120), 1001))
 
 
+def test_gram_keys_are_whole_and_sizes_are_counted(spark):
+    assert backoff.KEY_BITS == 64
+    unknown = spark.createDataFrame(spark.sparkContext.parallelize([(i, "x" * 1000) for i in range(5000)]), "doc_id long, text string")
+    assert backoff.input_bytes(unknown) == 5_000_000
+
+
 # -- 5 benchmark ------------------------------------------------------------------------------------
 def test_fm_index_against_scanning():
     rng = np.random.default_rng(0)
