@@ -21,6 +21,8 @@ import public_tokenizers
 import regex
 from pyspark.sql import DataFrame
 
+from dpsynth.llm.common import Shipped
+
 DIGEST_SCHEMA = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string"
 
 
@@ -117,44 +119,38 @@ class PrefixCoder:
         self.ends.make_automaton()
         self.split = regex.compile(self.pattern)
         self.fits: dict[int, bool] = {}
+        self.known: dict[str, list[int]] = {}
         self.seen: dict[str, tuple[int, bytes, bytes]] = {}
 
+    def edge(self, token: int, side: int) -> list[tuple[int, int]]:
+        """The tokens that stand at one end of ``token`` while BPE builds it (side 0: its left end,
+        1: its right end), each with the rank of the merge that takes it away."""
+        out = [(token, 1 << 30)]
+        while (inner := self.merges[token][side]) != token:
+            out.append((inner, token))
+            token = inner
+        return out
+
     def compatible(self, left: int, right: int) -> bool:
         """Whether BPE leaves the border between the two tokens alone.
 
-        The merges of both tokens are undone, latest first; a pair that meets at the border and
-        would have been merged earlier than what has been undone so far breaks the border.
+        Merges happen in rank order, since what a merge makes only enters merges of higher rank.
+        So each token x at the border is there from its own rank on until the merge that takes
+        it away, of rank gone(x).  A merge m of a token x left of the border with a token y right
+        of it crosses the border if both are still there when its turn comes: m < gone(x), and
+        m <= gone(y), for of equal merges the leftmost is first: x's own one starts further
+        left, y's further right.  Both have come by then, as m is above the ranks of x and y.
         """
         key = left << 24 | right
         known = self.fits.get(key)
         if known is None:
-            known = self._compatible(left, right)
+            joined, starts = self.joined.get, self.edge(right, 0)
+            known = not any((m := joined((x, y))) is not None and m < gone and m <= lost for x, gone in self.edge(left, 1) for y, lost in starts)
             if len(self.fits) >= 4 * self.room:
                 self.fits.clear()
             self.fits[key] = known
         return known
 
-    def _compatible(self, a: int, b: int) -> bool:
-        merges, joined, bound = self.merges, self.joined, 1 << 30
-        while True:
-            if joined.get((a, b), bound) < bound:
-                return False
-            undo_left = a > b
-            for _ in range(2):
-                if undo_left:
-                    bound, inner = a, merges[a][1]
-                    if inner != a:
-                        a = inner
-                        break
-                else:
-                    bound, inner = b + 1, merges[b][0]
-                    if inner != b:
-                        b = inner
-                        break
-                undo_left = not undo_left
-            else:
-                return True
-
     def extend(self, piece: bytes, last: list[int], start: int) -> None:
         """Append to ``last`` the last tokens of the prefixes longer than ``start``.
 
@@ -179,15 +175,24 @@ class PrefixCoder:
         whole = self.ranks.get(piece)
         return [whole] if whole is not None else PrefixTable(self, piece).ids()
 
+    def _learned(self, piece: str) -> list[int]:
+        ids = self.encode_piece(piece.encode("utf-8", "surrogatepass"))
+        if len(piece) <= 64:
+            if len(self.known) >= self.room:
+                self.known.clear()
+            self.known[piece] = ids
+        return ids
+
     def encode(self, text: str) -> list[int]:
-        return [i for m in self.split.finditer(text) for i in self.encode_piece(m[0].encode())]
+        known, learned = self.known.get, self._learned
+        return [i for p in self.split.findall(text) for i in known(p) or learned(p)]
 
     def decode(self, ids: list[int]) -> bytes:
         return b"".join(map(self.tokens.__getitem__, ids))
 
     def _written(self, piece: str) -> tuple[int, bytes, bytes]:
         """Number of tokens, their decimals joined by blanks, and the bytes they decode to."""
-        ids = self.encode_piece(piece.encode("utf-8", "surrogatepass"))
+        ids = self._learned(piece)
         out = len(ids), " ".join(map(str, ids)).encode(), self.decode(ids)
         if len(piece) <= 64:
             if len(self.seen) >= self.room:
@@ -210,13 +215,13 @@ def coder(path: str | None = None, pattern: str = public_tokenizers.PATTERN, cac
 def encode_documents(docs: DataFrame, path: str | None = None, pattern: str = public_tokenizers.PATTERN, text_col: str = "text", out: str = "token_ids") -> DataFrame:
     """``docs`` with the token ids of each whole text in a new column ``out`` (null text: no ids).
 
-    All columns stay; a column of that name is replaced.  No shuffle: one Arrow pass, the
-    vocabulary (a file of fixed size) is broadcast.
+    All columns stay; a column of that name is replaced.  Repeated rows get equal ids, an empty
+    table stays empty.  No shuffle: one Arrow pass, the vocabulary (a file of fixed size) is
+    broadcast.
     """
     from pyspark.sql import types as T
 
-    spark = docs.sparkSession
-    model = spark.sparkContext.broadcast(coder(path, pattern))
+    model = Shipped(docs.sparkSession, coder(path, pattern))
     kept = docs.drop(out)
     schema = T.StructType([*kept.schema.fields, T.StructField(out, T.ArrayType(T.IntegerType()))])
 
@@ -234,7 +239,7 @@ def encode_digests(docs: DataFrame, path: str | None = None, pattern: str = publ
     Null and empty texts have no tokens (digests of nothing).  Repeated rows each give a row.  An
     empty table gives an empty result.  Other columns are not read.
     """
-    model = docs.sparkSession.sparkContext.broadcast(coder(path, pattern))
+    model = Shipped(docs.sparkSession, coder(path, pattern))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:

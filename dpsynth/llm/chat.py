@@ -35,7 +35,9 @@ LAYOUTS = {
     "instruction": (["instruction", "output"], ["input", "system"]),
     "question_answer": (["answer", "question"], ["system"]),
 }
-KNOWN = {p for need, may in LAYOUTS.values() for p in [*need, *may]}
+#: layout -> the paths that its fingerprint is taken of; other fields of a table don't matter.
+PATHS = {name: {*need, *may} for name, (need, may) in LAYOUTS.items()}
+KNOWN = set().union(*PATHS.values())
 
 
 def hash_paths(paths: Iterator[str] | set[str]) -> str:
@@ -65,13 +67,10 @@ def value_paths(value: object, at: str = "") -> set[str]:
 
 
 def layout_of(paths: set[str]) -> str | None:
-    """The layout of the fingerprint of the known paths; where other known fields clash, the one
-    with the most required paths that are all there."""
-    name = FINGERPRINTS.get(hash_paths(paths & KNOWN))
-    if name is None:
-        fit = [(len(need), k) for k, (need, _) in LAYOUTS.items() if set(need) <= paths]
-        name = max(fit)[1] if fit else None
-    return name
+    """The layout whose own paths, as far as they are there, have one of its fingerprints; of
+    several the one with the most required paths, then the last by name."""
+    fit = [(len(need), name) for name, (need, _) in LAYOUTS.items() if FINGERPRINTS.get(hash_paths(paths & PATHS[name])) == name]
+    return max(fit)[1] if fit else None
 
 
 def _turn(role: str, text: Column) -> Column:

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import tempfile
 
+from pyspark import cloudpickle
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -20,16 +21,57 @@ def table(spark: SparkSession, sf_dir: str, name: str, *cols: str) -> DataFrame:
 def cut(df: DataFrame) -> DataFrame:
     """Cut lineage with a reliable checkpoint in the folder that the cluster shares.
 
-    ``spark.checkpoint.dir`` is read from the session.  Only where neither it nor a
-    checkpoint folder is set (tests on one machine) a temporary folder is used.
+    ``spark.checkpoint.dir`` is read from the session.  Where neither it nor a checkpoint
+    folder is set, a master on one machine gets a temporary folder; a cluster is an error, as
+    its executors share no local folder.
     """
     sc = df.sparkSession.sparkContext
     if sc.getCheckpointDir() is None:
         shared = df.sparkSession.conf.get("spark.checkpoint.dir", None)
+        if shared is None and not (sc.master or "").split("[")[0] == "local":
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
         sc.setCheckpointDir(shared or tempfile.mkdtemp(prefix="dpsynth-checkpoint-"))
     return df.checkpoint(eager=True)
 
 
+class Shipped:
+    """A value that is broadcast with its classes, so that workers need no copy of this package.
+
+    Broadcasts pickle classes by reference; so the bytes are made here, by value.  Each worker
+    process opens them once and keeps the value beside its broadcast.
+    """
+
+    def __init__(self, spark: SparkSession, value: object):
+        self.held = spark.sparkContext.broadcast(cloudpickle.dumps(value))
+
+    @property
+    def value(self):
+        if not hasattr(self.held, "opened"):
+            self.held.opened = cloudpickle.loads(self.held.value)
+        return self.held.opened
+
+
+def fresh(df: DataFrame, *names: str) -> list[str]:
+    """The names, with underscores behind them until no column of ``df`` has one (case aside)."""
+    taken, out = {c.lower() for c in df.columns}, []
+    for name in names:
+        while name.lower() in taken:
+            name += "_"
+        taken.add(name.lower())
+        out.append(name)
+    return out
+
+
+def named(name: str) -> Column:
+    """The top-level column of this very name, dots and backticks included."""
+    return F.col("`" + name.replace("`", "``") + "`")
+
+
+def columns_of(df: DataFrame) -> list[Column]:
+    """All columns, as they are."""
+    return [named(c) for c in df.columns]
+
+
 def shuffle_width(spark: SparkSession) -> int:
     """The session's number of shuffle partitions."""
     return int(spark.conf.get("spark.sql.shuffle.partitions", "200"))

@@ -18,6 +18,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from dpsynth.llm.common import Shipped, columns_of, fresh, named
+
 WINDOW = 10
 #: Texts of one index, in bytes.
 SHARD_BYTES = 32 << 20
@@ -160,16 +162,22 @@ class Phrases:
         if not parts:
             return n_words, spans, items
         index = FMIndex(np.concatenate(parts), len(self.vocabulary))
-        heads, found = np.array(heads), {}
+        heads, owners, bases = np.array(heads), np.array(owners), np.array(bases)
+        edge = np.zeros(total + 1, np.int64)  # +1 where an occurrence starts, -1 behind its end
         for n, (patterns, of) in self.groups.items():
             which, at = index.locate(*index.search(patterns))
-            run = np.searchsorted(heads, at, "right") - 1
-            for p, r, x in zip(which.tolist(), run.tolist(), at.tolist(), strict=True):
-                t, start = owners[r], int(x - heads[r] + bases[r])
-                found.setdefault(t, []).append((start, start + n))
+            np.add.at(edge, at, 1)
+            np.add.at(edge, at + n, -1)
+            met = np.unique(owners[np.searchsorted(heads, at, "right") - 1] * len(of) + which)
+            for t, p in zip((met // len(of)).tolist(), (met % len(of)).tolist(), strict=True):
                 items[t].update(of[p])
-        for t, all_spans in found.items():
-            spans[t] = merge_spans(all_spans)
+        cover = np.concatenate([[0], (np.cumsum(edge) > 0).astype(np.int8)])
+        turn = np.diff(cover)  # runs end in an uncovered 0, so each covered stretch lies in one
+        first, last = np.flatnonzero(turn == 1), np.flatnonzero(turn == -1)
+        run = np.searchsorted(heads, first, "right") - 1
+        moved = bases[run] - heads[run]
+        for t, a, b in zip(owners[run].tolist(), (first + moved).tolist(), (last + moved).tolist(), strict=True):
+            spans[t].append((a, b))
         return n_words, spans, items
 
 
@@ -211,16 +219,19 @@ def benchmark_blocks(benchmark: DataFrame, block_bytes: int = BLOCK_BYTES) -> It
         yield block
 
 
-HIT_FIELDS = [T.StructField("llm_words", T.LongType()), T.StructField("llm_spans", T.ArrayType(T.ArrayType(T.LongType()))), T.StructField("llm_items", T.ArrayType(T.LongType()))]
+HIT_COLUMNS = ("llm_words", "llm_spans", "llm_items")
+HIT_TYPES = (T.LongType(), T.ArrayType(T.ArrayType(T.LongType())), T.ArrayType(T.LongType()))
 
 
-def mark(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, block_bytes: int = BLOCK_BYTES, shard_bytes: int = SHARD_BYTES) -> DataFrame:
+def mark(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, block_bytes: int = BLOCK_BYTES, shard_bytes: int = SHARD_BYTES, names: tuple[str, ...] = HIT_COLUMNS) -> DataFrame:
     """``docs`` with llm_words (number of words), llm_spans (merged [start, end) in words) and
-    llm_items (ids of the items with an occurring window).  No shuffle: one Arrow pass per block
-    of the benchmark, in which each pass adds to what the ones before have found.
+    llm_items (ids of the items with an occurring window), or columns of other ``names``, which
+    no column of ``docs`` may have.  No shuffle: one Arrow pass per block of the benchmark, in
+    which each pass adds to what the ones before have found.
     """
-    sc, out = docs.sparkSession.sparkContext, docs.drop(*[f.name for f in HIT_FIELDS])
-    schema = T.StructType([*out.schema.fields, *HIT_FIELDS])
+    spark, out = docs.sparkSession, docs
+    fields = [T.StructField(n, t) for n, t in zip(names, HIT_TYPES, strict=True)]
+    schema = T.StructType([*docs.schema.fields, *fields])
     kinds = [pa.int64(), pa.list_(pa.list_(pa.int64())), pa.list_(pa.int64())]
 
     def scan(phrases):
@@ -231,13 +242,13 @@ def mark(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, block_byte
                 for b in held:
                     to = at + b.num_rows
                     new = [n[at:to], spans[at:to], [sorted(i for i in x if i is not None) for x in items[at:to]]]
-                    if "llm_spans" in b.schema.names:
-                        new[1] = [merge_spans([*map(tuple, x), *y]) for x, y in zip(b.column("llm_spans").to_pylist(), new[1], strict=True)]
-                        new[2] = [sorted({*x, *y}) for x, y in zip(b.column("llm_items").to_pylist(), new[2], strict=True)]
+                    if names[1] in b.schema.names:
+                        new[1] = [merge_spans([*map(tuple, x), *y]) for x, y in zip(b.column(names[1]).to_pylist(), new[1], strict=True)]
+                        new[2] = [sorted({*x, *y}) for x, y in zip(b.column(names[2]).to_pylist(), new[2], strict=True)]
                         b = b.select(b.schema.names[:-3])
                     new[1] = [[list(s) for s in x] for x in new[1]]
-                    for f, kind, values in zip(HIT_FIELDS, kinds, new, strict=True):
-                        b = b.append_column(f.name, pa.array(values, kind))
+                    for name, kind, values in zip(names, kinds, new, strict=True):
+                        b = b.append_column(name, pa.array(values, kind))
                     yield b
                     at = to
 
@@ -255,8 +266,8 @@ def mark(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, block_byte
 
     some = False
     for block in benchmark_blocks(benchmark, block_bytes):
-        out, some = out.mapInArrow(scan(sc.broadcast(Phrases(block, window))), schema), True
-    return out if some else out.mapInArrow(scan(sc.broadcast(Phrases([], window))), schema)
+        out, some = out.mapInArrow(scan(Shipped(spark, Phrases(block, window))), schema), True
+    return out if some else out.mapInArrow(scan(Shipped(spark, Phrases([], window))), schema)
 
 
 def contamination_digests(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW) -> DataFrame:
@@ -272,9 +283,15 @@ def contamination_digests(docs: DataFrame, benchmark: DataFrame, window: int = W
 
 
 def clean_documents(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW) -> DataFrame:
-    """``docs`` without the documents in which a window of the benchmark occurs."""
-    marked = mark(docs.withColumn("text", F.col("text").cast("string")), benchmark, window)
-    return marked.where(F.size("llm_spans") == 0).select(*docs.columns)
+    """``docs`` without the documents in which a window of the benchmark occurs.
+
+    Null, empty and word-less texts stay, as do repeated rows of a clean text; all columns
+    stay as they are, whatever their names.  An empty benchmark keeps everything, an empty
+    table stays empty.
+    """
+    names = fresh(docs, *HIT_COLUMNS)
+    marked = mark(docs.withColumn("text", F.col("text").cast("string")), benchmark, window, names=tuple(names))
+    return marked.where(F.size(named(names[1])) == 0).select(*columns_of(docs))
 
 
 #: DuckDB twin of contamination_digests.

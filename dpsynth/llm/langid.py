@@ -2,9 +2,11 @@
 
 Letters are lower-cased, everything else counts as a blank; bigrams and trigrams go to a fixed
 number of buckets.  The model is one log-probability matrix, buckets x languages, broadcast to
-the workers (its size is bounded by BROADCAST_BYTES, with fewer buckets beyond).  A batch is
-scored in numpy from its sparse bucket indices: rows of the matrix are gathered and summed per
-text.  Whole texts are scored; long ones in segments, whose sums add up.
+the workers in blocks of languages of at most BROADCAST_BYTES: 256 languages at the default
+number of buckets, so one block as a rule.  Each block is one Arrow pass, which adds its best
+language and its sum of evidence to those of the passes before.  A batch is scored in numpy from
+its sparse bucket indices: rows of the matrix are gathered and summed per text.  Whole texts are
+scored; long ones in segments, whose sums add up.
 """
 
 from __future__ import annotations
@@ -16,6 +18,9 @@ import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
+
+from dpsynth.llm.common import Shipped, fresh, named
 
 #: At most about so many labelled documents of each language are learned from, dealt by a hash of doc_id.
 TRAIN_DOCS_PER_LANG = 2_000
@@ -104,7 +109,17 @@ class NaiveBayes:
         weights = np.vstack([np.log(dense / dense.sum(0)), np.zeros((1, len(langs)))]).astype(np.float32)
         return cls(langs, weights, np.log(total / total.sum()), bits)
 
-    def predict(self, texts: list[str | None]) -> tuple[list[str], np.ndarray]:
+    def block(self, start: int, stop: int) -> NaiveBayes:
+        """The model of some of the languages; priors stay those of the whole."""
+        return NaiveBayes(self.langs[start:stop], self.weights[:, start:stop], self.prior[start:stop], self.bits)
+
+    def blocks(self, size: int = BROADCAST_BYTES) -> list[NaiveBayes]:
+        """The model in blocks of languages whose matrices have at most about ``size`` bytes."""
+        step = max(1, size // (4 << self.bits))
+        return [self.block(k, k + step) for k in range(0, len(self.langs), step)]
+
+    def joint(self, texts: list[str | None]) -> tuple[np.ndarray, np.ndarray]:
+        """Log of prior and likelihood (texts x languages), and the grams of each text, 0 without a letter."""
         if self.index is None:
             self.index = GramIndex(self.bits)
         n = len(texts)
@@ -114,17 +129,18 @@ class NaiveBayes:
             for row in index:
                 np.add.at(sums, owner, np.add.reduceat(self.weights[row], starts, axis=0, dtype=np.float64))
                 np.add.at(grams, owner, np.add.reduceat((row != self.index.none).astype(np.int64), starts))
-        if not self.langs:
-            return [UNDETERMINED] * n, np.zeros(n)
-        known = (letters > 0) & (grams > 0)
-        joint = sums + self.prior
-        best = joint.argmax(1)
-        # the posterior, with the evidence of a text limited to that of EVIDENCE grams
+        return sums + self.prior, np.where(letters > 0, grams, 0)
+
+    def best(self, texts: list[str | None]) -> tuple[list[str | None], np.ndarray, np.ndarray]:
+        """Per text: the likeliest language (None without a gram), its tempered log probability,
+        and the log of the sum of those of all languages.  The evidence of a text is limited to
+        that of EVIDENCE grams."""
+        joint, grams = self.joint(texts)
         tempered = joint * np.minimum(1.0, EVIDENCE / np.maximum(grams, 1))[:, None]
-        tempered -= tempered.max(1, keepdims=True)
-        share = np.exp(tempered)
-        score = np.where(known, share.max(1) / share.sum(1), 0.0)
-        return [self.langs[i] if k else UNDETERMINED for i, k in zip(best, known, strict=True)], score
+        at = joint.argmax(1)
+        top = tempered.max(1)
+        total = top + np.log(np.exp(tempered - top[:, None]).sum(1))
+        return [self.langs[i] if g > 0 else None for i, g in zip(at, grams, strict=True)], top, total
 
 
 def held_out(docs: DataFrame):
@@ -137,18 +153,17 @@ def train(docs: DataFrame, per_lang: int = TRAIN_DOCS_PER_LANG, bits: int = BUCK
 
     The sample of each language is every such document where it has at most ``per_lang``; else
     those whose hashed doc_id falls below per_lang / count.  Gram counts are summed in Spark;
-    the driver gets at most buckets x languages numbers.
+    the driver gets one number per language, and the gram counts of the bounded samples.
     """
+    spark = docs.sparkSession
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("lang").cast("string").alias("lang"), F.col("text").cast("string").alias("text"))
     rows = rows.where(F.col("lang").isNotNull() & F.col("doc_id").isNotNull() & ~held_out(rows))
     found = {r["lang"]: r["n"] for r in rows.groupBy("lang").agg(F.count("*").alias("n")).collect()}
-    while bits > 8 and (len(found) * 4 << bits) > BROADCAST_BYTES:
-        bits -= 1
     if not found:
         return NaiveBayes([], np.zeros(((1 << bits) + 1, 0), np.float32), np.zeros(0), bits)
-    share = F.element_at(F.create_map(*[F.lit(x) for k, n in found.items() for x in (k, per_lang / n)]), F.col("lang"))
+    shares = spark.createDataFrame([(k, per_lang / n) for k, n in found.items()], "lang string, share double")
     dealt = F.pmod(F.xxhash64("doc_id", F.lit("langid")), F.lit(1_000_003)) / 1_000_003.0
-    sample = rows.where(dealt < share).select("lang", "text")
+    sample = rows.withColumn("dealt", dealt).join(shares, "lang").where("dealt < share").select("lang", "text")
 
     def count(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         index, sums = GramIndex(bits), {}
@@ -166,20 +181,39 @@ def train(docs: DataFrame, per_lang: int = TRAIN_DOCS_PER_LANG, bits: int = BUCK
     return NaiveBayes.of_counts(counts, found, bits)
 
 
-def identify(docs: DataFrame, model: NaiveBayes) -> DataFrame:
-    """``docs`` with lang_pred and score; all columns stay (same names are replaced).  No shuffle."""
-    from pyspark.sql import types as T
+def identify(docs: DataFrame, model: NaiveBayes, names: tuple[str, str] = ("lang_pred", "score"), block_bytes: int = BROADCAST_BYTES) -> DataFrame:
+    """``docs`` with the predicted language and its posterior share in two new columns ``names``.
 
-    kept = docs.drop("lang_pred", "score")
-    shared = docs.sparkSession.sparkContext.broadcast(model)
-    schema = T.StructType([*kept.schema.fields, T.StructField("lang_pred", T.StringType()), T.StructField("score", T.DoubleType())])
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            langs, scores = shared.value.predict(b.column("text").to_pylist())
-            yield b.append_column("lang_pred", pa.array(langs, pa.string())).append_column("score", pa.array(scores, pa.float64()))
-
-    return kept.mapInArrow(run, schema)
+    All columns stay; one that has such a name is replaced, so give others to keep it (see
+    common.fresh).  Texts that are null or have no letter, and all texts under a model without
+    languages, get ``und`` and 0.  Repeated rows get equal results, an empty table stays empty.
+    No shuffle: one Arrow pass for each block of the model.
+    """
+    kept = docs.drop(*names)
+    at_lang, at_top, at_total = fresh(kept, "llm_best", "llm_top", "llm_total")
+    found = [(at_lang, T.StringType()), (at_top, T.DoubleType()), (at_total, T.DoubleType())]
+    schema = T.StructType([*kept.schema.fields, *(T.StructField(n, t) for n, t in found)])
+
+    def scan(shared):
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for b in batches:
+                langs, top, total = shared.value.best(b.column("text").to_pylist())
+                if at_lang in b.schema.names:
+                    old, old_top, old_total = b.column(at_lang).to_pylist(), *(b.column(c).to_numpy(zero_copy_only=False) for c in (at_top, at_total))
+                    langs = [x if p > q else y for x, y, p, q in zip(langs, old, top, old_top, strict=True)]
+                    top, total = np.maximum(top, old_top), np.logaddexp(total, old_total)
+                    b = b.select(b.schema.names[:-3])
+                yield b.append_column(at_lang, pa.array(langs, pa.string())).append_column(at_top, pa.array(top, pa.float64())).append_column(at_total, pa.array(total, pa.float64()))
+
+        return run
+
+    out = kept
+    for part in model.blocks(block_bytes):
+        out = out.mapInArrow(scan(Shipped(docs.sparkSession, part)), schema)
+    if not model.langs:
+        out = out.withColumns({at_lang: F.lit(None).cast("string"), at_top: F.lit(0.0), at_total: F.lit(0.0)})
+    sure = F.when(F.col(at_lang).isNull(), F.lit(0.0)).otherwise(F.least(F.exp(F.col(at_top) - F.col(at_total)), F.lit(1.0)))
+    return out.select(*[named(c) for c in kept.columns], F.coalesce(at_lang, F.lit(UNDETERMINED)).alias(names[0]), sure.alias(names[1]))
 
 
 def predict_languages(docs: DataFrame, per_lang: int = TRAIN_DOCS_PER_LANG, bits: int = BUCKET_BITS) -> DataFrame:

@@ -13,7 +13,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from dpsynth.llm.common import ASCII_SPACE, byte_text, cut, shuffle_width
+from dpsynth.llm.common import ASCII_SPACE, byte_text, cut, fresh, named, shuffle_width
 
 #: Production parameters: keys of at least so many code points, found in at least so many documents.
 MIN_CHARS, MIN_DOCS = 1, 10
@@ -88,19 +88,26 @@ def dedup_lines(docs: DataFrame, policy: str = "all", min_docs: int = MIN_DOCS,
     """``docs`` with the kept text in place of ``text`` and two more columns: llm_n_lines and llm_n_dropped.
 
     A null text counts as one empty line and becomes an empty text.  Rows of the same doc_id
-    count as one document; each keeps its own bitmap.  All other columns stay.
+    count as one document (null is one id); each keeps its own bitmap, repeated rows equal
+    ones.  All other columns stay as they are, whatever their names; the two new ones get
+    underscores where their names are taken.  An empty table stays empty.
     """
     bitmaps = drop_bitmaps(occurrences(docs, min_chars), policy, min_docs)
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
-    rows = docs.withColumns({"text": text, "llm_key": F.col("doc_id").cast("long"), "llm_hash": F.xxhash64(text)})
-    found = bitmaps.select(F.col("doc_id").alias("llm_doc"), F.col("row_hash").alias("llm_row"), F.col("n_dropped").alias("llm_n_dropped"), dense_words(F.col("dropped")).alias("llm_dropped"))
-    met = rows.join(found.hint("shuffle_hash"), F.col("llm_key").eqNullSafe(F.col("llm_doc")) & (F.col("llm_hash") == F.col("llm_row")), "left")
+    lines_col, dropped_col, key, row, doc, hashed, n, bits = fresh(docs, "llm_n_lines", "llm_n_dropped", "llm_key", "llm_hash", "llm_doc", "llm_row", "llm_n", "llm_bits")
+    rows = docs.withColumns({"text": text, key: F.col("doc_id").cast("long"), row: F.xxhash64(text)})
+    found = bitmaps.select(F.col("doc_id").alias(doc), F.col("row_hash").alias(hashed), F.col("n_dropped").alias(n), dense_words(F.col("dropped")).alias(bits))
+    met = rows.join(found.hint("shuffle_hash"), F.col(key).eqNullSafe(F.col(doc)) & (F.col(row) == F.col(hashed)), "left")
     n_lines = F.length("text") - F.length(F.replace(F.col("text"), F.lit("\n"), F.lit(""))) + 1
-    return met.select(*[F.col(c) for c in docs.columns if c != "text"], kept_text(F.col("text"), F.col("llm_dropped")).alias("text"), n_lines.cast("long").alias("llm_n_lines"), F.coalesce("llm_n_dropped", F.lit(0).cast("long")).alias("llm_n_dropped"))
+    return met.select(*[named(c) for c in docs.columns if c != "text"], kept_text(F.col("text"), F.col(bits)).alias("text"), n_lines.cast("long").alias(lines_col), F.coalesce(n, F.lit(0).cast("long")).alias(dropped_col))
 
 
 def line_digests(docs: DataFrame, min_docs: int = MIN_DOCS, min_chars: int = MIN_CHARS) -> DataFrame:
-    """Per row of ``docs``: doc_id, n_lines, n_dropped, kept_sha256.  Other columns are not read."""
+    """Per row of ``docs``: doc_id, n_lines, n_dropped, kept_sha256.
+
+    Null and empty texts are one empty line; repeated rows each give a row; an empty table gives
+    an empty result.  Other columns are not read.
+    """
     kept = dedup_lines(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), "all", min_docs, min_chars)
     return kept.select("doc_id", F.col("llm_n_lines").alias("n_lines"), F.col("llm_n_dropped").alias("n_dropped"), F.sha2("text", 256).alias("kept_sha256"))
 
