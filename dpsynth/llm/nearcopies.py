@@ -1,11 +1,14 @@
-"""Near copies by shingle similarity: documents whose sets of five-word shingles have a Jaccard
-similarity of 0.8 or more are linked, and one document of each component of links stays.
-
-Candidates come from bands of min-hashes, which meet only where two sets agree on BAND minima at
-once; a pair at the threshold misses all BANDS bands with probability (1 - 0.8^4)^32 = 5e-8, a
-closer pair less.  Each band's documents are tied to the smallest of them, never pair by pair,
-and the components of these ties hold all candidate pairs.  Inside such a component every pair
-of sets is counted exactly; a component too large for a task is dealt as pairs of blocks.
+"""SimHash near-dedup with the reach of a pipeline stage: documents whose sets of five-word shingles
+have a Jaccard similarity of 0.8 or more are linked, and one of each component of links stays.
+
+At that similarity two 64-bit fingerprints lie some 10 +- 3 bits apart, and no tree over Hamming
+distances prunes at such radii.  So the links of the fingerprints (simhash.links) are candidates,
+and so are documents that agree in one of BANDS small samples of their shingles, each the minima of
+BAND hash orders.  A pair at the threshold agrees in no sample with probability
+(1 - 0.8^4)^32 = 5e-8, a closer pair less.  Each sample's documents are tied to the smallest of
+them, never pair by pair, and the components of all these ties hold all candidate pairs.  Inside
+such a component every pair of sets is counted exactly; a component too large for a task is dealt
+as pairs of blocks.
 """
 
 from __future__ import annotations
@@ -16,9 +19,10 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from dpsynth.llm import simhash
 from dpsynth.llm.backoff import mix
 from dpsynth.llm.common import cut
-from dpsynth.llm.simhash import LOWER, Forest, components
+from dpsynth.llm.simhash import LOWER, Forest, bits_over_half, components, keep_first
 
 SHINGLE, BANDS, BAND = 5, 32, 4
 #: Documents and shingles of a block; a task compares two blocks at a time.
@@ -48,16 +52,17 @@ def band_keys(sets: list[np.ndarray]) -> np.ndarray:
 
 
 def signatures(docs: DataFrame) -> DataFrame:
-    """doc_id, row_hash, sid (hash of the shingle set), n (its size) and bands per row of ``docs``."""
+    """doc_id, row_hash, sid (hash of the shingle set), n (its size), fp (its fingerprint) and bands per row of ``docs``."""
 
     def run(batches):
         for b in batches:
-            sids, sizes, bands, held, size = [], [], [], [], 0
+            sids, sizes, prints, bands, held, size = [], [], [], [], [], 0
 
-            def flush(held=held, bands=bands):
+            def flush(held=held, bands=bands, prints=prints):
                 some = [s for s in held if len(s)]
                 keys = iter(band_keys(some).view(np.int64).tolist() if some else [])
                 bands += [next(keys) if len(s) else [] for s in held]
+                prints.append(bits_over_half(np.concatenate([np.zeros(0, np.uint64), *some]), np.array([len(s) for s in held], np.int64)))
                 held.clear()
 
             for t in b.column(2).to_pylist():
@@ -70,9 +75,10 @@ def signatures(docs: DataFrame) -> DataFrame:
                     flush()
                     size = 0
             flush()
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(np.array(sids, np.uint64).view(np.int64)), pa.array(sizes, pa.int64()), pa.array(bands, pa.list_(pa.int64()))], ["doc_id", "row_hash", "sid", "n", "bands"])
+            longs = [pa.array(np.array(sids, np.uint64).view(np.int64)), pa.array(sizes, pa.int64()), pa.array(np.concatenate(prints).view(np.int64))]
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), *longs, pa.array(bands, pa.list_(pa.int64()))], ["doc_id", "row_hash", "sid", "n", "fp", "bands"])
 
-    return keyed(docs).select("doc_id", "row_hash", "text").mapInArrow(run, "doc_id long, row_hash long, sid long, n long, bands array<long>")
+    return keyed(docs).select("doc_id", "row_hash", "text").mapInArrow(run, "doc_id long, row_hash long, sid long, n long, fp long, bands array<long>")
 
 
 def keyed(docs: DataFrame) -> DataFrame:
@@ -113,11 +119,23 @@ def similar(sets: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
     return np.nonzero((both > 0) & (9 * both >= 4 * (n[:, None] + n[None, :])))
 
 
-def links(rows: DataFrame, docs: DataFrame) -> DataFrame:
-    """Forest edges (a, b) between the sids in ``rows`` (sid, k: a row with this set, n, bands)."""
+def candidates(rows: DataFrame) -> DataFrame:
+    """Ties (a, b) between the sids in ``rows`` (sid, fp, bands): the links of their fingerprints, and the
+    smallest sid of each band key with all others."""
     ties = rows.select("sid", F.explode("bands").alias("key"))
     least = cut(ties.groupBy("key").agg(F.min("sid").alias("b"), F.count("*").alias("n")).where("n > 1").select("key", "b"))
-    near = components(ties.join(least, "key").where("sid <> b").select(F.col("sid").alias("a"), "b").distinct())
+    banded = ties.join(least, "key").where("sid <> b").select(F.col("sid").alias("a"), "b")
+    prints = rows.where(F.size("bands") > 0)
+    heads = cut(prints.groupBy("fp").agg(F.min("sid").alias("head")))
+    equal = prints.join(heads, "fp").where("sid <> head").select(F.col("sid").alias("a"), F.col("head").alias("b"))
+    at = lambda c: heads.select(F.col("fp").alias(c), F.col("head").alias(f"head_{c}"))
+    near = simhash.links(heads.select("fp")).join(at("a"), "a").join(at("b"), "b").select(F.col("head_a").alias("a"), F.col("head_b").alias("b"))
+    return banded.union(equal).union(near)
+
+
+def links(rows: DataFrame, docs: DataFrame) -> DataFrame:
+    """Forest edges (a, b) between the sids in ``rows`` (sid, k: a row with this set, n, fp, bands)."""
+    near = components(candidates(rows))
     members = cut(rows.select("sid", "k", "n").join(near.select(F.col("node").alias("sid"), "root"), "sid"))
     blocks = members.groupBy("root").agg(F.ceil(F.greatest(F.count("*") / BLOCK_DOCS, F.sum("n") / BLOCK_SHINGLES)).cast("int").alias("blocks"))
     own = F.pmod(F.xxhash64("sid"), F.col("blocks")).cast("int")
@@ -148,15 +166,12 @@ def keep_one(docs: DataFrame) -> DataFrame:
     """``docs`` with one row of each component: that of the smallest doc_id, then text hash.
 
     Texts with the same shingles are one set; null, empty and blank texts have none and are alike.
+    A text of fewer than five words is one shingle.  Repeated rows leave one, whatever their
+    other columns; null doc_ids are the smallest.  All columns stay as they are, whatever
+    their names; an empty table stays empty.
     """
     rows = cut(signatures(docs))
-    sets = cut(rows.groupBy("sid").agg(F.min(F.struct("doc_id", "row_hash")).alias("k"), F.first("n").alias("n"), F.first("bands").alias("bands")))
+    sets = cut(rows.groupBy("sid").agg(F.min(F.struct("doc_id", "row_hash")).alias("k"), *(F.first(c).alias(c) for c in ("n", "fp", "bands"))))
     found = components(links(sets, docs)).withColumnRenamed("node", "sid")
-    first = cut(sets.join(found, "sid", "left").groupBy(F.coalesce("root", "sid").alias("root")).agg(F.min("k").alias("k")).select("k.doc_id", "k.row_hash").distinct())
-    # plain keys without nulls: the join and the dropping of repeated rows then share one exchange of texts
-    parts = lambda key, row: [F.coalesce(key, F.lit(0).cast("long")), key.isNull(), row]
-    names = ["llm_key", "llm_null", "llm_row"]
-    first = first.select(*[c.alias(n) for c, n in zip(parts(F.col("doc_id"), F.col("row_hash")), names, strict=True)])
-    every = docs.withColumn("llm_all", F.struct(*docs.columns)).select("llm_all", *[c.alias(n) for c, n in zip(parts(F.col("doc_id").cast("long"), F.xxhash64(F.col("text").cast("string"))), names, strict=True)])
-    met = every.join(first.hint("shuffle_hash"), names, "left_semi")
-    return met.dropDuplicates(names).select("llm_all.*")
+    first = sets.join(found, "sid", "left").groupBy(F.coalesce("root", "sid").alias("root")).agg(F.min("k").alias("k"))
+    return keep_first(docs, cut(first.select("k.doc_id", "k.row_hash")))
