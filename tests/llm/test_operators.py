@@ -6,13 +6,15 @@ columns whose names clash with ones that operators use inside.
 
 import hashlib
 import re
+import zlib
+from collections import Counter
 
 import numpy as np
 import pytest
 import xxhash
 from conftest import SF, same
 
-from dpsynth.llm import backoff, bpe, chat, fmindex, langid, licences, linededup, pii, quality, registry, simhash
+from dpsynth.llm import backoff, bpe, chat, fmindex, langid, licences, linededup, nearcopies, pii, quality, registry, simhash
 
 DOCS = "doc_id long, text string, lang string, source string, n_chars long, fp long, h1 string, llm_key int, score double, grp string, seen int"
 LONG = "Le the chat und 12 " * 20_000
@@ -50,7 +52,7 @@ def sha(text):
 
 
 RUNS = {
-    "langid": langid.predict_languages, "quality": quality.judge, "backoff": backoff.score_documents, "simhash": simhash.component_digests, "lines": linededup.line_digests,
+    "langid": langid.predict_languages, "quality": quality.judge, "backoff": backoff.score_documents, "simhash": simhash.component_digests, "near": nearcopies.signatures, "lines": linededup.line_digests,
     "licences": licences.scan, "pii": pii.find, "bpe": bpe.encode_digests, "fm": lambda d: fmindex.contamination_digests(d, d.selectExpr("doc_id as item_id", "text").where("doc_id = 9")),
 }
 
@@ -123,6 +125,35 @@ def test_language_of_nothing(odd):
     assert {r["lang_pred"] for r in unlabelled.collect()} == {"und"}
 
 
+def brute_grams(text, bits):
+    """Buckets of the bi- and trigrams with a letter; everything but letters is a blank."""
+    c = [ord(x) if x.isalpha() else 32 for x in text.lower()]
+    m = (1 << 32) - 1
+    for n, salt in ((2, 0), (3, 0x27D4EB2F)):
+        for i in range(len(c) - n + 1):
+            if any(x != 32 for x in c[i : i + n]):
+                h = (c[i] * 0x9E3779B1 & m) ^ (c[i + 1] * 0x85EBCA6B & m) ^ (c[i + 2] * 0xC2B2AE35 & m if n == 3 else 0) ^ salt
+                h = (h ^ h >> 15) * 0x2C1B3C6D & m
+                yield h >> 32 - bits
+
+
+@pytest.mark.parametrize("block_bytes", [1 << 30, 4 << langid.BUCKET_BITS])
+def test_predictions_equal_a_plain_naive_bayes(spark, documents, block_bytes):
+    rows = [(r["doc_id"], r["text"], r["lang"]) for r in documents.collect()]
+    learn = [r for r in rows if zlib.crc32(str(r[0]).encode()) % 3 != 1]
+    langs = sorted({lang for _, _, lang in learn})
+    cnt = {lang: Counter(g for _, t, x in learn if x == lang for g in brute_grams(t, 16)) for lang in langs}
+    size = {lang: sum(cnt[lang].values()) + 0.5 * (1 << 16) for lang in langs}
+    model = langid.train(documents)
+    found = {r["doc_id"]: r for r in langid.identify(documents.select("doc_id", "text"), model, block_bytes=block_bytes).collect()}
+    for i, text, _ in [r for r in rows if len(r[1]) < 20_000][:80]:
+        grams = list(brute_grams(text, 16))
+        joint = [np.log(sum(x == lang for _, _, x in learn) / len(learn)) + sum(np.log((cnt[lang][g] + 0.5) / size[lang]) for g in grams) for lang in langs]
+        cold = np.array(joint) * min(1, langid.EVIDENCE / len(grams))
+        assert found[i]["lang_pred"] == langs[int(np.argmax(joint))]
+        assert found[i]["score"] == pytest.approx(1 / np.exp(cold - cold.max()).sum(), abs=1e-3)
+
+
 def test_long_texts_score_like_their_grams():
     index = langid.GramIndex(12)
     text = "Thé quick brown fox. " * 60_000
@@ -231,8 +262,8 @@ def test_components_against_all_pairs(documents):
     assert {r["doc_id"]: (r["fingerprint"], r["component_id"]) for r in simhash.component_digests(documents).collect()} == want
 
 
-@pytest.mark.parametrize(("limit", "blocks"), [(10**6, None), (5, 4), (10**6, 5), (20, 6)])
-def test_links_of_clustered_fingerprints(spark, limit, blocks):
+@pytest.mark.parametrize(("blocks", "shard", "limit"), [(None, 10**6, 10**6), (4, 100, 80), (6, 100, 10**6), (None, 10**6, 300)])
+def test_links_of_clustered_fingerprints(spark, blocks, shard, limit):
     rng = np.random.default_rng(0)
     x = np.repeat(rng.integers(0, 2**63, 40).astype(np.uint64), 30)
     for _ in range(6):
@@ -240,7 +271,7 @@ def test_links_of_clustered_fingerprints(spark, limit, blocks):
     x = np.unique(x)
     root, signed = brute_components(x), x.view(np.int64).tolist()
     frame = spark.createDataFrame([(v,) for v in signed], "fp long")
-    found = {r["node"]: r["root"] for r in simhash.components(simhash.links(frame, 3, blocks, limit)).collect()}
+    found = {r["node"]: r["root"] for r in simhash.components(simhash.links(frame, 3, blocks, shard, limit)).collect()}
     groups = {}
     for v, k in zip(signed, root, strict=True):
         groups.setdefault(k, []).append(v)
@@ -248,12 +279,40 @@ def test_links_of_clustered_fingerprints(spark, limit, blocks):
         assert {found.get(v, v) for v in g} == {min(g)}
 
 
-def test_large_shards_use_the_tree():
+def test_cutting_saves_pairs_and_keeps_near_ones_together(spark):
+    rng = np.random.default_rng(2)
+    x = rng.integers(0, 2**63, 3000).astype(np.uint64)
+    x = np.unique(np.concatenate([x, x[:200] ^ np.uint64(5)]))
+    homes = spark.createDataFrame([(7, v) for v in x.view(np.int64).tolist()], "shard long, fp long")
+    shards = {}
+    for r in simhash.cut_large(homes, 3, 400).collect():
+        shards.setdefault(r["shard"], set()).add(r["fp"])
+    assert len(shards) > 4 and set().union(*shards.values()) == set(x.view(np.int64).tolist())
+    assert sum(len(s) ** 2 for s in shards.values()) < 0.75 * len(x) ** 2
+    near = [(a, b) for i, a in enumerate(x) for b in x[i + 1 :][np.bitwise_count(x[i + 1 :] ^ a) <= 3]]
+    signed = lambda v: int(np.uint64(v).astype(np.int64))
+    assert near and all(any({signed(a), signed(b)} <= s for s in shards.values()) for a, b in near)
+
+
+def test_trees_prune_and_equal_all_pairs():
     rng = np.random.default_rng(1)
-    x = np.unique(np.concatenate([rng.integers(0, 2**63, 900).astype(np.uint64)] * 2) ^ (np.uint64(1) << rng.integers(0, 64, 1800).astype(np.uint64)))
-    forest = simhash.Forest(len(x))
-    simhash.link_within(x, np.arange(len(x)), 3, forest)
+    x = np.unique(np.concatenate([rng.integers(0, 2**63, 2000).astype(np.uint64)] * 2) ^ (np.uint64(1) << rng.integers(0, 64, 4000).astype(np.uint64)))
+    forest, tally = simhash.Forest(len(x)), Counter()
+    simhash.link_within(x, np.arange(len(x)), 3, forest, tally)
     assert [forest.find(i) for i in range(len(x))] == brute_components(x)
+    assert tally["nodes"] > 20 and tally["pruned"] > 0.5 * len(x) ** 2 / 2 and tally["compared"] + tally["pruned"] >= len(x) * (len(x) - 1) // 2
+
+
+def test_trees_run_at_default_settings(spark):
+    """On sf0.1 the search of shards of the default size goes through trees that prune."""
+    docs = spark.read.parquet("/root/testdata/sf0.1/documents.parquet").select("doc_id", "text")
+    x = np.unique(np.array([r["fp"] for r in simhash.fingerprint(docs).select("fp").collect()], np.int64).view(np.uint64))
+    assert len(x) > simhash.SHARD  # so several shards, each far beyond a leaf
+    tally = Counter()
+    a, b = simhash.shard_edges(np.zeros(simhash.SHARD, np.int64), x[: simhash.SHARD], 3, tally)
+    assert tally["nodes"] > 30 and tally["pruned"] > 2 * tally["compared"]
+    root, of = brute_components(x[: simhash.SHARD]), dict(zip(a.tolist(), b.tolist(), strict=True))
+    assert all(of.get(v, v) == int(x[r]) for v, r in zip(x[: simhash.SHARD].tolist(), root, strict=True))
 
 
 def test_one_of_each_component_stays(odd):
