@@ -8,6 +8,7 @@ import hashlib
 import re
 import zlib
 from collections import Counter
+from itertools import product
 
 import numpy as np
 import pytest
@@ -424,26 +425,49 @@ def test_tagger_gradients():
         assert g[name][at] == pytest.approx((up - down) / 2e-4, rel=1e-2, abs=1e-4)
 
 
-def test_tagger_learns_and_keeps_base_spans(spark):
-    rng = np.random.default_rng(5)
-    word = lambda: "".join(rng.choice(list("abcdefghij"), rng.integers(2, 9)))
-    secret = [lambda: f"{word()}.{rng.integers(99)}@{word()}.com", lambda: ".".join(str(x) for x in rng.integers(1, 255, 4)), lambda: f"+1 ({rng.integers(200, 999)}) 555-{rng.integers(1000, 9999)}"]
-    texts = [" ".join([word() for _ in range(20)] + [secret[i % 3]()] + [word() for _ in range(20)]) for i in range(360)]
-    codes, tags = (np.concatenate(x) for x in zip(*[pii.windows_of(t, pii.labels_of(len(t), pii.base_spans(t)))[1:] for t in texts[:300]], strict=True))
-    tagger = pii.Tagger()
-    losses = tagger.fit(*pii.balanced(codes, tags))
-    assert losses[-1] < 0.05 * losses[0]
-    hit = n = 0
-    for t in texts[300:]:
-        starts, c, _ = pii.windows_of(t)
-        got = {s[:3] for s in pii.read_spans(len(t), starts, *tagger.decode(c))}
-        hit, n = hit + len(got & set(pii.base_spans(t))), n + len(pii.base_spans(t))
-    assert hit / n > 0.85
-    for (base, every), t in zip(pii.all_spans(texts, tagger), texts, strict=True):
+def test_decoding_equals_all_paths():
+    t, rng = pii.Tagger(3), np.random.default_rng(1)
+    free = ~pii.RULED_OUT
+    t.p["trans"][free] = rng.standard_normal(free.sum())
+    codes = rng.integers(0, pii.N_CLASSES, (5, 4))
+    e, trans = t.emissions(codes.T), t.p["trans"]
+    paths = np.array(list(product(range(pii.TAGS), repeat=4)))
+    score = t.p["start"][paths[:, 0]] + trans[paths[:, 0], paths[:, 1]] + trans[paths[:, 1], paths[:, 2]] + trans[paths[:, 2], paths[:, 3]]
+    tags, sure = t.decode(codes)
+    for k in range(5):
+        total = score + sum(e[i, k, paths[:, i]] for i in range(4))
+        weight = np.exp(total - total.max())
+        assert tags[k].tolist() == paths[total.argmax()].tolist()
+        if tags[k].any():
+            assert sure[k] == pytest.approx([weight[paths[:, i] == tags[k, i]].sum() / weight.sum() for i in range(4)], abs=1e-4)
+    assert t._crf(e)[2] == pytest.approx([np.logaddexp.reduce(score + sum(e[i, k, paths[:, i]] for i in range(4))) for k in range(5)], rel=1e-4)
+
+
+def test_tagger_on_held_out_passages(spark):
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
+    passages = pii.passages_of(docs, 500)
+    assert len(passages) > pii.TRAIN_PASSAGES + 100 and all(len(p) <= pii.PASSAGE and not pii.TRIGGER.search(p) for p in passages)
+    tagger, held = pii.trained(passages[: pii.TRAIN_PASSAGES]), passages[pii.TRAIN_PASSAGES :]
+    plain, both = pii.evaluate(None, held, 99), pii.evaluate(tagger, held, 99)
+    total = lambda r, k: sum(x[k] for x in r.values())
+    assert total(plain, 1) < 0.4 * total(plain, 0)  # the patterns alone
+    assert total(both, 1) > 0.85 * total(both, 0) and total(both, 1) > 0.93 * total(both, 2)  # recall and precision
+    texts = [pii.Forge(5).write(p)[0] for p in held[:40]] + ["", "no digits", "12 May 2021, version 3.0.1"]
+    for t, (base, every) in zip(texts, pii.all_spans(texts, tagger), strict=True):
         assert set(base) <= set(every) and base == pii.base_spans(t)
+        assert all(pii.plausible(k, t[a:b]) for k, a, b in every if (k, a, b) not in base)
+    assert pii.all_spans(texts[-2:], tagger) == [([], []), ([], [])]
     assert pii.redact("mail a@b.c now", [(0, 5, 10)]) == "mail [email] now"
 
 
+def test_few_passages_reach_the_driver(spark):
+    same = spark.range(3000).selectExpr("id as doc_id", "'a b c d e f g' as text")
+    assert pii.passages_of(same) == ["a b c d e f g"]
+    assert pii.passages_of(same.selectExpr("doc_id", "concat(text, ' 1') as text")) == []
+    long = spark.createDataFrame([("x y " * 300_000,)], "text string")
+    assert [len(p) for p in pii.passages_of(long)] == [pii.PASSAGE]
+
+
 # -- 10 encoding ------------------------------------------------------------------------------------
 @pytest.fixture(scope="module")
 def coder():
