@@ -1,34 +1,41 @@
 """Quality rules: robust multivariate outliers by minimum covariance determinant.
 
 Word statistics of every text are turned into a vector of logarithmic ratios.  For each language
-and source the covariance with the smallest determinant over SUPPORT of the documents is sought
-by concentration steps from a deterministic start (medians and quartile ranges).  A step is one
-aggregation: distances under the present estimate fall into fine bins, moments are summed per
-group and bin, and the bins of the nearest SUPPORT give the next estimate.  So a step shuffles a
-bounded number of rows per group, whatever a group's size; estimates stay in tables, as the
-number of groups is not bounded.
+and source the mean and covariance of the SUPPORT share of documents with the smallest
+determinant are sought.  All documents count, but a group comes to one task as a table of at most
+CELLS grid cells, each with its exact moments: the grid is as fine as that bound allows, so a
+group of any size takes bounded memory and the shuffle carries few rows for it.  On the cells the
+estimate is sought from several starts (medians and quartile ranges, and small random
+subsets) by concentration steps until the determinant stays; the smallest determinant wins.  It
+is then made consistent for normal data and reweighted once, as usual.
 """
 
 from __future__ import annotations
 
 from collections import Counter
 from collections.abc import Iterator
+from math import factorial
 
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from dpsynth.llm.common import cut
 
-#: Share of a group that an estimate rests on, concentration steps, smallest group with its own estimate.
-SUPPORT, STEPS, MIN_GROUP = 0.75, 3, 50
-#: Standard deviations below which a component is not believed: ratios that are zero in most texts have none of their own.
+#: Share of a group that an estimate rests on, smallest group with an estimate of its own.
+SUPPORT, MIN_GROUP = 0.75, 20
+#: Random starts, those of all starts that are followed to the end, and steps at most.
+STARTS, FOLLOWED, STEPS = 60, 8, 100
+#: Cells of one group at most.  Cells are 2^-4 to 2^-1 wide; at that width, with component 0 up to
+#: TOP, there are 2 TOP + 1 times 10 times 15 times 8 of them at most, but far fewer have a text.
+CELLS, WIDTHS, TOP = 20_000, (16, 8, 4, 2), 8
+#: Standard deviations that count as the least possible: ratios that are zero in most texts have none of their own.
 #: For repeated lines and words half the step that one repeated line of eight words makes in 300: log1p(1000 / 300) / 2, log1p(1600 / 300) / 2.
 FLOORS = (0.1, 0.38, 0.73, 0.92)
-#: Chi-square with four degrees of freedom: the median, and the quantile beyond which one in a thousand lies.
-MEDIAN, CUTOFF = 3.3567, 18.4668
+#: Chi-square with four degrees of freedom: the median, the quantile that reweighting keeps, and that beyond which one in a thousand lies.
+MEDIAN, INLIER, CUTOFF = 3.3567, 11.1433, 18.4668
 BASE_WORDS, BASE_REPEATS = 50, 50
 
 SPACES, SYMBOLS = b" \t\n\x0b\x0c\r", b"#*$%&|<>"
@@ -87,34 +94,134 @@ def with_groups(rows: DataFrame, min_group: int) -> DataFrame:
     return rows.join(names, ["lang", "source"], "left").withColumn("grp", F.coalesce("grp", F.lit("[]")))
 
 
-def first_estimates(rows: DataFrame) -> DataFrame:
-    """Per group: medians and quartile ranges of the components, read from bins of width 0.01."""
-    long = rows.select("grp", F.posexplode(F.array(*[F.col(f"v{i}") for i in range(P)])).alias("i", "v")).groupBy("grp", "i", F.floor(F.col("v") * 100).alias("bin")).agg(F.count("*").alias("n"))
-    w = Window.partitionBy("grp", "i").orderBy("bin")
-    at = long.withColumn("upto", F.sum("n").over(w)).withColumn("all", F.sum("n").over(Window.partitionBy("grp", "i")))
-    quartile = lambda q: F.min(F.when(F.col("upto") >= q * F.col("all"), F.col("bin"))) / 100
-    each = at.groupBy("grp", "i").agg(quartile(0.5).alias("mid"), ((quartile(0.75) - quartile(0.25)) / 1.349).alias("dev"), F.max("all").alias("n"))
-    return each.groupBy("grp").agg(F.max("n").alias("n"), F.array_sort(F.collect_list(F.struct("i", "mid", "dev"))).alias("c")).select("grp", "n", F.col("c.mid").alias("mean"), F.transform("c.dev", lambda d: d * d).alias("var"))
+def cells_of(rows: DataFrame, limit: int = CELLS) -> DataFrame:
+    """grp, m, s0.., q0..: counts and moments of the cells of each group, on the finest grid of WIDTHS
+    on which the group has at most ``limit`` cells (or on the widest)."""
+    v = [F.col(f"v{i}") for i in range(P)]
+    at = lambda k: [F.floor((F.least(x, F.lit(TOP)) if i == 0 else x) * k).alias(f"c{i}") for i, x in enumerate(v)]
+    key = [f"c{i}" for i in range(P)]
+    sums = [F.count("*").alias("m"), *[F.sum(x).alias(f"s{i}") for i, x in enumerate(v)], *[F.sum(v[i] * v[j]).alias(f"q{k}") for k, (i, j) in enumerate(PAIRS)]]
+    fine = cut(rows.select("grp", *at(WIDTHS[0]), *v).groupBy("grp", *key).agg(*sums))
+    names = ["m", *[f"s{i}" for i in range(P)], *[f"q{k}" for k in range(len(PAIRS))]]
+    # coarser grids are unions of finer cells, so they are counted on the cells, not on the texts
+    coarser = lambda k: [F.shiftright(c, k).alias(c) for c in key]
+    counts = [F.approx_count_distinct(F.struct(*coarser(k)), 0.02).alias(f"n{k}") for k in range(len(WIDTHS))]
+    step = F.lit(len(WIDTHS) - 1)
+    for k in reversed(range(len(WIDTHS) - 1)):
+        step = F.when(F.col(f"n{k}") <= 0.9 * limit, F.lit(k)).otherwise(step)
+    steps = fine.groupBy("grp").agg(*counts).select("grp", step.alias("step"))
+    moved = fine.join(steps, "grp").select("grp", *[F.call_function("shiftright", c, "step").alias(c) for c in key], *names)
+    return moved.groupBy("grp", *key).agg(*[F.sum(n).alias(n) for n in names]).select("grp", *names)
 
 
-def solve(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-    """grp, n, mean and covariance (variances or upper triangle) to grp, n, mean and inverse."""
-    for f in frames:
-        inverse = []
-        for cov in f["cov"]:
-            m = np.zeros((P, P))
-            if len(cov) == P:
-                m[np.diag_indices(P)] = cov
-            else:
-                for (i, j), x in zip(PAIRS, cov, strict=True):
-                    m[i, j] = m[j, i] = x
-            m[np.diag_indices(P)] += np.square(FLOORS)
-            inv = np.linalg.inv(m)
-            inverse.append([float(inv[i, j]) for i, j in PAIRS])
-        yield pd.DataFrame({"grp": f["grp"], "n": f["n"], "mean": f["mean"], "inv": inverse})
+def floored(cov: np.ndarray) -> np.ndarray:
+    """Covariances (.. x P x P) whose variances are at least those of FLOORS; never singular."""
+    out, d = cov.copy(), np.arange(P)
+    least = np.square(FLOORS)
+    out[..., d, d] = np.maximum(out[..., d, d], least) + 1e-6 * least
+    return out
 
 
-SOLVED = "grp string, n long, mean array<double>, inv array<double>"
+class Moments:
+    """Weighted points or cells of one group: counts, sums and sums of products."""
+
+    def __init__(self, m: np.ndarray, s: np.ndarray, q: np.ndarray):
+        self.m, self.s, self.q = m, s, q
+        self.mid = s / m[:, None]
+
+    @classmethod
+    def of_points(cls, v: np.ndarray) -> Moments:
+        return cls(np.ones(len(v)), v, v[:, :, None] * v[:, None, :])
+
+    def estimate(self, share: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Mean and covariance of the given shares (0 to 1) of the cells."""
+        w = (share * self.m).sum()
+        mean = share @ self.s / w
+        return mean, np.tensordot(share, self.q, 1) / w - np.outer(mean, mean)
+
+    def distances(self, mean: np.ndarray, cov: np.ndarray) -> np.ndarray:
+        d = self.mid - mean
+        return np.einsum("ij,ij->i", d @ np.linalg.inv(floored(cov)), d)
+
+    def nearest(self, far: np.ndarray, h: float) -> np.ndarray:
+        """Shares of the cells that make up the h nearest documents; of the last cell only a part."""
+        order = np.argsort(far, kind="stable")
+        before = np.cumsum(self.m[order]) - self.m[order]
+        out = np.empty(len(far))
+        out[order] = np.clip((h - before) / self.m[order], 0.0, 1.0)
+        return out
+
+
+def consistency(share: float) -> float:
+    """Factor that makes the covariance of the nearest ``share`` of normal data that of all of them:
+    share / P(chi-square with P + 2 degrees <= its quantile at P degrees)."""
+    if share >= 1:
+        return 1.0
+    within = lambda x, k: 1 - np.exp(-x / 2) * sum((x / 2) ** i / factorial(i) for i in range(k // 2))
+    low, high = 0.0, 200.0
+    while high - low > 1e-9:
+        mid = (low + high) / 2
+        low, high = (mid, high) if within(mid, P) < share else (low, mid)
+    return float(share / within(low, P + 2))
+
+
+def objective(cov: np.ndarray) -> float:
+    return float(np.linalg.slogdet(floored(cov))[1])
+
+
+def starting_points(cells: Moments, rng: np.random.Generator) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """Medians and quartile ranges; then random subsets of P + 1 documents."""
+    mid, dev = np.empty(P), np.empty(P)
+    for i in range(P):
+        order = np.argsort(cells.mid[:, i], kind="stable")
+        upto = np.cumsum(cells.m[order])
+        low, mid[i], high = (cells.mid[order[np.searchsorted(upto, q * upto[-1])], i] for q in (0.25, 0.5, 0.75))
+        dev[i] = (high - low) / 1.349
+    yield mid, np.diag(dev * dev)
+    odds = cells.m / cells.m.sum()
+    for _ in range(STARTS):
+        some = cells.mid[rng.choice(len(odds), P + 1, p=odds)]
+        yield some.mean(0), np.cov(some.T, bias=True)
+
+
+def least_determinant(cells: Moments, support: float = SUPPORT, seed: int = 0) -> tuple[float, np.ndarray, np.ndarray]:
+    """Log determinant, mean and covariance of the support with the smallest determinant that
+    concentration steps find: two from every start, then on to the end from the best ones."""
+    h = np.ceil(support * cells.m.sum())
+
+    def step(mean: np.ndarray, cov: np.ndarray) -> tuple[float, np.ndarray, np.ndarray]:
+        mean, cov = cells.estimate(cells.nearest(cells.distances(mean, cov), h))
+        return objective(cov), mean, cov
+
+    tried = [step(*step(*start)[1:]) for start in starting_points(cells, np.random.default_rng(seed))]
+    best = None
+    for now in sorted(tried, key=lambda x: x[0])[:FOLLOWED]:
+        for _ in range(STEPS):
+            after = step(*now[1:])
+            done = after[0] >= now[0] - 1e-12
+            now = min(now, after, key=lambda x: x[0])
+            if done:
+                break
+        best = now if best is None else min(best, now, key=lambda x: x[0])
+    return best
+
+
+def robust_estimate(cells: Moments, support: float = SUPPORT) -> tuple[np.ndarray, np.ndarray, float]:
+    """Mean, inverse covariance and scale of a group: the smallest determinant, reweighted.
+
+    scale puts the median distance of the group at that of the chi-square law, where it is larger.
+    """
+    _, mean, cov = least_determinant(cells, support)
+    near = cells.distances(mean, cov * consistency(support)) <= INLIER
+    mean, cov = cells.estimate(near.astype(float))
+    cov = cov * consistency(0.975)
+    far = cells.distances(mean, cov)
+    order = np.argsort(far, kind="stable")
+    upto = np.cumsum(cells.m[order])
+    return mean, np.linalg.inv(floored(cov)), max(1.0, float(far[order[np.searchsorted(upto, 0.5 * upto[-1])]]) / MEDIAN)
+
+
+SOLVED = "grp string, n long, mean array<double>, inv array<double>, scale double"
 
 
 def distance() -> F.Column:
@@ -124,39 +231,35 @@ def distance() -> F.Column:
     return F.greatest(sum(terms[1:], terms[0]), F.lit(0.0))
 
 
-def estimates(rows: DataFrame, support: float = SUPPORT, steps: int = STEPS) -> DataFrame:
-    """grp, n, mean, inv, scale: the estimate of each group.
+def estimates(rows: DataFrame, min_group: int = MIN_GROUP, support: float = SUPPORT, limit: int = CELLS) -> DataFrame:
+    """grp, n, mean, inv, scale: the estimate of each group of at least ``min_group`` rows."""
 
-    scale puts the median distance of a group at that of the chi-square law, where it is larger.
-    """
-    now = cut(first_estimates(rows).withColumnRenamed("var", "cov").mapInPandas(solve, SOLVED))
-    for step in range(steps + 1):
-        far = rows.join(now.select("grp", "mean", "inv"), "grp").withColumn("bin", F.floor(64 * F.log1p(distance())))
-        sums = [F.count("*").alias("m"), *[F.sum(f"v{i}").alias(f"s{i}") for i in range(P)], *[F.sum(F.col(f"v{i}") * F.col(f"v{j}")).alias(f"q{k}") for k, (i, j) in enumerate(PAIRS)]]
-        bins = far.groupBy("grp", "bin").agg(*sums)
-        upto, whole = F.sum("m").over(Window.partitionBy("grp").orderBy("bin")), F.sum("m").over(Window.partitionBy("grp"))
-        bins = bins.withColumn("upto", upto).withColumn("n", whole)
-        if step == steps:
-            mid = F.expm1(F.min(F.when(2 * F.col("upto") >= F.col("n"), F.col("bin") + 1)) / 64)
-            scale = bins.groupBy("grp").agg(F.greatest(mid / MEDIAN, F.lit(1.0)).alias("scale"))
-            return cut(now.join(scale, "grp"))
-        near = bins.where(F.col("upto") - F.col("m") < support * F.col("n")).groupBy("grp").agg(F.max("n").alias("n"), F.sum("m").alias("m"), *[F.sum(c).alias(c) for c in [*(f"s{i}" for i in range(P)), *(f"q{k}" for k in range(len(PAIRS)))]])
-        mean = [F.col(f"s{i}") / F.col("m") for i in range(P)]
-        cov = [F.col(f"q{k}") / F.col("m") - mean[i] * mean[j] for k, (i, j) in enumerate(PAIRS)]
-        now = cut(near.select("grp", "n", F.array(*mean).alias("mean"), F.array(*cov).alias("cov")).mapInPandas(solve, SOLVED))
-
-
-def judge(docs: DataFrame, min_group: int = MIN_GROUP, cutoff: float = CUTOFF, support: float = SUPPORT, steps: int = STEPS) -> DataFrame:
+    def solve(f: pd.DataFrame) -> pd.DataFrame:
+        f = f.sort_values([f"s{i}" for i in range(P)])  # whatever way the cells came
+        q = np.empty((len(f), P, P))
+        for k, (i, j) in enumerate(PAIRS):
+            q[:, i, j] = q[:, j, i] = f[f"q{k}"]
+        cells = Moments(f["m"].to_numpy(float), f[[f"s{i}" for i in range(P)]].to_numpy(float), q)
+        if cells.m.sum() < min_group:
+            return pd.DataFrame({"grp": [], "n": [], "mean": [], "inv": [], "scale": []})
+        mean, inverse, scale = robust_estimate(cells, support)
+        return pd.DataFrame({"grp": [f["grp"].iloc[0]], "n": [int(cells.m.sum())], "mean": [mean.tolist()], "inv": [[float(inverse[i, j]) for i, j in PAIRS]], "scale": [scale]})
+
+    return cut(cells_of(rows, limit).groupBy("grp").applyInPandas(solve, SOLVED))
+
+
+def judge(docs: DataFrame, min_group: int = MIN_GROUP, cutoff: float = CUTOFF, support: float = SUPPORT) -> DataFrame:
     """Per row of ``docs``: doc_id, the word statistics, base_failed, kept, distance and grp.
 
     Null texts, languages and sources are empty strings.  A text that fails the base rules is
-    rejected; of the others those are whose distance exceeds the cutoff.  Where fewer than
-    ``min_group`` texts are left to learn from in all, nothing else is rejected (distance
-    null).  Repeated rows each give a row.
+    rejected; of the others those are whose distance exceeds the cutoff.  A language and source
+    with fewer than ``min_group`` texts to learn from is judged with the others like it of its
+    language, or of all languages; where that is too small too, nothing else is rejected
+    (distance null).  Repeated rows each give a row, an empty table an empty result.
     """
     rows = cut(with_vectors(statistics(docs)))
     rows = cut(with_groups(rows, min_group))
-    learned = estimates(rows.where(~F.col("base_failed")), support, steps).where(F.col("n") >= min_group)
+    learned = estimates(rows.where(~F.col("base_failed")), min_group, support)
     met = rows.join(learned.select("grp", "mean", "inv", "scale"), "grp", "left").withColumn("distance", distance() / F.col("scale"))
     met = met.withColumn("distance", F.when(F.col("scale").isNotNull(), F.col("distance")))
     kept = ~F.col("base_failed") & F.coalesce(F.col("distance") <= cutoff, F.lit(True))
