@@ -8,12 +8,13 @@ import hashlib
 import re
 import zlib
 from collections import Counter
-from itertools import product
+from itertools import combinations, product
 
 import numpy as np
 import pytest
 import xxhash
 from conftest import SF, same
+from pyspark.sql import functions as F
 
 from dpsynth.llm import backoff, bpe, chat, fmindex, langid, licences, linededup, nearcopies, pii, quality, registry, simhash
 
@@ -205,6 +206,61 @@ def test_repeated_lines_are_rejected_in_a_clean_group(spark):
     assert all(found[i]["kept"] for i in (*range(120), 1001))
 
 
+def test_determinant_is_the_smallest_of_all_subsets():
+    rng = np.random.default_rng(4)
+    for _ in range(6):
+        v = rng.standard_normal((13, 4)) @ rng.standard_normal((4, 4)) * 2
+        v[:3] += rng.standard_normal(4) * 20
+        found, mean, cov = quality.least_determinant(quality.Moments.of_points(v))
+        every = [(quality.objective(np.cov(v[list(k)].T, bias=True)), k) for k in combinations(range(13), 10)]
+        least, best = min(every)
+        assert found == pytest.approx(least) and mean == pytest.approx(v[list(best)].mean(0)) and cov == pytest.approx(np.cov(v[list(best)].T, bias=True))
+    assert (quality.consistency(0.75), quality.consistency(0.975)) == pytest.approx((1.4866, 1.0645), abs=1e-3)
+
+
+def test_verdict_is_not_that_of_the_start():
+    rng = np.random.default_rng(5)
+    v = rng.standard_normal((400, 1)) @ np.array([[3.0, 3.0, 3.0, 3.0]]) + 0.8 * rng.standard_normal((400, 4))
+    v[:20] = np.array([3.0, -3.0, 3.0, -3.0]) + 0.3 * rng.standard_normal((20, 4))  # usual on each axis, against the correlation
+    cells = quality.Moments.of_points(v)
+    mean, cov = next(quality.starting_points(cells, rng))
+    assert (cells.distances(mean, cov)[:20] <= quality.CUTOFF).all()
+    mean, inverse, scale = quality.robust_estimate(cells)
+    far = np.einsum("ij,jk,ik->i", v - mean, inverse, v - mean) / scale
+    assert (far[:20] > quality.CUTOFF).all() and (far[20:] > quality.CUTOFF).mean() < 0.02
+
+
+def test_verdicts_equal_those_without_cells(spark):
+    """A plain version: every group's vectors in one array, no grid."""
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
+    rows = quality.with_groups(quality.with_vectors(quality.statistics(docs)), quality.MIN_GROUP).toPandas()
+    got = {r["doc_id"]: r for r in quality.judge(docs).collect()}
+    assert rows["grp"].nunique() > 10  # some per language and source
+    differ = 0
+    for _, g in rows[~rows["base_failed"]].groupby("grp"):
+        v = g[[f"v{i}" for i in range(4)]].to_numpy()
+        mean, inverse, scale = quality.robust_estimate(quality.Moments.of_points(v))
+        far = np.einsum("ij,jk,ik->i", v - mean, inverse, v - mean) / scale
+        for i, d in zip(g["doc_id"], far, strict=True):
+            differ += got[i]["kept"] != (d <= quality.CUTOFF)
+    assert differ <= 0.005 * len(rows)
+    assert not any(got[i]["kept"] for i in rows[rows["base_failed"]]["doc_id"])
+
+
+def test_verdicts_against_quality_labels(spark):
+    docs, labels = (spark.read.parquet(f"/root/testdata/sf0.01/{t}.parquet") for t in ("documents", "labels"))
+    by = {r["quality"]: r["kept"] for r in quality.judge(docs).join(labels, "doc_id").where("not base_failed").groupBy("quality").agg(F.avg(F.col("kept").cast("int")).alias("kept")).collect()}
+    assert by[0] < 0.15 and by[1] > 0.98
+
+
+def test_cells_are_bounded(spark):
+    rng = np.random.default_rng(6)
+    rows = spark.createDataFrame([("g", *map(float, r)) for r in rng.uniform(0, 4, (3000, 4))] + [("h", 1.0, 0.0, 0.0, 0.0)] * 500, "grp string, v0 double, v1 double, v2 double, v3 double")
+    cells = quality.cells_of(rows, 500).toPandas()
+    assert cells["m"].sum() == 3500 and (cells["grp"] == "h").sum() == 1 and (cells["grp"] == "g").sum() < 3000
+    assert cells["s0"].sum() == pytest.approx(rows.agg({"v0": "sum"}).first()[0])
+
+
 def test_gram_keys_are_whole_and_sizes_are_counted(spark):
     assert backoff.KEY_BITS == 64
     unknown = spark.createDataFrame(spark.sparkContext.parallelize([(i, "x" * 1000) for i in range(5000)]), "doc_id long, text string")
