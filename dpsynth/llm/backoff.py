@@ -8,7 +8,13 @@ its n-grams up and sums per document.  Every n-gram of a chunk travels once, wha
 frequency, so frequent words make no skew.  Rows of plain 64-bit keys would need some 30 bytes
 for each n-gram; a block needs about four.
 
-Keys are hashes of KEY_BITS bits at every size: at 10^10 n-grams one in 10^9 shares its key with another.
+Chunks and owners both grow with the input, and so would the blocks between them with its square.
+So a node never sends more than 2^FAN_BITS blocks: beyond that many owners requests go by way of
+relays, each for the chunks of one group and one range of keys, which add up before they pass on,
+and totals come back the same way.  The number of blocks is then in proportion to the input: one
+hop up to some 100 GB, two up to some 1,000 TB.
+
+Keys are hashes of 64 bits at every size: at 10^10 n-grams one in 10^9 shares its key with another.
 """
 
 from __future__ import annotations
@@ -26,6 +32,8 @@ ALPHA, MIN_COUNT = 0.4, 2
 #: Compressed input bytes for which one chunk and one owner is made.
 CHUNK_BYTES = 6 << 20
 KEY_BITS = 64
+#: A node sends at most 2^FAN_BITS blocks; chunks of which one task reads several, beyond the session's partitions.
+FAN_BITS, TASK_CHUNKS = 14, 32
 
 LOWER = bytes(c + 32 if 65 <= c <= 90 else c for c in range(256))
 SPACE = np.isin(np.arange(256), [32, *range(9, 14)])
@@ -64,17 +72,16 @@ def word_hashes(texts: list[str | None]) -> tuple[np.ndarray, np.ndarray]:
     return mix(np.add.reduceat(letters * powers(int(length.max()))[place], first) + length.astype(np.uint64)), counts
 
 
-def gram_keys(words: np.ndarray, counts: np.ndarray, bits: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+def gram_keys(words: np.ndarray, counts: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
     """Keys of the uni-, bi- and trigram that end at each word, and the word's place in its text.
 
     Bi- and trigrams that would begin before the text are left 0 and must not be used.
     """
     place = np.arange(len(words)) - np.repeat(np.cumsum(counts) - counts, counts)
-    cut_to = np.uint64(64 - bits)
-    one = mix(words + np.uint64(1)) >> cut_to
+    one = mix(words + np.uint64(1))
     two, three = np.zeros_like(words), np.zeros_like(words)
-    two[1:] = mix(words[:-1] * _M1 + words[1:] + np.uint64(2)) >> cut_to
-    three[2:] = mix((words[:-2] * _M1 + words[1:-1]) * _M2 + words[2:] + np.uint64(3)) >> cut_to
+    two[1:] = mix(words[:-1] * _M1 + words[1:] + np.uint64(2))
+    three[2:] = mix((words[:-2] * _M1 + words[1:-1]) * _M2 + words[2:] + np.uint64(3))
     return one, two, three, place
 
 
@@ -91,24 +98,67 @@ def unpack(block: bytes, n: int) -> np.ndarray:
     return np.ascontiguousarray(planes.T).view("<u8").reshape(-1)
 
 
-def distinct_grams(texts: list[str | None], bits: int) -> tuple[np.ndarray, np.ndarray]:
+def distinct_grams(texts: list[str | None]) -> tuple[np.ndarray, np.ndarray]:
     words, counts = word_hashes(texts)
-    one, two, three, place = gram_keys(words, counts, bits)
+    one, two, three, place = gram_keys(words, counts)
     return np.unique(np.concatenate([one, two[place >= 1], three[place >= 2]]), return_counts=True)
 
 
-def owner_edges(owners: int, bits: int) -> np.ndarray:
-    """First key of each owner but the first: equal ranges of the key space."""
-    return np.array([(i << bits) // owners for i in range(1, owners)], np.uint64)
+def hops(owners: int, fan_bits: int = FAN_BITS) -> tuple[int, int]:
+    """Number of hops to at least so many owners, and bits of the key that each decides by."""
+    need = max(1, (owners - 1).bit_length())
+    n = -(-need // fan_bits)
+    return n, -(-need // n)
+
+
+MESSAGE = "grp long, prefix long, from_grp long, from_prefix long, size long, keys binary, counts binary"
+REPLY = "grp long, prefix long, part long, size long, totals binary"
+
+
+def messages(keys: np.ndarray, counts: np.ndarray, grp: int, prefix: int, hop: int, width: int) -> pa.Table:
+    """Blocks of a node's sorted keys, which all begin with the bits ``prefix``, for the nodes of the
+    next hop: each has one more digit of ``width`` bits, and the senders of 2^width groups."""
+    digits = np.arange(1 << width, dtype=np.uint64)
+    starts = (np.uint64(prefix) << np.uint64(width) | digits) << np.uint64(KEY_BITS - width * (hop + 1))
+    edge = np.append(np.searchsorted(keys, starts), len(keys))
+    sent = np.flatnonzero(edge[1:] > edge[:-1])
+    pieces = [(edge[d], edge[d + 1]) for d in sent]
+    same = lambda x: pa.array(np.full(len(sent), x, np.int64))
+    return pa.table({
+        "grp": same(grp >> width), "prefix": pa.array((prefix << width) + sent), "from_grp": same(grp), "from_prefix": same(prefix), "size": pa.array([z - a for a, z in pieces], pa.int64()),
+        "keys": pa.array([pack(np.diff(keys[a:z], prepend=np.uint64(0))) for a, z in pieces], pa.binary()), "counts": pa.array([pack(counts[a:z]) for a, z in pieces], pa.binary()),
+    })
+
+
+def merged(t: pa.Table) -> tuple[np.ndarray, np.ndarray, np.ndarray, list[int]]:
+    """Distinct keys of some messages, their counts, each message's keys as places among them, and sizes."""
+    sizes = t.column("size").to_pylist()
+    keys = [np.cumsum(unpack(k, m), dtype=np.uint64) for k, m in zip(t.column("keys").to_pylist(), sizes, strict=True)]
+    counts = np.concatenate([unpack(c, m) for c, m in zip(t.column("counts").to_pylist(), sizes, strict=True)])
+    found, back = np.unique(np.concatenate(keys), return_inverse=True)
+    return found, np.bincount(back, counts).astype(np.uint64), back, sizes
+
 
+def replies(t: pa.Table, totals: np.ndarray, back: np.ndarray, sizes: list[int]) -> pa.Table:
+    """The totals of each message's keys, for its sender."""
+    ends = np.cumsum(sizes)
+    told = [pack(totals[back[z - m : z]]) for z, m in zip(ends.tolist(), sizes, strict=True)]
+    return pa.table({"grp": t.column("from_grp"), "prefix": t.column("from_prefix"), "part": t.column("prefix"), "size": t.column("size"), "totals": pa.array(told, pa.binary())})
 
-def block_scores(texts: list[str | None], totals: np.ndarray, bits: int, alpha: float, min_count: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+
+def totals_of(told: pa.Table) -> np.ndarray:
+    """What all parts of a node's request were answered, in the order of its keys."""
+    rows = sorted(zip(told.column("part").to_pylist(), told.column("size").to_pylist(), told.column("totals").to_pylist(), strict=True))
+    return np.concatenate([np.zeros(0, np.uint64), *(unpack(b, m) for _, m, b in rows)])
+
+
+def block_scores(texts: list[str | None], totals: np.ndarray, alpha: float, min_count: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Per text: words, sum of log10 scores without the corpus size, words scored as unigrams.
 
     totals: corpus counts in the order of the sorted distinct keys of these texts.
     """
     words, counts = word_hashes(texts)
-    one, two, three, place = gram_keys(words, counts, bits)
+    one, two, three, place = gram_keys(words, counts)
     some = [place >= 0, place >= 1, place >= 2]
     _, back = np.unique(np.concatenate([k[s] for k, s in zip((one, two, three), some, strict=True)]), return_inverse=True)
     found = totals[back].astype(np.float64)
@@ -135,51 +185,53 @@ def input_bytes(docs: DataFrame) -> int:
     return size if size < 1 << 60 else int(docs.agg(F.sum(F.octet_length(F.col("text").cast("string")))).first()[0] or 0)
 
 
-def score_documents(docs: DataFrame, alpha: float = ALPHA, min_count: int = MIN_COUNT, chunks: int | None = None) -> DataFrame:
+def score_documents(docs: DataFrame, alpha: float = ALPHA, min_count: int = MIN_COUNT, chunks: int | None = None, fan_bits: int = FAN_BITS) -> DataFrame:
     """Per row of ``docs``: doc_id, n_tokens, log10_score and mean_log10 (null without words).
 
     A word scores count(trigram) / count(its first two words) if the trigram occurs at least
     min_count times in the corpus, else alpha times the same one order down; unigrams score
     count / size of the corpus.  The first words of a text start at the order that they have.
     Null and empty texts have no words.  Repeated rows count and score each.  Other columns
-    are not read.
+    are not read.  An empty table gives an empty result.
     """
-    size = input_bytes(docs)
-    n = chunks or max(shuffle_width(docs.sparkSession), math.ceil(size / CHUNK_BYTES))
-    bits = KEY_BITS
+    width_of = shuffle_width(docs.sparkSession)
+    n = chunks or max(width_of, math.ceil(input_bytes(docs) / CHUNK_BYTES))
+    n_hops, width = hops(n, fan_bits)
+    tasks = max(width_of, n // TASK_CHUNKS)
     base = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    rows = base.withColumn("chunk", F.pmod(F.xxhash64("doc_id", "text"), F.lit(n)).cast("int"))
+    rows = base.withColumn("chunk", F.pmod(F.xxhash64("doc_id", "text"), F.lit(n))).repartition(tasks, "chunk")
+    node = ["grp", "prefix"]
 
     def request(t: pa.Table) -> pa.Table:
-        keys, counts = distinct_grams(t.column("text").to_pylist(), bits)
-        edge = np.concatenate([[0], np.searchsorted(keys, owner_edges(n, bits)), [len(keys)]])
-        sent = [(o, a, z) for o, (a, z) in enumerate(zip(edge[:-1].tolist(), edge[1:].tolist(), strict=True)) if z > a]
-        chunk = t.column("chunk")[0].as_py()
-        return pa.table({
-            "owner": pa.array([o for o, _, _ in sent], pa.int32()),
-            "chunk": pa.array([chunk] * len(sent), pa.int32()),
-            "size": pa.array([z - a for _, a, z in sent], pa.int64()),
-            "keys": pa.array([pack(np.diff(keys[a:z], prepend=np.uint64(0))) for _, a, z in sent], pa.binary()),
-            "counts": pa.array([pack(counts[a:z]) for _, a, z in sent], pa.binary()),
-        })
-
-    def add_up(t: pa.Table) -> pa.Table:
-        sizes = t.column("size").to_pylist()
-        keys = [np.cumsum(unpack(k, m), dtype=np.uint64) for k, m in zip(t.column("keys").to_pylist(), sizes, strict=True)]
-        counts = np.concatenate([unpack(c, m) for c, m in zip(t.column("counts").to_pylist(), sizes, strict=True)])
-        _, back = np.unique(np.concatenate(keys), return_inverse=True)
-        totals = np.bincount(back, counts).astype(np.uint64)[back]
-        ends = np.cumsum(sizes)
-        return pa.table({"chunk": t.column("chunk"), "owner": t.column("owner"), "size": t.column("size"), "totals": pa.array([pack(totals[z - m : z]) for z, m in zip(ends.tolist(), sizes, strict=True)], pa.binary())})
-
-    def score(t: pa.Table, replies: pa.Table) -> pa.Table:
-        told = sorted(zip(replies.column("owner").to_pylist(), replies.column("size").to_pylist(), replies.column("totals").to_pylist(), strict=True))
-        totals = np.concatenate([np.zeros(0, np.uint64), *(unpack(b, m) for _, m, b in told)])
-        counts, sums, singles = block_scores(t.column("text").to_pylist(), totals, bits, alpha, min_count)
+        return messages(*distinct_grams(t.column("text").to_pylist()), t.column("chunk")[0].as_py(), 0, 0, width)
+
+    def pass_on(hop: int):
+        def run(t: pa.Table) -> pa.Table:
+            keys, counts, _, _ = merged(t)
+            return messages(keys, counts, t.column("grp")[0].as_py(), t.column("prefix")[0].as_py(), hop, width)
+
+        return run
+
+    def answer(t: pa.Table) -> pa.Table:
+        _, counts, back, sizes = merged(t)
+        return replies(t, counts, back, sizes)
+
+    def pass_back(t: pa.Table, told: pa.Table) -> pa.Table:
+        _, _, back, sizes = merged(t)
+        return replies(t, totals_of(told), back, sizes)
+
+    def score(t: pa.Table, told: pa.Table) -> pa.Table:
+        counts, sums, singles = block_scores(t.column("text").to_pylist(), totals_of(told), alpha, min_count)
         return pa.table({"doc_id": t.column("doc_id"), "n_tokens": pa.array(counts, pa.int64()), "part": pa.array(sums, pa.float64()), "singles": pa.array(singles, pa.int64())})
 
-    asked = rows.groupBy("chunk").applyInArrow(request, "owner int, chunk int, size long, keys binary, counts binary")
-    told = asked.groupBy("owner").applyInArrow(add_up, "chunk int, owner int, size long, totals binary")
+    sent = [rows.groupBy("chunk").applyInArrow(request, MESSAGE).repartition(tasks, *node)]
+    for hop in range(1, n_hops):  # relays: what they got is read again on the way back
+        sent[-1] = cut(sent[-1])
+        sent.append(sent[-1].repartition(tasks, *node).groupBy(*node).applyInArrow(pass_on(hop), MESSAGE).repartition(tasks, *node))
+    told = sent.pop().groupBy(*node).applyInArrow(answer, REPLY)
+    while sent:
+        told = sent.pop().groupBy(*node).cogroup(told.groupBy(*node)).applyInArrow(pass_back, REPLY)
+    told = told.withColumnRenamed("grp", "chunk").repartition(tasks, "chunk")
     parts = cut(rows.groupBy("chunk").cogroup(told.groupBy("chunk")).applyInArrow(score, "doc_id long, n_tokens long, part double, singles long"))
     corpus = parts.agg(F.sum("n_tokens")).first()[0] or 1
     total = F.col("part") - F.col("singles") * math.log10(corpus)

@@ -115,8 +115,11 @@ def alignments(places: DataFrame, rare_words: int = RARE_WORDS) -> DataFrame:
 def scan(docs: DataFrame, rare_words: int = RARE_WORDS) -> DataFrame:
     """Per row of ``docs``: doc_id, n_words, n_base, first_word, last_word, base_labels, labels, score.
 
-    The score is the largest share of a found template, 0 without one.  Null and empty texts
-    have no words; repeated rows each give a row; other columns are not read.
+    The score is the largest share of a found template, 0 without one.  rare_words: how many of
+    each template's mandatory words, rarest first, are looked up to find alignments; every
+    alignment that counts has all of them, so any number gives the same labels.  Null and
+    empty texts have no words; repeated rows each give a row; an empty table gives an empty
+    result; other columns are not read.
     """
     places = word_places(docs)
     found = alignments(places, rare_words).groupBy("doc_id", "row_hash").agg(F.collect_set("label").alias("more"), F.max("share").alias("best"))
