@@ -267,6 +267,14 @@ def test_gram_keys_are_whole_and_sizes_are_counted(spark):
     assert backoff.input_bytes(unknown) == 5_000_000
 
 
+def test_relays_change_nothing(spark, documents):
+    assert [backoff.hops(n) for n in (1, 81, 5000, 16384, 16385, 1 << 24)] == [(1, 1), (1, 7), (1, 13), (1, 14), (2, 8), (2, 12)]
+    plain = backoff.score_documents(documents).toPandas()
+    for chunks, bits in ((9, 2), (6, 1)):  # two and three hops
+        assert backoff.hops(chunks, bits)[0] == 4 - bits
+        same(backoff.score_documents(documents, chunks=chunks, fan_bits=bits).toPandas(), plain)
+
+
 # -- 5 benchmark ------------------------------------------------------------------------------------
 def test_fm_index_against_scanning():
     rng = np.random.default_rng(0)
@@ -443,6 +451,43 @@ def test_all_templates_in_one_text(spark, rare_words):
     assert found[0]["score"] == found[1]["score"] == 1.0
 
 
+def brute_labels(text):
+    w, labels, best = worded(text), {x for p, x in licences.BASE.items() if f" {p} " in f" {' '.join(worded(text))} "}, 0.0
+    for name, (notice, must) in licences.TEMPLATES.items():
+        n = notice.split()
+        for at in range(-len(n), len(w)):
+            fits = [0 <= at + i < len(w) and w[at + i] == x for i, x in enumerate(n)]
+            whole = all(all(fits[i : i + len(p)]) for p in map(str.split, must) for i in [next(i for i in range(len(n)) if n[i : i + len(p)] == p)])
+            if whole and sum(fits) / len(n) >= licences.MIN_SHARE:
+                labels.add(name)
+                best = max(best, sum(fits) / len(n))
+    return ",".join(sorted(labels)), best
+
+
+def test_labels_equal_all_alignments(spark, documents):
+    rng, texts = np.random.default_rng(8), [r["text"][:1500] for r in documents.limit(60).collect()]
+    for notice, _ in licences.TEMPLATES.values():
+        for _ in range(6):  # words lost, changed and put in, at the ends of texts too
+            w = notice.split()
+            for _ in range(rng.integers(0, 4)):
+                k = int(rng.integers(len(w)))
+                w[k : k + int(rng.integers(0, 2))] = ["zzz"] * int(rng.integers(0, 2))
+                w = w or ["zzz"]
+            texts.append(" ".join(["so"] * int(rng.integers(0, 3)) + w + ["by"] * int(rng.integers(0, 3))).title())
+    frame = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    found = {r["doc_id"]: (r["labels"], r["score"]) for r in licences.scan(frame).collect()}
+    for i, t in enumerate(texts):
+        labels, best = brute_labels(t)
+        assert found[i] == (labels, pytest.approx(best)), t
+
+
+def test_licence_plan_has_no_python(odd):
+    plan = licences.scan(odd)._jdf.queryExecution().executedPlan().toString()
+    places = licences.word_places(odd)
+    for p in (plan, licences.alignments(places)._jdf.queryExecution().executedPlan().toString()):
+        assert "Python" not in p and "Arrow" not in p and "Pandas" not in p
+
+
 # -- 9 personal data --------------------------------------------------------------------------------
 NAIVE = [r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+", r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)", r"[0-9]([\x20-]?[0-9])+", r"\+[0-9][\x20().0-9-]+[0-9]"]
 
