@@ -26,6 +26,8 @@ from dpsynth.llm.common import Shipped, fresh, named
 TRAIN_DOCS_PER_LANG = 2_000
 BUCKET_BITS = 16
 BROADCAST_BYTES = 64 << 20
+#: Up to so many languages the shares of their samples are broadcast; beyond, Spark chooses the join.
+BROADCAST_LANGS = 100_000
 SEGMENT = 1 << 19
 #: Grams that count as independent evidence for the score; neighbouring ones overlap.
 EVIDENCE = 64.0
@@ -162,6 +164,8 @@ def train(docs: DataFrame, per_lang: int = TRAIN_DOCS_PER_LANG, bits: int = BUCK
     if not found:
         return NaiveBayes([], np.zeros(((1 << bits) + 1, 0), np.float32), np.zeros(0), bits)
     shares = spark.createDataFrame([(k, per_lang / n) for k, n in found.items()], "lang string, share double")
+    if len(found) <= BROADCAST_LANGS:
+        shares = F.broadcast(shares)
     dealt = F.pmod(F.xxhash64("doc_id", F.lit("langid")), F.lit(1_000_003)) / 1_000_003.0
     sample = rows.withColumn("dealt", dealt).join(shares, "lang").where("dealt < share").select("lang", "text")
 
