@@ -4,11 +4,14 @@ from __future__ import annotations
 
 import math
 import secrets
-from collections.abc import Sequence
+from collections.abc import Iterator, Sequence
 
 import numpy as np
+import pandas as pd
+from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from dpsynth.functions import gauss, gumbel, laplace
 
@@ -55,6 +58,24 @@ def laplace_release(values: np.ndarray, scale: float, noise: NoiseSource) -> np.
     return values + noise.laplace(scale, len(values))
 
 
+def spread_release(dense: DataFrame, sigma: float, seed: int | None = None) -> DataFrame:
+    """``dense`` (with a column cnt) with value, cnt plus Gaussian noise drawn where the rows are.
+
+    For tables too large for the driver.  Each task draws from system entropy; with a seed
+    (tests only) from it and the task's number.  A task that is run again draws anew, so write the
+    result once and publish only what was written.
+    """
+    names = [*dense.columns, "value"]
+
+    def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        rng = np.random.default_rng(secrets.randbits(128) if seed is None else [seed, TaskContext.get().partitionId()])
+        for f in frames:
+            yield f.assign(value=f["cnt"] + rng.normal(0.0, sigma, len(f)))[names]
+
+    schema = T.StructType([*dense.schema.fields, T.StructField("value", T.DoubleType())])
+    return dense.mapInPandas(run, schema)
+
+
 def exp_select(scores: Sequence[float], eps: float, sensitivity: float, noise: NoiseSource) -> int:
     """Index drawn in proportion to exp(eps * score / (2 * sensitivity)), by the largest Gumbel sum."""
     return int(np.argmax(np.asarray(scores) * (eps / (2 * sensitivity)) + noise.gumbel(len(scores))))

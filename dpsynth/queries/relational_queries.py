@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
 from collections.abc import Callable
 
 from pyspark.sql import Column, DataFrame, SparkSession, Window
@@ -10,7 +9,7 @@ from pyspark.sql import functions as F
 
 from dpsynth import streaming as st
 from dpsynth.fixtures import SPECS, encoded_sql, load
-from dpsynth.functions import udtfs
+from dpsynth.functions import gauss, gauss_duck, udtfs
 from dpsynth.operators import relational as rel
 from dpsynth.operators.marginals import marginals
 from dpsynth.queries.marginal_queries import kway, marginals_sql
@@ -52,7 +51,7 @@ def _round_trip(kind: str) -> Run:
 
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         df = tb.read_table(spark, sf_dir, "customer", ["c_custkey", "c_mktsegment", "c_acctbal"])
-        path = f"{spark.sparkContext.getCheckpointDir() or spark.conf.get('spark.checkpoint.dir', None) or tempfile.mkdtemp()}/dpsynth-{kind}"
+        path = tb.shared_folder(spark, f"dpsynth-{kind}")
         tb.write_as(df, path, kind, "overwrite")
         back = tb.read_as(spark, path, kind, "c_custkey long, c_mktsegment string, c_acctbal double")
         return agg(back, ["c_mktsegment"], n=rows(), balance=F.sum("c_acctbal"))
@@ -63,7 +62,7 @@ def _round_trip(kind: str) -> Run:
 def _store_sink(spark: SparkSession, sf_dir: str) -> DataFrame:
     """A store written by bucket of its id and read back for one marginal: one folder is scanned."""
     codes, spec = load(spark, sf_dir, "F2")
-    path = f"{spark.sparkContext.getCheckpointDir() or spark.conf.get('spark.checkpoint.dir', None) or tempfile.mkdtemp()}/dpsynth-store"
+    path = tb.shared_folder(spark, "dpsynth-store")
     tb.write_store(marginals(codes, spec, kway("F2", 1)), path, 8, "overwrite")
     return spark.read.parquet(path).where("marginal_id = 2 and bucket = pmod(hash(cast(2 as bigint)), 8)").select("marginal_id", "cell", "cnt")
 
@@ -133,13 +132,7 @@ def _stream(make: Callable[[DataFrame], DataFrame], mode: str = "append") -> Run
     """
 
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        base = spark.sparkContext.getCheckpointDir() or spark.conf.get("spark.checkpoint.dir", None)
-        if base:
-            import uuid
-
-            base = f"{base.removeprefix('file://').removeprefix('file:')}/dpsynth-stream-{uuid.uuid4().hex}"
-        else:
-            base = tempfile.mkdtemp()
+        base = tb.shared_folder(spark, "dpsynth-stream")
         events = tb.read_table(spark, sf_dir, "events")
         schema = events.select("event_id", "ts", "user_id", "event_type", "value", "props").schema
         last = spark.sql("select -1L as event_id, timestamp_ntz'2999-01-01' as ts, -1L as user_id, 'end' as event_type, 0.0D as value, '{}' as props")
@@ -193,18 +186,40 @@ def _latest(mode: str) -> Run:
     return run
 
 
-def _released(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Closed days of event types with Gaussian noise, released once a batch: a row per day and type."""
-    from dpsynth.privacy.mechanisms import NoiseSource
+#: The public grid of the releases: the days of January 2024, all due with the first batch that closes any.
+_DAYS = [1_704_067_200.0 + 86_400 * k for k in range(31)]
+
+
+class _HashNoise:
+    """Noise that is a hash of window and cell, so that SQL can say it; for this query only."""
+
+    def at(self, sigma: float, start: Column, at: Column) -> Column:
+        return sigma * gauss(SEED, start.cast("long"), at)
+
 
-    ledger, found = st.ReleaseLedger(tempfile.mkdtemp(), 10.0), []
+SEED = 5
+
+
+def _released(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Days of January by event type with Gaussian noise, empty days and types included."""
+    base = tb.shared_folder(spark, "dpsynth-release")
+    ledger, out = st.ReleaseLedger(spark, f"{base}/ledger", 10.0), f"{base}/out"
     codes = lambda e: st.coded(st.encode_events(e, _F6), _F6)
-    base = tempfile.mkdtemp()
     tb.read_table(spark, sf_dir, "events").coalesce(1).write.mode("append").parquet(f"{base}/in")
+    end = spark.sql("select -1L as event_id, timestamp_ntz'2999-01-01' as ts, -1L as user_id, 'end' as event_type, 0.0D as value, '{}' as props")
+    for days in range(2):  # moves the watermark past January
+        end.withColumn("ts", F.expr(f"ts + interval {days} days")).coalesce(1).write.mode("append").parquet(f"{base}/in")
     counts = st.window_marginals(codes(st.read_events(spark, f"{base}/in")), _F6, (0,))
-    each = st.releasing(ledger, _F6, (0,), 1.0, NoiseSource(0), lambda k, r: found.extend(r))
+    due = lambda batch: _DAYS if batch == 2 else []
+    each = st.releasing(ledger, _F6, (0,), 1.0, _HashNoise(), lambda k, df: df.write.mode("overwrite").parquet(f"{out}/batch={k}"), due)
     counts.writeStream.outputMode("append").foreachBatch(each).option("checkpointLocation", f"{base}/state").trigger(availableNow=True).start().awaitTermination()
-    return spark.createDataFrame(found or [[0.0, 0.0, 0.0]], "start double, cell double, value double")
+    return spark.read.parquet(out).select(F.col("start").cast("long").alias("start"), "cell", F.round("value", 6).alias("value"))
+
+
+RELEASED_SQL = f"""with e as (select epoch(date_trunc('day', ts))::bigint as start, case event_type when 'click' then 0 when 'error' then 1 when 'purchase' then 2 when 'signup' then 3 else 4 end as cell from events),
+c as (select start, cell, count(*) as cnt from e group by all),
+g as (select 1704067200 + 86400 * d as start, cell::bigint as cell from range(31) a(d), range(5) b(cell))
+select g.start::bigint as start, g.cell, round(coalesce(cnt, 0) + 1.0 * {gauss_duck(SEED, "g.start", "g.cell")}, 6) as value from g left join c on g.start = c.start and g.cell = c.cell"""
 
 
 def _static_join(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -315,6 +330,6 @@ QUERIES = {
     "s_capped": (_stream(_capped), "select user_id, cast(k as int) as nth from (select user_id, unnest(range(1, least(n, 5) + 1)) as k from (select user_id, count(*) as n from events group by user_id))"),
     "s_complete": (_latest("complete"), "select event_type, count(*) as n from events group by all"),
     "s_update": (_latest("update"), "select event_type, count(*) as n from events group by all"),
-    "s_release": (_released, None),
+    "s_release": (_released, RELEASED_SQL),
     "s_static_join": (_static_join, "select event_id, case event_type when 'click' then 0 when 'error' then 1 when 'purchase' then 2 when 'signup' then 3 else 4 end::int as code from events"),
 }

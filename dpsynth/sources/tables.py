@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import tempfile
+import uuid
+
 import json
 
 from pyspark.sql import DataFrame, SparkSession
@@ -40,3 +43,17 @@ def domain_from_json(text: str) -> DomainSpec:
 
 def domain_to_json(spec: DomainSpec) -> str:
     return json.dumps([{"name": a.name, "size": a.size, "rule": a.rule, "kind": a.kind, "labels": list(a.labels)} for a in spec.attrs])
+
+
+def shared_folder(spark: SparkSession, name: str) -> str:
+    """A new folder of this name beside the checkpoints, where all executors can read and write.
+
+    ``spark.checkpoint.dir`` is read from the session; only a master on one machine may go
+    without, and then gets a temporary folder.
+    """
+    base = spark.sparkContext.getCheckpointDir() or spark.conf.get("spark.checkpoint.dir", None)
+    if base is None:
+        if not (spark.sparkContext.master or "").startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
+        base = tempfile.mkdtemp(prefix="dpsynth-")
+    return f"{base}/{name}-{uuid.uuid4().hex}"

@@ -6,17 +6,17 @@ tumbling windows hold each record once; sliding ones hold it width / slide times
 
 from __future__ import annotations
 
-import json
-from collections.abc import Callable, Iterator
-from pathlib import Path
+from collections.abc import Callable, Iterator, Sequence
 
 import pandas as pd
+from pyspark.errors import AnalysisException
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from dpsynth.domain import DomainSpec, marginal_id
 from dpsynth.functions import cell
 from dpsynth.privacy.accountant import rho_gauss
+from dpsynth.privacy.mechanisms import spread_release
 
 EVENTS = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
 
@@ -73,46 +73,77 @@ def capped(events: DataFrame, m: int) -> DataFrame:
 
 
 class ReleaseLedger:
-    """Releases by batch on a shared folder: a batch that is retried after a crash gets back the
-    numbers it released before, so it neither draws nor pays twice."""
+    """Releases by batch in a shared folder: a batch that is retried after a crash gets back the
+    numbers it released before, so it neither draws nor pays twice.
 
-    def __init__(self, folder: str, rho: float):
-        self.folder, self.rho = Path(folder), rho
-        self.folder.mkdir(parents=True, exist_ok=True)
-
-    @property
-    def used(self) -> float:
-        return sum(json.loads(p.read_text())["rho"] for p in self.folder.glob("batch-*.json"))
+    A release is a table; what it cost stands beside it, written last.
+    """
 
-    def release(self, batch: int, cost: float, draw: Callable[[], list[list[float]]]) -> list[list[float]]:
-        path = self.folder / f"batch-{batch}.json"
-        if path.exists():
-            return json.loads(path.read_text())["rows"]
-        if self.used + cost > self.rho * (1 + 1e-12):
-            raise RuntimeError(f"batch {batch} would pass the budget")
-        rows = draw()
-        part = path.with_suffix(".part")
-        part.write_text(json.dumps({"rho": cost, "rows": rows}))
-        part.rename(path)
-        return rows
+    def __init__(self, spark: SparkSession, folder: str, rho: float):
+        self.spark, self.folder, self.rho = spark, folder, rho
 
+    def _read(self, kind: str) -> DataFrame | None:
+        try:
+            return self.spark.read.parquet(f"{self.folder}/{kind}")
+        except AnalysisException as e:
+            if e.getCondition() != "PATH_NOT_FOUND":
+                raise
+            return None
 
-def releasing(ledger: ReleaseLedger, spec: DomainSpec, subset: tuple[int, ...], sigma: float, noise, sink: Callable[[int, list[list[float]]], None]) -> Callable[[DataFrame, int], None]:
-    """A foreachBatch function: closed windows get Gaussian noise on every cell and go to the sink.
+    def costs(self) -> dict[int, float]:
+        found = self._read("cost")
+        return {} if found is None else {r["batch"]: r["rho"] for r in found.select("batch", "rho").collect()}
 
-    A window's cells are as many as the marginal has; the windows of a batch fit the driver.
+    @property
+    def used(self) -> float:
+        return sum(self.costs().values())
+
+    def keep(self, batch: int, exact: DataFrame) -> None:
+        """Closed windows with exact counts, for the release that they are due in.  Never published."""
+        exact.write.mode("overwrite").parquet(f"{self.folder}/exact/batch={batch}")
+
+    def kept(self) -> DataFrame | None:
+        return self._read("exact")
+
+    def release(self, batch: int, cost: float, draw: Callable[[], DataFrame]) -> DataFrame:
+        costs, at = self.costs(), f"{self.folder}/noisy/batch={batch}"
+        if batch not in costs:
+            if sum(costs.values()) + cost > self.rho * (1 + 1e-12):
+                raise RuntimeError(f"batch {batch} would pass the budget")
+            draw().write.mode("overwrite").parquet(at)
+            self.spark.createDataFrame([(float(cost),)], "rho double").coalesce(1).write.mode("overwrite").parquet(f"{self.folder}/cost/batch={batch}")
+        return self.spark.read.parquet(at)
+
+
+def releasing(ledger: ReleaseLedger, spec: DomainSpec, subset: tuple[int, ...], sigma: float, noise, sink: Callable[[int, DataFrame], None], schedule: Callable[[int], Sequence[float]], overlap: int = 1) -> Callable[[DataFrame, int], None]:
+    """A foreachBatch function: windows get Gaussian noise on every cell and go to the sink.
+
+    schedule: the windows (starts in seconds) that are released with a batch.  It must be public,
+    made without the data: which windows have records is as secret as how many.  Windows due
+    without records are noise around zero; closed windows that are not due yet are kept until
+    they are.  overlap: windows that hold a record, width / slide of sliding ones; each of them
+    is paid for.  noise: a NoiseSource, or anything with ``at`` (a column of noise).  Counts and
+    noise stay on the executors; the driver sees the schedule only.
     """
+    if overlap < 1:
+        raise ValueError("a record is in one window at least")
 
     def run(batch: DataFrame, number: int) -> None:
-        def draw() -> list[list[float]]:
-            out = []
-            frame = batch.toPandas()
-            for start, rows in frame.groupby("start"):
-                counts = dict(zip(rows["cell"], rows["cnt"], strict=True))
-                z = noise.gaussian(sigma, spec.size(subset))
-                out += [[float(pd.Timestamp(start).timestamp()), float(c), float(counts.get(c, 0) + z[c])] for c in range(spec.size(subset))]
-            return out
-
-        sink(number, ledger.release(number, rho_gauss(sigma), draw))
+        spark = batch.sparkSession
+        ledger.keep(number, batch.select(F.col("start").cast("double").alias("start"), F.col("cell").cast("long").alias("cell"), "cnt"))
+        due = sorted({float(x) for x in schedule(number)})
+        if not due:
+            return
+
+        def draw() -> DataFrame:
+            windows = spark.createDataFrame([(x,) for x in due], "start double")
+            grid = windows.withColumn("cell", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(spec.size(subset) - 1).cast("long"))))
+            counts = ledger.kept().groupBy("start", "cell").agg(F.sum("cnt").alias("cnt"))
+            dense = grid.join(counts, ["start", "cell"], "left").withColumn("cnt", F.coalesce("cnt", F.lit(0).cast("long")))
+            if hasattr(noise, "at"):
+                return dense.select("start", "cell", (F.col("cnt") + noise.at(sigma, F.col("start"), F.col("cell"))).alias("value"))
+            return spread_release(dense, sigma, None if noise.secure else 0).select("start", "cell", "value")
+
+        sink(number, ledger.release(number, overlap * rho_gauss(sigma), draw))
 
     return run

@@ -104,8 +104,9 @@ def synthesize_bayes_net(store: MarginalStore, workload: Workload | None, rho: f
     spec, d = run.spec, run.spec.d
     order = [int(run.noise.rng.integers(d))]
     families: list[Subset] = [(order[0],)]
+    total = estimate_total([run.measure((min(range(d), key=lambda i: (spec.attrs[i].size, i)),), 0.02 * rho)])  # the number of records is secret
     each = rho / 2 / max(1, d - 1)
-    limit = max(4.0, store.n * math.sqrt(rho / d) / theta)  # families whose noise would drown them are left out
+    limit = max(4.0, total * math.sqrt(rho / d) / theta)  # families whose noise would drown them are left out
     while len(order) < d:
         pool = [(c, p) for c in range(d) if c not in order for n in range(1, min(degree, len(order)) + 1) for p in combinations(sorted(order), n) if n == 1 or spec.size((c, *p)) <= limit]
         c, p = pool[run.choose([_gap_to_product(store, c, p) for c, p in pool], each, 4.0)]
@@ -156,7 +157,8 @@ def synthesize_rand_field(store: MarginalStore, workload: Workload | None, rho:
     for v, e in sorted(zip(noisy, pairs, strict=True), reverse=True):
         if v > 0 and max(spec.size(c) for c in elimination_cliques([*edges, e], spec.sizes)) <= max_cells:
             edges.append(e)
-    inside = sorted({r for c in elimination_cliques(edges, spec.sizes) for n in (2, 3) for r in combinations(c, n) if r in set(store.subsets)})
+    known = set(store.subsets)
+    inside = sorted({r for c in elimination_cliques(edges, spec.sizes) for n in (2, 3) for r in combinations(c, n) if r in known})
     model, n = fit(run.transcript.measured, spec, iters), min(rounds or d, len(inside))
     share = run.ledger.left / max(1, n)
     for k in range(n):
