@@ -67,6 +67,13 @@ def make_slice(columns: list[tuple[int, tuple[int, ...], np.ndarray]], spec: Dom
     return data
 
 
+def generate_rows(model: GraphicalModel, n: int | None = None, seed: int = 0, method: str = "round") -> np.ndarray:
+    """The first slice of what ``generate`` makes, here and now: at most SLICE records."""
+    n = min(SLICE, max(1, round(model.total)) if n is None else n)
+    rng = np.random.default_rng([seed, 0])
+    return model.make_rows(n, rng) if isinstance(model, MixtureModel) else make_slice(plan_columns(model), model.spec, n, rng, method)
+
+
 def generate(spark: SparkSession, model: GraphicalModel, n: int | None = None, seed: int = 0, method: str = "round", slice_rows: int = SLICE) -> DataFrame:
     """``n`` records (the model's mass, rounded, by default) in the encoded schema."""
     n = max(1, round(model.total)) if n is None else n

@@ -9,7 +9,7 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 
 from dpsynth.domain import DomainSpec, marginal_id
-from dpsynth.model.generate import generate
+from dpsynth.model.generate import generate, generate_rows
 from dpsynth.model.graphical import GraphicalModel, Measurement
 from dpsynth.privacy.accountant import Ledger, Neighbor
 
@@ -70,8 +70,8 @@ class Transcript:
     weights: dict[Subset, float]
     measured: list[Measurement] = field(default_factory=list)
     rounds: list[Round] = field(default_factory=list)
-    #: per candidate: the last round it was one in, and its marginal under the model before that round
-    seen: dict[Subset, tuple[int, np.ndarray]] = field(default_factory=dict)
+    #: per candidate: the last round it was one in, and the model before that round (a model fits the capacity limit)
+    seen: dict[Subset, tuple[int, GraphicalModel]] = field(default_factory=dict)
     #: per round: the noisy values minus nothing, and the selected set's marginal before the round
     answers: dict[int, tuple[np.ndarray, np.ndarray]] = field(default_factory=dict)
 
@@ -106,6 +106,16 @@ class SynthesisResult:
         return total / (workload.k * max(1, store.n))
 
 
+def table_error(result: SynthesisResult, store, workload, seed: int = 0) -> float:
+    """Workload error of a generated table, one that fits the memory of a task."""
+    made = generate_rows(result.model, None, seed).astype(np.int64)
+    spec, total = store.spec, 0.0
+    for r, c in workload.merged().items():
+        at = sum(made[:, i] * k for i, k in zip(r, spec.strides(r), strict=True))
+        total += c * float(np.abs(store.dense(r) - np.bincount(at, minlength=spec.size(r))).sum())
+    return total / (workload.k * max(1, store.n))
+
+
 class Clock:
     def __init__(self):
         self.began = time.perf_counter()

@@ -92,8 +92,15 @@ class Loop:
             out = [r for r, mb in sizes.items() if mb == floor]
         return out
 
-    def score(self, r: Subset) -> float:
-        gap = float(np.abs(self.store.dense(r) - self.model.marginal(r)).sum())
+    def gaps(self, pool: list[Subset]) -> list[float]:
+        """L1 distances of the candidates' exact tables from the model's: on the driver, or, for a
+        store too large for it, in one job with a task per marginal."""
+        if getattr(self.store, "on_driver", True):
+            return [float(np.abs(self.store.dense(r) - self.model.marginal(r)).sum()) for r in pool]
+        found = {r["marginal_id"]: r["l1"] for r in score_groups(self.store.table, self.model, pool, self.weights, self.sigma).select("marginal_id", "l1").collect()}
+        return [found.get(marginal_id(r), self.model.total) for r in pool]  # no record: the distance is the model's mass
+
+    def score(self, r: Subset, gap: float) -> float:
         cells = self.spec.size(r)
         if self.cfg.score == "old":
             return gap - cells
@@ -111,16 +118,17 @@ class Loop:
         sensitivity = score_sensitivity(1.0 if cfg.score == "old" else max(self.weights[r] for r in pool), cfg.neighbor, cfg.rows_per_unit)
         self.ledger.charge(rho_exp(self.eps), f"choice {number}")
         self.ledger.charge(min(rho_gauss(self.sigma), self.ledger.left), f"table {number}")
-        before = {r: self.model.marginal(r) for r in pool}
-        scores = [self.score(r) for r in pool]
+        model = self.model
+        scores = [self.score(r, gap) for r, gap in zip(pool, self.gaps(pool), strict=True)]
         r = pool[exp_select(scores, self.eps, sensitivity or 1.0, self.noise)]
         y = self.measure(r, self.sigma)
         seconds = clock.lap()
         self.model = self.fit(cfg.final_iters if self.last else cfg.fit_iters)
         t = self.transcript
-        t.seen |= {c: (number, v) for c, v in before.items()}
-        t.answers[number] = (y.values, before[r])
-        moved = float(np.abs(self.model.marginal(r) - before[r]).sum())
+        t.seen |= {c: (number, model) for c in pool}
+        before = model.marginal(r)
+        t.answers[number] = (y.values, before)
+        moved = float(np.abs(self.model.marginal(r) - before).sum())
         anneal = cfg.rounds == "adaptive" and not self.last and moved <= self.noise_mean * self.sigma * self.unit * self.spec.size(r)
         t.rounds.append(Round(number, self.sigma * self.unit, self.eps, sensitivity, r, pool, self.ledger.used, self.ledger.left, anneal, self.last, getattr(self.model, "size_mb", 0.0), seconds, clock.lap()))
         if anneal:
@@ -197,7 +205,8 @@ def score_table(dense: DataFrame, modelled: DataFrame, weights: DataFrame, sigma
 def score_groups(store: DataFrame, model, subsets: list[Subset], weights: dict[Subset, float], sigma: float) -> DataFrame:
     """The same for stores too large for the driver: the model is broadcast, each marginal's cells
     meet in one task, which holds n_r numbers."""
-    shared = store.sparkSession.sparkContext.broadcast((model, {marginal_id(r): (r, weights[r]) for r in subsets}))
+    spark = store.sparkSession
+    shared = spark.sparkContext.broadcast((model, {marginal_id(r): (r, weights[r]) for r in subsets}))
 
     def one(key: tuple, cells: pd.DataFrame) -> pd.DataFrame:
         m, of = shared.value
@@ -207,7 +216,7 @@ def score_groups(store: DataFrame, model, subsets: list[Subset], weights: dict[S
         l1 = float(np.abs(gap).sum())
         return pd.DataFrame({"marginal_id": [int(key[0])], "l1": [l1], "n_r": [len(gap)], "w_r": [w], "score": [w * (l1 - HALF_NORMAL * sigma * len(gap))]})
 
-    wanted = store.where(F.col("marginal_id").isin([marginal_id(r) for r in subsets]))
+    wanted = store.join(F.broadcast(spark.createDataFrame([(marginal_id(r),) for r in subsets], "marginal_id long")), "marginal_id", "left_semi")
     return wanted.groupBy("marginal_id").applyInPandas(one, "marginal_id long, l1 double, n_r long, w_r double, score double")
 
 

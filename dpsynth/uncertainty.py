@@ -94,7 +94,7 @@ def bound_unsupported_synth(t: Transcript, r: Subset, synth: np.ndarray, l1: flo
     found = bound_unsupported(t, r, l1, l2, lambda1_weighting)
     if found is None:
         return math.inf
-    return float(np.abs(synth - t.seen[r][1]).sum()) + found[0]
+    return float(np.abs(synth - t.seen[r][1].marginal(r)).sum()) + found[0]
 
 
 def bound_rows(t: Transcript, synth: dict[Subset, np.ndarray], subsets: Iterable[Subset], lam: float = LAMBDA, l1: float = LAMBDA_1, l2: float = LAMBDA_2) -> list[tuple[Subset, str, float]]:
