@@ -38,13 +38,13 @@ def main() -> None:
         s.dense((0,))
         s.close()
 
-    def inline() -> None:
+    def pairs() -> None:
         codes, spec, sets = f1(2)
         noop(mg.marginals(codes, spec, sets))
 
-    def arrow() -> None:
-        codes, spec, sets = f1(2)
-        noop(mg.marginals(codes, spec, sets, "arrow"))
+    def inline() -> None:
+        codes, spec, sets = f1(1)
+        noop(mg.marginals(codes, spec, sets, "inline"))
 
     def adaptive() -> None:
         codes, spec = fixtures.load(spark, SF, "F2")
@@ -54,7 +54,7 @@ def main() -> None:
         codes, spec = fixtures.load(spark, SF, "F1")
         noop(synth.synthesize(codes, spec, wl.all_kway(spec, 1), ApproxDP(10.0), "independent", synth.AdaptiveConfig(seed=0)).generate(spark))
 
-    runs = {"encode_F1": lambda: noop(fixtures.load(spark, SF, "F1")[0]), "marginals_inline_F1": inline, "marginals_arrow_F1": arrow, "store_F1_all3": store, "independent_F1": independent, "adaptive_F2_all3": adaptive}
+    runs = {"encode_F1": lambda: noop(fixtures.load(spark, SF, "F1")[0]), "marginals_F1_all2": pairs, "marginals_inline_F1_all1": inline, "store_F1_all3": store, "independent_F1": independent, "adaptive_F2_all3": adaptive}
     try:
         from dpsynth.llm import registry
 

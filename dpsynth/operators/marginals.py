@@ -16,6 +16,10 @@ from dpsynth.plans import cover_plan
 
 Subset = tuple[int, ...]
 STORE = "marginal_id long, cell long, cnt long"
+#: Cells that a task may count densely, 8 bytes each.
+TASK_CELLS = 4_000_000
+#: So many rows a record are cheaper as additions in numpy than as rows of a partial aggregate.
+ARROW_SETS = 8
 
 
 def marginal(codes: DataFrame, spec: DomainSpec, subset: Sequence[int], dense: bool = False, weight: str | None = None) -> DataFrame:
@@ -28,13 +32,16 @@ def marginal(codes: DataFrame, spec: DomainSpec, subset: Sequence[int], dense: b
     return every.join(counted, "cell", "left").select("cell", F.coalesce("cnt", F.lit(0).cast("long")).alias("cnt"))
 
 
-def marginals(codes: DataFrame, spec: DomainSpec, subsets: Iterable[Subset], plan: str = "inline") -> DataFrame:
+def marginals(codes: DataFrame, spec: DomainSpec, subsets: Iterable[Subset], plan: str = "auto") -> DataFrame:
     """marginal_id, cell, cnt of all subsets in one scan of the records.
 
-    inline: each record gives a row per subset to a partial aggregate.  grouping_sets: the same
+    auto: arrow from ARROW_SETS sets on, where all cells together fit a task (TASK_CELLS), else
+    inline.  inline: each record gives a row per subset to a partial aggregate.  grouping_sets: the same
     by Expand.  arrow: dense counts per task in numpy (8 bytes a cell), summed over tasks.
     """
     subsets = list(dict.fromkeys(tuple(r) for r in subsets))
+    if plan == "auto":
+        plan = "arrow" if len(subsets) >= ARROW_SETS and sum(map(spec.size, subsets)) <= TASK_CELLS else "inline"
     if plan == "grouping_sets":
         return _by_grouping_sets(codes, spec, subsets)
     if plan == "arrow":
@@ -56,19 +63,20 @@ def _by_grouping_sets(codes: DataFrame, spec: DomainSpec, subsets: list[Subset])
 
 
 def _by_arrow(codes: DataFrame, spec: DomainSpec, subsets: list[Subset]) -> DataFrame:
+    used = sorted({i for r in subsets for i in r})
     sizes, weights, ids = [spec.size(r) for r in subsets], [spec.strides(r) for r in subsets], [marginal_id(r) for r in subsets]
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         sums = [np.zeros(n, np.int64) for n in sizes]
         for b in batches:
-            columns = [b.column(i).to_numpy(zero_copy_only=False).astype(np.int64) for i in range(b.num_columns)]
+            columns = {i: b.column(k).to_numpy(zero_copy_only=False).astype(np.int64) for k, i in enumerate(used)}
             for total, r, w, n in zip(sums, subsets, weights, sizes, strict=True):
                 total += np.bincount(sum(columns[i] * k for i, k in zip(r, w, strict=True)), minlength=n)
         for total, i in zip(sums, ids, strict=True):
             at = np.flatnonzero(total)
             yield pa.RecordBatch.from_arrays([pa.array(np.full(len(at), i)), pa.array(at), pa.array(total[at])], ["marginal_id", "cell", "cnt"])
 
-    return codes.select(*spec.names).mapInArrow(count, STORE).groupBy("marginal_id", "cell").agg(F.sum("cnt").alias("cnt"))
+    return codes.select(*[spec.names[i] for i in used]).mapInArrow(count, STORE).groupBy("marginal_id", "cell").agg(F.sum("cnt").alias("cnt"))
 
 
 def rollup(store: DataFrame, spec: DomainSpec, wide_to_narrow: dict[Subset, list[Subset]]) -> DataFrame:
@@ -112,10 +120,7 @@ class MarginalStore:
     sums over them.
     """
 
-    #: Cells that a task may count densely, 8 bytes each.
-    TASK_CELLS = 4_000_000
-
-    #: Cells that may be brought to the driver; beyond, scoring stays distributed.
+    #: Cells that the driver may hold; beyond, scores are computed on executors.
     DRIVER_CELLS = 20_000_000
 
     def __init__(self, table: DataFrame, spec: DomainSpec, subsets: list[Subset], n: int):
@@ -128,7 +133,7 @@ class MarginalStore:
         from pyspark import StorageLevel
 
         subsets = sorted({tuple(r) for r in subsets}, key=lambda r: (len(r), r))
-        if plan == "direct" or plan == "auto" and sum(map(spec.size, subsets)) <= cls.TASK_CELLS:
+        if plan == "direct" or plan == "auto" and sum(map(spec.size, subsets)) <= TASK_CELLS:
             table = marginals(codes, spec, subsets, "arrow")
         else:
             below: dict[Subset, list[Subset]] = {}
@@ -144,11 +149,19 @@ class MarginalStore:
     def cells(self) -> int:
         return sum(self.spec.size(r) for r in self.subsets)
 
+    @property
+    def on_driver(self) -> bool:
+        """Whether all of the store may be brought to the driver."""
+        return self.cells <= self.DRIVER_CELLS
+
     def dense(self, subset: Subset) -> np.ndarray:
-        """One marginal as a vector; all of the store is fetched once where its size allows it."""
+        """One marginal as a vector; all of the store is fetched once where its size allows it.  Else
+        each is fetched alone, and the last ones of DRIVER_CELLS cells in all are kept."""
         if subset not in self._dense:
-            if self.cells > self.DRIVER_CELLS:
+            if not self.on_driver:
                 rows = self.table.where(F.col("marginal_id") == marginal_id(subset)).select("cell", "cnt").toPandas()
+                while self._dense and sum(map(len, self._dense.values())) + self.spec.size(subset) > self.DRIVER_CELLS:
+                    del self._dense[next(iter(self._dense))]
                 self._dense[subset] = self._vector(rows, subset)
             else:
                 frame = self.table.toPandas()
