@@ -15,6 +15,8 @@ def main() -> None:
     p.add_argument("--epsilon", nargs="+", type=float, default=[1.0])
     p.add_argument("--trials", type=int, default=1)
     p.add_argument("--cap-mb", type=float, default=80.0)
+    p.add_argument("--whole", action="store_true", help="grid: all nine budgets, every mechanism and ablation, five trials")
+    p.add_argument("--folder", help="grid: shared folder of results; runs found there are not made again")
     p.add_argument("--out", help="folder for the synthetic records, which must not exist")
     a = p.parse_args()
 
@@ -30,7 +32,8 @@ def main() -> None:
     if a.command == "summary":
         grid.fixture_summary(spark, a.data, a.fixture).show(truncate=False)
     elif a.command == "grid":
-        grid.run_grid(spark, a.data, a.fixture, a.workload, a.epsilon, a.mechanism, a.trials, cfg).show(1000, truncate=False)
+        epsilons, mechanisms, trials = (grid.EPSILONS, [*synth.MECHANISMS, "gen_mix_query", *synth.ABLATIONS], 5) if a.whole else (a.epsilon, a.mechanism, a.trials)
+        grid.run_grid(spark, a.data, a.fixture, a.workload, epsilons, mechanisms, trials, cfg, a.folder).show(1000, truncate=False)
     else:
         codes, spec = fixtures.load(spark, a.data, a.fixture[0])
         w = grid.workload_of(spec, a.workload[0], grid.target_of(a.fixture[0], spec))

@@ -11,6 +11,7 @@ from dataclasses import replace
 
 import numpy as np
 import pandas as pd
+from pyspark.errors import AnalysisException
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -21,13 +22,13 @@ from dpsynth.experiments.stats import t_pvalue
 from dpsynth.operators.marginals import MarginalStore
 from dpsynth.privacy.accountant import rho_of
 from dpsynth.synth import needed_subsets, synthesize_from
-from dpsynth.synth.base import AdaptiveConfig
+from dpsynth.synth.base import AdaptiveConfig, table_error
 from dpsynth.uncertainty import bound_rows
 
 #: The nine budgets, log-spaced.
 EPSILONS = [10 ** (k / 2) for k in range(-4, 5)]
 DELTA = 1e-9
-RESULTS = "dataset string, workload string, epsilon double, mechanism string, trial int, error double, error_l2 double, error_linf double, rounds int, seconds double, size_mb double"
+RESULTS = "dataset string, workload string, epsilon double, mechanism string, trial int, error double, table_error double, error_l2 double, error_linf double, rounds int, seconds double, size_mb double"
 
 
 class DenseStore:
@@ -58,9 +59,48 @@ def target_of(name: str, spec: DomainSpec) -> int:
     return spec.index(TARGETS[name]) if name in TARGETS else wl.pick_target(spec)
 
 
-def run_grid(spark: SparkSession, sf_dir: str, datasets: Sequence[str] = ("F7",), workloads: Sequence[str] = ("all3",), epsilons: Sequence[float] = EPSILONS, mechanisms: Sequence[str] = ("adaptive", "independent"), trials: int = 5, cfg: AdaptiveConfig | None = None) -> DataFrame:
-    """Errors of every run (columns RESULTS); trial k uses seed k."""
+def run_grid(spark: SparkSession, sf_dir: str, datasets: Sequence[str] = ("F7",), workloads: Sequence[str] = ("all3",), epsilons: Sequence[float] = EPSILONS, mechanisms: Sequence[str] = ("adaptive", "independent"), trials: int = 5, cfg: AdaptiveConfig | None = None, folder: str | None = None, at_once: int = 400) -> DataFrame:
+    """Errors of every run (columns RESULTS); trial k uses seed k.
+
+    error is that of the model's marginals, table_error that of a generated table.  folder:
+    results are written there, ``at_once`` runs a job, and runs found there are not made again, so
+    a grid that was stopped goes on where it was.
+    """
     cfg = cfg or AdaptiveConfig()
+    if folder is not None:
+        return _stored_grid(spark, folder, at_once, sf_dir, datasets, workloads, epsilons, mechanisms, trials, cfg)
+    return _run(spark, sf_dir, cfg, [(d, w, float(e), m, k) for d in datasets for w in workloads for e in epsilons for m in mechanisms for k in range(trials)])
+
+
+KEYS = ["dataset", "workload", "epsilon", "mechanism", "trial"]
+
+
+def _stored_grid(spark: SparkSession, folder: str, at_once: int, sf_dir: str, datasets, workloads, epsilons, mechanisms, trials: int, cfg: AdaptiveConfig) -> DataFrame:
+    def found() -> DataFrame | None:
+        try:
+            return spark.read.schema(RESULTS).parquet(folder)
+        except AnalysisException as e:
+            if e.getCondition() != "PATH_NOT_FOUND":
+                raise
+            return None
+
+    for d in datasets:
+        for w in workloads:
+            runs = [(d, w, float(e), m, k) for e in epsilons for m in mechanisms for k in range(trials)]
+            old = found()
+            done = set() if old is None else {tuple(r) for r in old.where((F.col("dataset") == d) & (F.col("workload") == w)).select(*KEYS).collect()}
+            left = [r for r in runs if r not in done]
+            for k in range(0, len(left), at_once):
+                _run(spark, sf_dir, cfg, left[k : k + at_once]).write.mode("append").parquet(folder)
+    asked = (F.col(c).isin(list(v)) for c, v in (("dataset", datasets), ("workload", workloads), ("epsilon", map(float, epsilons)), ("mechanism", mechanisms)))
+    out = found().where(F.col("trial") < trials)
+    for c in asked:
+        out = out.where(c)
+    return out
+
+
+def _run(spark: SparkSession, sf_dir: str, cfg: AdaptiveConfig, runs: list[tuple]) -> DataFrame:
+    datasets, epsilons = dict.fromkeys(r[0] for r in runs), dict.fromkeys(r[2] for r in runs)
     stores: dict[str, DenseStore] = {}
     for name in datasets:
         codes, spec = fixtures.load(spark, sf_dir, name)
@@ -68,8 +108,7 @@ def run_grid(spark: SparkSession, sf_dir: str, datasets: Sequence[str] = ("F7",)
         stores[name] = DenseStore.of(store)
         store.close()
     shared = spark.sparkContext.broadcast((stores, cfg, {e: rho_of(e, DELTA) for e in epsilons}))
-    runs = [(d, w, float(e), m, k) for d in datasets for w in workloads for e in epsilons for m in mechanisms for k in range(trials)]
-    todo = spark.createDataFrame(runs, "dataset string, workload string, epsilon double, mechanism string, trial int").repartition(max(1, min(len(runs), 2_000)), *["dataset", "workload", "epsilon", "mechanism", "trial"])
+    todo = spark.createDataFrame(runs, "dataset string, workload string, epsilon double, mechanism string, trial int").repartition(max(1, min(len(runs), 2_000)), *KEYS)
 
     def work(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         by_name, base, rho = shared.value
@@ -78,9 +117,19 @@ def run_grid(spark: SparkSession, sf_dir: str, datasets: Sequence[str] = ("F7",)
                 store = by_name[row.dataset]
                 w = workload_of(store.spec, row.workload, target_of(row.dataset, store.spec))
                 r = synthesize_from(store, w, rho[row.epsilon], row.mechanism, replace(base, seed=int(row.trial)))
-                yield pd.DataFrame([(row.dataset, row.workload, row.epsilon, row.mechanism, row.trial, *(r.error(store, w, norm) for norm in ("l1", "l2", "linf")), int(r.stats["rounds"]), r.stats["seconds"], r.stats["size_mb"])], columns=[c.split()[0] for c in RESULTS.split(", ")])
-
-    return todo.mapInPandas(work, RESULTS)
+                l1, l2, linf = (r.error(store, w, norm) for norm in ("l1", "l2", "linf"))
+                yield pd.DataFrame([(row.dataset, row.workload, row.epsilon, row.mechanism, row.trial, l1, table_error(r, store, w, int(row.trial)), l2, linf, int(r.stats["rounds"]), r.stats["seconds"], r.stats["size_mb"])], columns=[c.split()[0] for c in RESULTS.split(", ")])
+
+    # a task has one core, and so have the matrix products in it; the worker reads this when it starts
+    environment = spark.sparkContext.environment
+    before = environment.get("OMP_NUM_THREADS")
+    environment["OMP_NUM_THREADS"] = "1"
+    out = todo.mapInPandas(work, RESULTS)
+    if before is None:
+        del environment["OMP_NUM_THREADS"]
+    else:
+        environment["OMP_NUM_THREADS"] = before
+    return out
 
 
 def ablation_table(results: DataFrame, main: str = "adaptive") -> DataFrame:

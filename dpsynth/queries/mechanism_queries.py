@@ -203,3 +203,6 @@ QUERIES = {
     "x_generation": (_sampled, None),
     "x_source": (_source, "select 1000::bigint as n, 0::bigint as n_bad"),
 }
+
+#: Queries of hundreds of runs each.
+WHOLE_GRIDS = {f"x_{w}_{t}" for w in ("all3", "target", "skewed", "all2", "ablation") for t in TABLES}

@@ -225,17 +225,96 @@ def test_data_source_reads_the_same_twice(spark, f7):
     assert load().count() == 250
 
 
-def test_release_ledger_repeats_and_refuses(tmp_path):
+def test_release_ledger_repeats_and_refuses(spark, tmp_path):
     from dpsynth.streaming import ReleaseLedger
 
-    ledger, draws = ReleaseLedger(str(tmp_path), 1.0), []
-    make = lambda: draws.append(1) or [[1.0]]
-    assert ledger.release(1, 0.6, make) == ledger.release(1, 0.6, make) == [[1.0]]
+    ledger, draws = ReleaseLedger(spark, str(tmp_path), 1.0), []
+    make = lambda: draws.append(1) or spark.createDataFrame([(float(len(draws)),)], "value double")
+    assert [ledger.release(1, 0.6, make).first()["value"] for _ in range(2)] == [1.0, 1.0]
     assert len(draws) == 1 and ledger.used == 0.6
     with pytest.raises(RuntimeError):
         ledger.release(2, 0.6, make)
 
 
+def test_released_windows_do_not_depend_on_records(spark, tmp_path):
+    """One record more or less moves counts, never the windows and cells that are released, nor the cost."""
+    from dpsynth.privacy.mechanisms import NoiseSource
+    from dpsynth.streaming import ReleaseLedger, releasing
+
+    spec = fixtures.SPECS["F6"]
+    found = {}
+    for name, rows in {"none": [], "one": [(86400.0, 2, 1)], "more": [(86400.0, 2, 2), (999.0 * 86400, 1, 5)]}.items():
+        out, ledger = {}, ReleaseLedger(spark, str(tmp_path / name), 2.0)
+        each = releasing(ledger, spec, (0,), 1.0, NoiseSource(1), lambda k, df, out=out: out.update({k: df.collect()}), lambda k: [0.0, 86400.0] if k == 1 else [], overlap=2)
+        batch = spark.createDataFrame(rows, "start double, cell long, cnt long")
+        each(batch, 0)
+        each(batch.limit(0), 1)
+        each(batch.limit(0), 1)  # a batch that is run again
+        assert list(out) == [1] and ledger.used == 2 * 0.5
+        found[name] = sorted((r["start"], r["cell"]) for r in out[1])
+    assert found["none"] == found["one"] == found["more"] == [(s, c) for s in (0.0, 86400.0) for c in range(spec.size((0,)))]
+
+
+def test_parent_sets_do_not_depend_on_the_exact_number_of_records(f7):
+    """The limit on families follows a noisy total, so runs that differ in store.n only choose alike."""
+    from copy import copy
+
+    _, _, store = f7
+    other = copy(store)
+    other.n = store.n * 50
+    chosen = [[m.subset for m in bl.synthesize_bayes_net(s, None, 0.5, 3).transcript.measured] for s in (store, other)]
+    assert chosen[0] == chosen[1]
+
+
+def test_distributed_scoring_chooses_the_same(f7, monkeypatch):
+    """With no cells allowed on the driver, each round is one job, and the same sets are measured."""
+    codes, spec, store = f7
+    w = wl.all_kway(spec, 2)
+    here = synth.synthesize_from(store, w, 0.5, "adaptive", CFG)
+    far = mg.MarginalStore(store.table, spec, store.subsets, store.n)
+    monkeypatch.setattr(mg.MarginalStore, "DRIVER_CELLS", 0)
+    assert not far.on_driver
+    there = synth.synthesize_from(far, w, 0.5, "adaptive", CFG)
+    assert [m.subset for m in there.transcript.measured] == [m.subset for m in here.transcript.measured]
+    assert sum(map(len, far._dense.values())) <= max(map(spec.size, store.subsets))
+    assert far._dense.keys() <= {m.subset for m in there.transcript.measured}
+
+
+def test_noise_drawn_on_executors(spark):
+    from dpsynth.privacy.mechanisms import spread_release
+
+    dense = spark.range(40_000).selectExpr("1L as marginal_id", "id as cell", "5L as cnt")
+    z = spread_release(dense, 3.0, 1).toPandas()["value"] - 5
+    assert abs(z.mean()) < 0.1 and z.std() == pytest.approx(3.0, rel=0.05) and z.round(6).nunique() > 39_000
+    assert spread_release(dense, 3.0).columns == ["marginal_id", "cell", "cnt", "value"]
+
+
+def test_late_rows_are_dropped_behind_the_watermark(spark, tmp_path):
+    """A late row within the watermark's hour counts, one beyond it does not."""
+    from dpsynth import streaming as st
+
+    at = lambda *rows: spark.createDataFrame([(i, f"2024-01-0{d} {h}", 1, "view", 1.0, "{}") for i, (d, h) in enumerate(rows)], "event_id long, ts string, user_id long, event_type string, value double, props string").selectExpr("event_id", "cast(ts as timestamp_ntz) as ts", "user_id", "event_type", "value", "props").coalesce(1).write.mode("append").parquet(str(tmp_path / "in"))
+    at((1, "10:00:00"), (2, "00:30:00"))  # the watermark goes to 23:30 of the first day
+    at((1, "23:45:00"), (3, "12:00:00"))  # late, but within
+    at((3, "13:00:00"))  # the first day closes; from the next batch on its rows are too late
+    at((1, "23:50:00"), (5, "00:00:00"))
+    at((9, "00:00:00"))
+    spec = fixtures.SPECS["F6"]
+    counts = st.window_marginals(st.coded(st.encode_events(st.read_events(spark, str(tmp_path / "in")), spec), spec), spec, (0,))
+    rows = []
+    counts.writeStream.outputMode("append").foreachBatch(lambda df, k: rows.extend(df.collect())).option("checkpointLocation", str(tmp_path / "state")).trigger(availableNow=True).start().awaitTermination()
+    assert {r["start"].day: r["cnt"] for r in rows}[1] == 2
+
+
+def test_a_stopped_grid_goes_on(spark, tmp_path):
+    from dpsynth.experiments import grid
+
+    run = lambda trials: grid.run_grid(spark, SF, ["F7"], ["all3"], [1.0], ["independent"], trials, folder=str(tmp_path / "r"), at_once=1)
+    first = {tuple(r) for r in run(1).collect()}
+    both = {tuple(r) for r in run(2).collect()}
+    assert len(first) == 1 and len(both) == 2 and first < both and len(list((tmp_path / "r").glob("*.parquet"))) >= 2
+
+
 def test_domain_round_trip():
     from dpsynth.sources.tables import domain_from_json, domain_to_json
 
