@@ -85,17 +85,13 @@ class PrefixTable:
 
     def ids(self, length: int | None = None) -> list[int]:
         """The encoding of the first ``length`` bytes (all of them by default)."""
-        at, out = len(self.piece) if length is None else length, []
-        while at > 0:
-            token = self.last[at - 1]
-            out.append(token)
-            at -= len(self.coder.tokens[token])
-        return out[::-1]
+        return self.coder.walk(self.last, len(self.piece) if length is None else length)
 
 
 class PrefixCoder:
-    """Encoder and decoder over one vocabulary.  Pieces met before are kept in a bounded cache,
-    which is emptied when full; it changes the speed only."""
+    """Encoder and decoder over one vocabulary.  Pieces met before are kept in two generations of at
+    most ``cache`` pieces: when the younger one is full it replaces the older one, and what is
+    met again moves back.  They change the speed only."""
 
     def __init__(self, ranks: dict[bytes, int], pattern: str, cache: int = 300_000):
         self.ranks, self.pattern, self.room = ranks, pattern, cache
@@ -111,6 +107,7 @@ class PrefixCoder:
 
     def _ready(self) -> None:
         self.tokens = {rank: token for token, rank in self.ranks.items()}
+        self.sizes = {rank: len(token) for token, rank in self.ranks.items()}
         self.longest = max(map(len, self.ranks))
         self.joined = {pair: rank for rank, pair in self.merges.items() if pair[0] != rank}
         self.ends = ahocorasick.Automaton()
@@ -119,16 +116,22 @@ class PrefixCoder:
         self.ends.make_automaton()
         self.split = regex.compile(self.pattern)
         self.fits: dict[int, bool] = {}
+        self.edges: tuple[dict, dict] = {}, {}  # of tokens, so no more than the vocabulary
         self.known: dict[str, list[int]] = {}
+        self.known_before: dict[str, list[int]] = {}
         self.seen: dict[str, tuple[int, bytes, bytes]] = {}
+        self.seen_before: dict[str, tuple[int, bytes, bytes]] = {}
 
     def edge(self, token: int, side: int) -> list[tuple[int, int]]:
         """The tokens that stand at one end of ``token`` while BPE builds it (side 0: its left end,
         1: its right end), each with the rank of the merge that takes it away."""
-        out = [(token, 1 << 30)]
-        while (inner := self.merges[token][side]) != token:
-            out.append((inner, token))
-            token = inner
+        out = self.edges[side].get(token)
+        if out is None:
+            out, at = [(token, 1 << 30)], token
+            while (inner := self.merges[at][side]) != at:
+                out.append((inner, at))
+                at = inner
+            self.edges[side][token] = out
         return out
 
     def compatible(self, left: int, right: int) -> bool:
@@ -144,42 +147,65 @@ class PrefixCoder:
         key = left << 24 | right
         known = self.fits.get(key)
         if known is None:
-            joined, starts = self.joined.get, self.edge(right, 0)
-            known = not any((m := joined((x, y))) is not None and m < gone and m <= lost for x, gone in self.edge(left, 1) for y, lost in starts)
+            known = self._border_stays(left, right)
             if len(self.fits) >= 4 * self.room:
                 self.fits.clear()
             self.fits[key] = known
         return known
 
+    def _border_stays(self, left: int, right: int) -> bool:
+        joined, starts = self.joined.get, self.edge(right, 0)
+        for x, gone in self.edge(left, 1):
+            for y, lost in starts:
+                merge = joined((x, y))
+                if merge is not None and merge < gone and merge <= lost:
+                    return False
+        return True
+
     def extend(self, piece: bytes, last: list[int], start: int) -> None:
         """Append to ``last`` the last tokens of the prefixes longer than ``start``.
 
         An Aho-Corasick automaton lists the tokens that end at each byte; the one that begins
         the piece, or fits behind the last token of the prefix before it, is the entry.
         """
-        base, known, fits = max(0, start - self.longest + 1), self.fits.get, self.compatible
-        for at, (size, token) in self.ends.iter(piece[base:].decode("latin-1")):
-            end = base + at + 1
-            if end == len(last) + 1:
-                before = end - size - 1
-                if before < 0:
+        base, known, fits, n = max(0, start - self.longest + 1), self.fits.get, self.compatible, len(last)
+        for at, (size, token) in self.ends.iter(piece[base:].decode("latin-1") if base else piece.decode("latin-1")):
+            if base + at == n:
+                if size > n:
                     last.append(token)
+                    n += 1
                 else:
-                    fit = known(last[before] << 24 | token)
-                    if fit or fit is None and fits(last[before], token):
+                    before = last[n - size]
+                    fit = known(before << 24 | token)
+                    if fit or fit is None and fits(before, token):
                         last.append(token)
-        if len(last) != len(piece):
+                        n += 1
+        if n != len(piece):
             raise ValueError("a byte has no token in this vocabulary")
 
+    def walk(self, last: list[int], at: int) -> list[int]:
+        """The encoding of the first ``at`` bytes, read off their last tokens from the end."""
+        out, sizes = [], self.sizes
+        while at > 0:
+            token = last[at - 1]
+            out.append(token)
+            at -= sizes[token]
+        out.reverse()
+        return out
+
     def encode_piece(self, piece: bytes) -> list[int]:
         whole = self.ranks.get(piece)
-        return [whole] if whole is not None else PrefixTable(self, piece).ids()
+        if whole is not None:
+            return [whole]
+        last: list[int] = []
+        self.extend(piece, last, 0)
+        return self.walk(last, len(last))
 
     def _learned(self, piece: str) -> list[int]:
-        ids = self.encode_piece(piece.encode("utf-8", "surrogatepass"))
+        ids = self.known_before.get(piece) or self.encode_piece(piece.encode("utf-8", "surrogatepass"))
         if len(piece) <= 64:
             if len(self.known) >= self.room:
-                self.known.clear()
+                self.known_before, self.known = self.known, {}
             self.known[piece] = ids
         return ids
 
@@ -192,11 +218,13 @@ class PrefixCoder:
 
     def _written(self, piece: str) -> tuple[int, bytes, bytes]:
         """Number of tokens, their decimals joined by blanks, and the bytes they decode to."""
-        ids = self._learned(piece)
-        out = len(ids), " ".join(map(str, ids)).encode(), self.decode(ids)
+        out = self.seen_before.get(piece)
+        if out is None:
+            ids = self.encode_piece(piece.encode("utf-8", "surrogatepass"))
+            out = len(ids), " ".join(map(str, ids)).encode(), self.decode(ids)
         if len(piece) <= 64:
             if len(self.seen) >= self.room:
-                self.seen.clear()
+                self.seen_before, self.seen = self.seen, {}
             self.seen[piece] = out
         return out
 
