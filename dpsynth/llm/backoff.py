@@ -27,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from dpsynth.llm.common import cut, shuffle_width
+from dpsynth.llm.common import cut, shuffle_width, slices
 
 ALPHA, MIN_COUNT = 0.4, 2
 #: Compressed input bytes for which one chunk and one owner is made.
@@ -183,7 +183,7 @@ def block_scores(texts: list[str | bytes | None], totals: np.ndarray, alpha: flo
 def packed_texts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """doc_id, text, chunk to doc_id, chunk, size, packed: each text's UTF-8 bytes in zstd, which travel lighter."""
     codec = pa.Codec("zstd", 3)
-    for b in batches:
+    for b in slices(batches):
         raw = [(t or "").encode("utf-8", "surrogatepass") for t in b.column("text").to_pylist()]
         columns = [b.column("doc_id"), b.column("chunk"), pa.array([len(r) for r in raw], pa.int64()), pa.array([codec.compress(r, asbytes=True) for r in raw], pa.binary())]
         yield pa.RecordBatch.from_arrays(columns, ["doc_id", "chunk", "size", "packed"])

@@ -21,7 +21,7 @@ import public_tokenizers
 import regex
 from pyspark.sql import DataFrame
 
-from dpsynth.llm.common import Shipped
+from dpsynth.llm.common import Shipped, slices
 
 DIGEST_SCHEMA = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string"
 
@@ -254,7 +254,7 @@ def encode_documents(docs: DataFrame, path: str | None = None, pattern: str = pu
     schema = T.StructType([*kept.schema.fields, T.StructField(out, T.ArrayType(T.IntegerType()))])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in slices(batches):
             ids = [model.value.encode(t or "") for t in b.column(text_col).to_pylist()]
             yield b.append_column(out, pa.array(ids, pa.list_(pa.int32())))
 
@@ -270,7 +270,7 @@ def encode_digests(docs: DataFrame, path: str | None = None, pattern: str = publ
     model = Shipped(docs.sparkSession, coder(path, pattern))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in slices(batches):
             rows = [model.value.digest(t) for t in b.column(1).to_pylist()]
             n, ids, back = zip(*rows) if rows else ((), (), ())
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(n, pa.int64()), pa.array(ids, pa.string()), pa.array(back, pa.string())], ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"])

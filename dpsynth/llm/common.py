@@ -3,7 +3,9 @@
 from __future__ import annotations
 
 import tempfile
+from collections.abc import Iterator
 
+import pyarrow as pa
 from pyspark import cloudpickle
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -51,6 +53,14 @@ class Shipped:
         return self.held.opened
 
 
+def slices(batches: Iterator[pa.RecordBatch], most: int = 4 << 20) -> Iterator[pa.RecordBatch]:
+    """The batches in pieces of about ``most`` bytes: the objects made of a piece take several times that."""
+    for b in batches:
+        step = max(1, b.num_rows * most // max(1, b.nbytes))
+        for k in range(0, b.num_rows, step):
+            yield b.slice(k, step)
+
+
 def fresh(df: DataFrame, *names: str) -> list[str]:
     """The names, with underscores behind them until no column of ``df`` has one (case aside)."""
     taken, out = {c.lower() for c in df.columns}, []

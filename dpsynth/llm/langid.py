@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from dpsynth.llm.common import Shipped, fresh, named
+from dpsynth.llm.common import Shipped, fresh, named, slices
 
 #: At most about so many labelled documents of each language are learned from, dealt by a hash of doc_id.
 TRAIN_DOCS_PER_LANG = 2_000
@@ -200,7 +200,7 @@ def identify(docs: DataFrame, model: NaiveBayes, names: tuple[str, str] = ("lang
 
     def scan(shared):
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            for b in batches:
+            for b in slices(batches):
                 langs, top, total = shared.value.best(b.column("text").to_pylist())
                 if at_lang in b.schema.names:
                     old, old_top, old_total = b.column(at_lang).to_pylist(), *(b.column(c).to_numpy(zero_copy_only=False) for c in (at_top, at_total))

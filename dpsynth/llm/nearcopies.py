@@ -21,7 +21,7 @@ from pyspark.sql import functions as F
 
 from dpsynth.llm import simhash
 from dpsynth.llm.backoff import mix
-from dpsynth.llm.common import cut
+from dpsynth.llm.common import cut, slices
 from dpsynth.llm.simhash import LOWER, Forest, bits_over_half, components, keep_first
 
 SHINGLE, BANDS, BAND = 5, 32, 4
@@ -55,7 +55,7 @@ def signatures(docs: DataFrame) -> DataFrame:
     """doc_id, row_hash, sid (hash of the shingle set), n (its size), fp (its fingerprint) and bands per row of ``docs``."""
 
     def run(batches):
-        for b in batches:
+        for b in slices(batches):
             sids, sizes, prints, bands, held, size = [], [], [], [], [], 0
 
             def flush(held=held, bands=bands, prints=prints):
@@ -143,7 +143,7 @@ def links(rows: DataFrame, docs: DataFrame) -> DataFrame:
     texts = keyed(docs).join(dealt.hint("shuffle_hash"), F.col("doc_id").eqNullSafe(F.col("llm_doc")) & (F.col("row_hash") == F.col("llm_hash"))).select("sid", "root", "own", "blocks", "text")
 
     def read(batches):
-        for b in batches:
+        for b in slices(batches):
             yield pa.RecordBatch.from_arrays([*b.columns[:4], pa.array([shingle_set(t).tobytes() for t in b.column(4).to_pylist()], pa.binary())], ["sid", "root", "own", "blocks", "grams"])
 
     def compare(t: pa.Table) -> pa.Table:

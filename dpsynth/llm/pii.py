@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from dpsynth.llm.common import Shipped
+from dpsynth.llm.common import Shipped, slices
 
 #: The kinds of the patterns, and two that only the tagger finds.
 BASE_KINDS = ["email", "ip", "card", "phone"]
@@ -472,7 +472,7 @@ def find(docs: DataFrame, most: int = TRAIN_PASSAGES) -> DataFrame:
     model = Shipped(docs.sparkSession, train(rows, most))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in slices(batches, 16 << 20):
             found = all_spans(b.column(1).to_pylist(), model.value)
             counts = [pa.array([sum(s[0] == k for s in base) for base, _ in found], pa.int64()) for k in range(len(BASE_KINDS))]
             digest = pa.array([hashlib.sha256(written(base).encode()).hexdigest() for base, _ in found], pa.string())

@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from dpsynth.llm.common import cut
+from dpsynth.llm.common import cut, slices
 
 #: Share of a group that an estimate rests on, smallest group with an estimate of its own.
 SUPPORT, MIN_GROUP = 0.75, 20
@@ -66,7 +66,7 @@ def statistics(docs: DataFrame) -> DataFrame:
     """doc_id, lang, source and the word statistics per row of ``docs``; one Arrow pass over the texts."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in slices(batches):
             found = np.array([word_statistics(t) for t in b.column(3).to_pylist()], np.int64).reshape(-1, 5)
             yield pa.RecordBatch.from_arrays([*b.columns[:3], *(pa.array(found[:, k]) for k in range(5))], ["doc_id", "lang", "source", *COUNTS])
 

@@ -32,7 +32,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from dpsynth.llm.common import columns_of, cut, fresh
+from dpsynth.llm.common import columns_of, cut, fresh, slices
 
 SHINGLE, RADIUS = 3, 3
 #: Distinct fingerprints that a shard should hold, and beyond which it is cut.
@@ -74,7 +74,7 @@ def fingerprint(docs: DataFrame, shingle: int = SHINGLE) -> DataFrame:
     """doc_id, row_hash (of the text) and fp (the fingerprint as a signed long) per row of ``docs``."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in slices(batches):
             texts, found, size, first = b.column(2).to_pylist(), [], 0, 0
             for i, t in enumerate(texts):
                 size += len(t or "")
