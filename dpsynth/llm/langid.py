@@ -169,19 +169,22 @@ def train(docs: DataFrame, per_lang: int = TRAIN_DOCS_PER_LANG, bits: int = BUCK
     dealt = F.pmod(F.xxhash64("doc_id", F.lit("langid")), F.lit(1_000_003)) / 1_000_003.0
     sample = rows.withColumn("dealt", dealt).join(shares, "lang").where("dealt < share").select("lang", "text")
 
-    def count(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         index, sums = GramIndex(bits), {}
-        for f in frames:
-            for lang, group in f.groupby("lang"):
+        for b in slices(batches):
+            groups: dict[str, list[str]] = {}
+            for lang, text in zip(b.column("lang").to_pylist(), b.column("text").to_pylist(), strict=True):
+                groups.setdefault(lang, []).append(text or "")
+            for lang, texts in groups.items():
                 into = sums.setdefault(lang, np.zeros((1 << bits) + 1, np.int64))
-                for _, _, _, found_in in index.batches([t or "" for t in group["text"]]):
+                for _, _, _, found_in in index.batches(texts):
                     for row in found_in:
                         into += np.bincount(row, minlength=len(into))
         for lang, into in sums.items():
             some = np.flatnonzero(into[:-1])
-            yield pd.DataFrame({"lang": lang, "bucket": some, "cnt": into[some]})
+            yield pa.RecordBatch.from_arrays([pa.array([lang] * len(some), pa.string()), pa.array(some), pa.array(into[some])], ["lang", "bucket", "cnt"])
 
-    counts = sample.mapInPandas(count, "lang string, bucket long, cnt long").groupBy("lang", "bucket").agg(F.sum("cnt").alias("cnt")).toPandas()
+    counts = sample.mapInArrow(count, "lang string, bucket long, cnt long").groupBy("lang", "bucket").agg(F.sum("cnt").alias("cnt")).toPandas()
     return NaiveBayes.of_counts(counts, found, bits)
 
 
