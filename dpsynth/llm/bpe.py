@@ -93,7 +93,7 @@ class PrefixCoder:
     most ``cache`` pieces: when the younger one is full it replaces the older one, and what is
     met again moves back.  They change the speed only."""
 
-    def __init__(self, ranks: dict[bytes, int], pattern: str, cache: int = 300_000):
+    def __init__(self, ranks: dict[bytes, int], pattern: str, cache: int = 150_000):
         self.ranks, self.pattern, self.room = ranks, pattern, cache
         self.merges = last_merges(ranks)
         self._ready()
@@ -236,7 +236,7 @@ class PrefixCoder:
         return sum([x[0] for x in found]), ids, hashlib.sha256(b"".join([x[2] for x in found])).hexdigest()
 
 
-def coder(path: str | None = None, pattern: str = public_tokenizers.PATTERN, cache: int = 300_000) -> PrefixCoder:
+def coder(path: str | None = None, pattern: str = public_tokenizers.PATTERN, cache: int = 150_000) -> PrefixCoder:
     return PrefixCoder(load_ranks(path or public_tokenizers.path("byte_bpe_50k.tiktoken")), pattern, cache)
 
 

@@ -54,11 +54,15 @@ class Shipped:
 
 
 def slices(batches: Iterator[pa.RecordBatch], most: int = 4 << 20) -> Iterator[pa.RecordBatch]:
-    """The batches in pieces of about ``most`` bytes: the objects made of a piece take several times that."""
+    """The batches in pieces of about ``most`` bytes: the objects made of a piece take several times
+    that.  What Arrow holds of earlier batches goes back to the system, as workers outlive a stage."""
+    pool = pa.default_memory_pool()
     for b in batches:
         step = max(1, b.num_rows * most // max(1, b.nbytes))
         for k in range(0, b.num_rows, step):
             yield b.slice(k, step)
+        pool.release_unused()
+    pool.release_unused()
 
 
 def fresh(df: DataFrame, *names: str) -> list[str]:
