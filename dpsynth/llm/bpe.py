@@ -23,6 +23,8 @@ from pyspark.sql import DataFrame
 
 from dpsynth.llm.common import Shipped, slices
 
+#: Pieces that a worker keeps for digests, where no other stage's memory is in its process.
+DIGEST_CACHE = 400_000
 DIGEST_SCHEMA = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string"
 
 
@@ -267,7 +269,7 @@ def encode_digests(docs: DataFrame, path: str | None = None, pattern: str = publ
     Null and empty texts have no tokens (digests of nothing).  Repeated rows each give a row.  An
     empty table gives an empty result.  Other columns are not read.
     """
-    model = Shipped(docs.sparkSession, coder(path, pattern))
+    model = Shipped(docs.sparkSession, coder(path, pattern, DIGEST_CACHE))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in slices(batches):
