@@ -21,7 +21,7 @@ import public_tokenizers
 import regex
 from pyspark.sql import DataFrame
 
-from dpsynth.llm.common import Shipped, slices
+from dpsynth.llm.common import Shipped, map_batches, slices
 
 #: Pieces that a worker keeps for digests, where no other stage's memory is in its process.
 DIGEST_CACHE = 400_000
@@ -260,7 +260,7 @@ def encode_documents(docs: DataFrame, path: str | None = None, pattern: str = pu
             ids = [model.value.encode(t or "") for t in b.column(text_col).to_pylist()]
             yield b.append_column(out, pa.array(ids, pa.list_(pa.int32())))
 
-    return kept.mapInArrow(run, schema)
+    return map_batches(kept, run, schema)
 
 
 def encode_digests(docs: DataFrame, path: str | None = None, pattern: str = public_tokenizers.PATTERN) -> DataFrame:
@@ -277,4 +277,4 @@ def encode_digests(docs: DataFrame, path: str | None = None, pattern: str = publ
             n, ids, back = zip(*rows) if rows else ((), (), ())
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(n, pa.int64()), pa.array(ids, pa.string()), pa.array(back, pa.string())], ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"])
 
-    return docs.selectExpr("cast(doc_id as bigint) as doc_id", "cast(text as string) as text").mapInArrow(run, DIGEST_SCHEMA)
+    return map_batches(docs.selectExpr("cast(doc_id as bigint) as doc_id", "cast(text as string) as text"), run, DIGEST_SCHEMA)

@@ -3,16 +3,21 @@
 from __future__ import annotations
 
 import tempfile
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import pyarrow as pa
 from pyspark import cloudpickle
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import StructType
 
 #: ASCII white space as the contracts spell it: [\x20\x09-\x0D].
 ASCII_SPACE = " \t\n\x0b\x0c\r"
 
+#: The session's limit on the bytes of an Arrow batch, and what it is where nobody has set it.
+BATCH_LIMIT = "spark.sql.execution.arrow.maxBytesPerBatch"
+BATCH_BYTES = 4 << 20
+
 
 def table(spark: SparkSession, sf_dir: str, name: str, *cols: str) -> DataFrame:
     """A given table, read with the columns that are asked for."""
@@ -53,7 +58,7 @@ class Shipped:
         return self.held.opened
 
 
-def slices(batches: Iterator[pa.RecordBatch], most: int = 4 << 20) -> Iterator[pa.RecordBatch]:
+def slices(batches: Iterator[pa.RecordBatch], most: int = BATCH_BYTES) -> Iterator[pa.RecordBatch]:
     """The batches in pieces of about ``most`` bytes: the objects made of a piece take several times
     that.  What Arrow holds of earlier batches goes back to the system, as workers outlive a stage."""
     pool = pa.default_memory_pool()
@@ -65,6 +70,15 @@ def slices(batches: Iterator[pa.RecordBatch], most: int = 4 << 20) -> Iterator[p
     pool.release_unused()
 
 
+def map_batches(df: DataFrame, run: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]], schema: str | StructType) -> DataFrame:
+    """``mapInArrow`` with batches bounded in bytes: texts differ in length, and the JVM, the pipe
+    and the worker each hold a batch.  A limit that the session has set itself stays."""
+    conf = df.sparkSession.conf
+    if conf.get(BATCH_LIMIT, None) is None:
+        conf.set(BATCH_LIMIT, str(BATCH_BYTES))
+    return df.mapInArrow(run, schema)
+
+
 def fresh(df: DataFrame, *names: str) -> list[str]:
     """The names, with underscores behind them until no column of ``df`` has one (case aside)."""
     taken, out = {c.lower() for c in df.columns}, []

@@ -18,7 +18,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from dpsynth.llm.common import Shipped, columns_of, fresh, named
+from dpsynth.llm.common import Shipped, columns_of, fresh, map_batches, named
 
 WINDOW = 10
 #: Texts of one index, in bytes.
@@ -266,8 +266,8 @@ def mark(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, block_byte
 
     some = False
     for block in benchmark_blocks(benchmark, block_bytes):
-        out, some = out.mapInArrow(scan(Shipped(spark, Phrases(block, window))), schema), True
-    return out if some else out.mapInArrow(scan(Shipped(spark, Phrases([], window))), schema)
+        out, some = map_batches(out, scan(Shipped(spark, Phrases(block, window))), schema), True
+    return out if some else map_batches(out, scan(Shipped(spark, Phrases([], window))), schema)
 
 
 def contamination_digests(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW) -> DataFrame:

@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from dpsynth.llm.common import Shipped, fresh, named, slices
+from dpsynth.llm.common import Shipped, fresh, map_batches, named, slices
 
 #: At most about so many labelled documents of each language are learned from, dealt by a hash of doc_id.
 TRAIN_DOCS_PER_LANG = 2_000
@@ -184,7 +184,7 @@ def train(docs: DataFrame, per_lang: int = TRAIN_DOCS_PER_LANG, bits: int = BUCK
             some = np.flatnonzero(into[:-1])
             yield pa.RecordBatch.from_arrays([pa.array([lang] * len(some), pa.string()), pa.array(some), pa.array(into[some])], ["lang", "bucket", "cnt"])
 
-    counts = sample.mapInArrow(count, "lang string, bucket long, cnt long").groupBy("lang", "bucket").agg(F.sum("cnt").alias("cnt")).toPandas()
+    counts = map_batches(sample, count, "lang string, bucket long, cnt long").groupBy("lang", "bucket").agg(F.sum("cnt").alias("cnt")).toPandas()
     return NaiveBayes.of_counts(counts, found, bits)
 
 
@@ -216,7 +216,7 @@ def identify(docs: DataFrame, model: NaiveBayes, names: tuple[str, str] = ("lang
 
     out = kept
     for part in model.blocks(block_bytes):
-        out = out.mapInArrow(scan(Shipped(docs.sparkSession, part)), schema)
+        out = map_batches(out, scan(Shipped(docs.sparkSession, part)), schema)
     if not model.langs:
         out = out.withColumns({at_lang: F.lit(None).cast("string"), at_top: F.lit(0.0), at_total: F.lit(0.0)})
     sure = F.when(F.col(at_lang).isNull(), F.lit(0.0)).otherwise(F.least(F.exp(F.col(at_top) - F.col(at_total)), F.lit(1.0)))

@@ -21,7 +21,7 @@ from pyspark.sql import functions as F
 
 from dpsynth.llm import simhash
 from dpsynth.llm.backoff import mix
-from dpsynth.llm.common import cut, slices
+from dpsynth.llm.common import cut, map_batches, slices
 from dpsynth.llm.simhash import LOWER, Forest, bits_over_half, components, keep_first
 
 SHINGLE, BANDS, BAND = 5, 32, 4
@@ -78,7 +78,7 @@ def signatures(docs: DataFrame) -> DataFrame:
             longs = [pa.array(np.array(sids, np.uint64).view(np.int64)), pa.array(sizes, pa.int64()), pa.array(np.concatenate(prints).view(np.int64))]
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), *longs, pa.array(bands, pa.list_(pa.int64()))], ["doc_id", "row_hash", "sid", "n", "fp", "bands"])
 
-    return keyed(docs).select("doc_id", "row_hash", "text").mapInArrow(run, "doc_id long, row_hash long, sid long, n long, fp long, bands array<long>")
+    return map_batches(keyed(docs).select("doc_id", "row_hash", "text"), run, "doc_id long, row_hash long, sid long, n long, fp long, bands array<long>")
 
 
 def keyed(docs: DataFrame) -> DataFrame:
@@ -155,7 +155,7 @@ def links(rows: DataFrame, docs: DataFrame) -> DataFrame:
         edges = [(sids[x], sids[r]) for x in range(len(sids)) if (r := forest.find(x)) != x]
         return pa.table({"a": pa.array([a for a, _ in edges], pa.int64()), "b": pa.array([b for _, b in edges], pa.int64())})
 
-    sets = texts.mapInArrow(read, "sid long, root long, own int, blocks int, grams binary")
+    sets = map_batches(texts, read, "sid long, root long, own int, blocks int, grams binary")
     # a block meets each block, itself among them, in one task: with one block there is one task, with more a task for each two
     other = F.expr("case when blocks = 1 then array(0) else filter(sequence(0, blocks - 1), x -> x <> own) end")
     pairs = sets.withColumn("other", F.explode(other)).select("sid", "grams", "root", F.least("own", "other").alias("lo"), F.greatest("own", "other").alias("hi"))

@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from dpsynth.llm.common import Shipped, slices
+from dpsynth.llm.common import Shipped, map_batches, slices
 
 #: The kinds of the patterns, and two that only the tagger finds.
 BASE_KINDS = ["email", "ip", "card", "phone"]
@@ -479,7 +479,7 @@ def find(docs: DataFrame, most: int = TRAIN_PASSAGES) -> DataFrame:
             every = [pa.array([written(x) for _, x in found], pa.string()), pa.array([len(x) for _, x in found], pa.int64())]
             yield pa.RecordBatch.from_arrays([b.column(0), *counts, digest, *every], ["doc_id", *(f"n_{k}" for k in BASE_KINDS), "base_sha256", "spans", "n_spans"])
 
-    return rows.mapInArrow(run, SCHEMA)
+    return map_batches(rows, run, SCHEMA)
 
 
 def redact(text: str, spans: list[tuple[int, int, int]]) -> str:

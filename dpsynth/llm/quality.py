@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from dpsynth.llm.common import cut, slices
+from dpsynth.llm.common import cut, map_batches, slices
 
 #: Share of a group that an estimate rests on, smallest group with an estimate of its own.
 SUPPORT, MIN_GROUP = 0.75, 20
@@ -72,7 +72,7 @@ def statistics(docs: DataFrame) -> DataFrame:
 
     text = lambda c: F.coalesce(F.col(c).cast("string"), F.lit("")).alias(c)
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text("lang"), text("source"), text("text"))
-    return rows.mapInArrow(run, "doc_id long, lang string, source string, " + ", ".join(f"{c} long" for c in COUNTS))
+    return map_batches(rows, run, "doc_id long, lang string, source string, " + ", ".join(f"{c} long" for c in COUNTS))
 
 
 def with_vectors(stats: DataFrame) -> DataFrame:

@@ -32,7 +32,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from dpsynth.llm.common import columns_of, cut, fresh, slices
+from dpsynth.llm.common import columns_of, cut, fresh, map_batches, slices
 
 SHINGLE, RADIUS = 3, 3
 #: Distinct fingerprints that a shard should hold, and beyond which it is cut.
@@ -85,7 +85,7 @@ def fingerprint(docs: DataFrame, shingle: int = SHINGLE) -> DataFrame:
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(fp)], ["doc_id", "row_hash", "fp"])
 
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64(F.col("text").cast("string")).alias("row_hash"), F.col("text").cast("string").alias("text"))
-    return rows.mapInArrow(run, "doc_id long, row_hash long, fp long")
+    return map_batches(rows, run, "doc_id long, row_hash long, fp long")
 
 
 def hamming(a: np.ndarray, b: np.ndarray) -> np.ndarray:
