@@ -40,3 +40,7 @@ def check(spark, odd, name):
 def test_sizes_follow_the_records(spark, odd):
     found = check(spark, odd, "d_sizes").set_index("marginal_id")
     assert found["n_r"][1] == 3 and found["n_met"][1] == 1 and found["n_met"][4] == 2
+
+
+def test_budgets_are_those_that_lines_ask_for(spark, odd):
+    assert check(spark, odd, "o_accounting")["agrees"].all()
