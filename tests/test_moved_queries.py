@@ -44,3 +44,8 @@ def test_sizes_follow_the_records(spark, odd):
 
 def test_budgets_are_those_that_lines_ask_for(spark, odd):
     assert check(spark, odd, "o_accounting")["agrees"].all()
+
+
+def test_cells_are_those_of_lines_empty_ones_too(spark, odd):
+    found = check(spark, odd, "o_udtf_cells")
+    assert len(found) == 12 and (found["cnt"][found["a"] > 0] == 0).all()
