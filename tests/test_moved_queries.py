@@ -49,3 +49,8 @@ def test_budgets_are_those_that_lines_ask_for(spark, odd):
 def test_cells_are_those_of_lines_empty_ones_too(spark, odd):
     found = check(spark, odd, "o_udtf_cells")
     assert len(found) == 12 and (found["cnt"][found["a"] > 0] == 0).all()
+
+
+def test_closures_of_the_customers_sets(spark, odd):
+    found = check(spark, odd, "o_udtf_closure").set_index("mask")["n"]
+    assert found[2] > found[1] >= found[3]
