@@ -54,3 +54,8 @@ def test_cells_are_those_of_lines_empty_ones_too(spark, odd):
 def test_closures_of_the_customers_sets(spark, odd):
     found = check(spark, odd, "o_udtf_closure").set_index("mask")["n"]
     assert found[2] > found[1] >= found[3]
+
+
+def test_pairs_of_lines_of_an_order(spark, odd):
+    found = check(spark, odd, "o_udtf_subsets").set_index(["a", "b"])["n"]
+    assert found.idxmax() == (0, 1) and (found > 0).all()
