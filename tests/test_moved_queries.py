@@ -59,3 +59,8 @@ def test_closures_of_the_customers_sets(spark, odd):
 def test_pairs_of_lines_of_an_order(spark, odd):
     found = check(spark, odd, "o_udtf_subsets").set_index(["a", "b"])["n"]
     assert found.idxmax() == (0, 1) and (found > 0).all()
+
+
+def test_support_follows_the_filled_cells(spark, odd):
+    found = set(check(spark, odd, "u_supported")["marginal_id"])
+    assert 2 in found and 1 not in found
