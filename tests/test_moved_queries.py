@@ -64,3 +64,8 @@ def test_pairs_of_lines_of_an_order(spark, odd):
 def test_support_follows_the_filled_cells(spark, odd):
     found = set(check(spark, odd, "u_supported")["marginal_id"])
     assert 2 in found and 1 not in found
+
+
+def test_variances_follow_the_releases(spark, odd):
+    found = check(spark, odd, "u_variance")
+    assert sorted(found["marginal_id"]) == [1, 2, *(1 << i for i in range(7, 15))]
