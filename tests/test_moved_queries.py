@@ -69,3 +69,8 @@ def test_support_follows_the_filled_cells(spark, odd):
 def test_variances_follow_the_releases(spark, odd):
     found = check(spark, odd, "u_variance")
     assert sorted(found["marginal_id"]) == [1, 2, *(1 << i for i in range(7, 15))]
+
+
+def test_workload_of_the_attributes_that_vary(spark, odd):
+    found = check(spark, odd, "w_all3")["marginal_id"]
+    assert len(found) > 0 and not (found & 1).any()
