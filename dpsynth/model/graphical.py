@@ -7,7 +7,9 @@ are bounded by the junction tree's size, whatever the number of records.
 
 from __future__ import annotations
 
+import os
 from collections.abc import Iterable, Sequence
+from concurrent.futures import ThreadPoolExecutor
 from dataclasses import dataclass
 
 import numpy as np
@@ -52,10 +54,32 @@ def _collapse(table: np.ndarray, clique: Subset, subset: Subset) -> np.ndarray:
     return table.sum(tuple(k for k, i in enumerate(clique) if i not in subset))
 
 
-def _log_collapse(table: np.ndarray, clique: Subset, subset: Subset) -> np.ndarray:
-    axes = tuple(k for k, i in enumerate(clique) if i not in subset)
-    top = table.max(axes, keepdims=True)
-    return np.log(np.exp(table - top).sum(axes)) + np.squeeze(top, axes)
+def _added(parts: list[tuple[np.ndarray, Subset]]) -> tuple[np.ndarray, Subset, bool]:
+    """Sum of tables over subsets, what subset it is over, and whether the table is a new one.  Tables
+    that lack an attribute meet in a smaller table first, so few additions are as large as the sum."""
+    if len(parts) == 1:
+        return *parts[0], False
+    size = {i: n for table, r in parts for i, n in zip(r, table.shape, strict=True)}
+    split = max((i for i in size if any(i not in r for _, r in parts)), key=lambda i: (size[i], i), default=None)
+    if split is None:
+        return sum(table for table, _ in parts), parts[0][1], True
+    one, r, _ = _added([x for x in parts if split not in x[1]])
+    out, s, new = _added([x for x in parts if split in x[1]])
+    every = tuple(sorted(size))
+    if new and s == every:
+        out += _spread(one, r, every)
+        return out, every, True
+    return _spread(out, s, every) + _spread(one, r, every), every, True
+
+
+def _exp(table: np.ndarray) -> None:
+    """In place; large tables on all cores, or as many as matrix products may use."""
+    cores = int(os.environ.get("OMP_NUM_THREADS") or os.cpu_count() or 1)
+    if cores == 1 or table.size < 1 << 20 or not table.flags.c_contiguous:
+        np.exp(table, out=table)
+        return
+    with ThreadPoolExecutor(cores) as pool:
+        list(pool.map(lambda part: np.exp(part, out=part), np.array_split(table.reshape(-1), cores)))
 
 
 class GraphicalModel:
@@ -67,6 +91,7 @@ class GraphicalModel:
         self.tree = JunctionTree.of(self.potentials, spec.sizes)
         self.homes = {r: self.tree.home(r, spec.sizes) for r in self.potentials}
         self._cache: dict[Subset, np.ndarray] = {}
+        self._sums: dict[tuple[int, Subset], np.ndarray] = {}
         self.calibrate()
 
     @property
@@ -74,26 +99,45 @@ class GraphicalModel:
         return sum(self.spec.size(c) for c in self.tree.cliques) * 8 / 2**20
 
     def calibrate(self) -> None:
-        """Clique marginals of mass ``total`` each."""
-        t, sizes = self.tree, self.spec.shape
-        belief = [np.zeros(sizes(c)) for c in t.cliques]
+        """Clique marginals of mass ``total`` each.  Messages go up in logarithms; on the way down a
+        clique's table is what it is given its separator, times the parent's marginal of that."""
+        t = self.tree
+        parts: list[list[tuple[np.ndarray, Subset]]] = [[] for _ in t.cliques]
         for r, v in self.potentials.items():
-            belief[self.homes[r]] += _spread(v, r, t.cliques[self.homes[r]])
-        up: dict[int, np.ndarray] = {}
-        shared = {k: tuple(i for i in t.cliques[k] if i in t.cliques[p]) for k, p in enumerate(t.parent) if p >= 0}
+            parts[self.homes[r]].append((v, r))
+        shared = [tuple(i for i in c if p >= 0 and i in t.cliques[p]) for c, p in zip(t.cliques, t.parent, strict=True)]
+        self.cliques, mass = [np.empty(0)] * len(t.cliques), [np.empty(0)] * len(t.cliques)
         for k in range(len(t.cliques) - 1, -1, -1):
+            clique, belief = t.cliques[k], np.zeros(self.spec.shape(t.cliques[k]))
+            if parts[k]:
+                table, r, new = _added(parts[k])
+                belief = table if new and r == clique else belief + _spread(table, r, clique)
+            axes = tuple(x for x, i in enumerate(clique) if i not in shared[k])
+            top = belief.max(axes, keepdims=True)
+            belief -= top
+            _exp(belief)
+            mass[k], self.cliques[k] = belief.sum(axes, keepdims=True), belief
             if t.parent[k] >= 0:
-                up[k] = _log_collapse(belief[k], t.cliques[k], shared[k])
-                belief[t.parent[k]] += _spread(up[k], shared[k], t.cliques[t.parent[k]])
+                parts[t.parent[k]].append((np.squeeze(np.log(mass[k]) + top, axes), shared[k]))
+        self._cache, self._sums = {}, {}
         for k, p in enumerate(t.parent):
-            if p >= 0:
-                down = _log_collapse(belief[p], t.cliques[p], shared[k]) - up[k]
-                belief[k] += _spread(down, shared[k], t.cliques[k])
-        self.cliques = []
-        for b in belief:
-            b = np.exp(b - b.max())
-            self.cliques.append(b * (self.total / b.sum()))
-        self._cache = {}
+            whole = _spread(self._inside(p, shared[k]), shared[k], t.cliques[k]) if p >= 0 else self.total
+            self.cliques[k] *= whole / mass[k]
+
+    def _inside(self, at: int, subset: Subset) -> np.ndarray:
+        """Marginal of a subset of a clique, by sums over one attribute that other subsets share."""
+        clique = self.tree.cliques[at]
+        if subset == clique:
+            return self.cliques[at]
+        if (at, subset) not in self._sums:
+            i = min((i for i in clique if i not in subset), key=lambda i: (self.spec.attrs[i].size, i))
+            wider = tuple(sorted((*subset, i)))
+            self._sums[at, subset] = self._inside(at, wider).sum(wider.index(i))
+        return self._sums[at, subset]
+
+    def forget(self) -> None:
+        """Give back what ``_inside`` holds; marginals that were asked for stay."""
+        self._sums = {}
 
     def marginal(self, subset: Sequence[int]) -> np.ndarray:
         """Mass of every cell of a subset, as a vector in the order of the (sorted) subset."""
@@ -105,7 +149,7 @@ class GraphicalModel:
     def _marginal(self, subset: Subset) -> np.ndarray:
         at = self.tree.home(subset, self.spec.sizes)
         if at >= 0:
-            return _collapse(self.cliques[at], self.tree.cliques[at], subset)
+            return self._inside(at, tuple(sorted(subset)))
         # product of conditionals over the part of each tree that the subset reaches
         part, roots = self._reach(subset), {}
         for k in part:
@@ -148,12 +192,14 @@ class GraphicalModel:
         t, wanted = self.tree, set(subset)
         factors: list[tuple[np.ndarray, Subset]] = []
         for n, k in enumerate(ks):
-            table = self.cliques[k]
-            if n and t.parent[k] in ks:
-                sep = tuple(i for i in t.cliques[k] if i in t.cliques[t.parent[k]])
-                below = _collapse(table, t.cliques[k], sep)
-                table = table / _spread(np.where(below > 0, below, 1.0), sep, t.cliques[k])
-            factors.append((table, t.cliques[k]))
+            sep = tuple(i for i in t.cliques[k] if i in t.cliques[t.parent[k]]) if n and t.parent[k] in ks else ()
+            near = {i for c in ks if t.parent[c] == k for i in t.cliques[c]}
+            names = tuple(i for i in t.cliques[k] if i in wanted or i in sep or i in near)
+            table = self._inside(k, names)
+            if sep:
+                below = self._inside(k, sep)
+                table = table / _spread(np.where(below > 0, below, 1.0), sep, names)
+            factors.append((table, names))
         drop = {i for _, c in factors for i in c} - wanted
         while drop:
             i = min(drop, key=lambda x: self.spec.size({j for _, c in factors if x in c for j in c}))

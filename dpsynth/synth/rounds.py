@@ -127,6 +127,8 @@ class Loop:
         t = self.transcript
         t.seen |= {c: (number, model) for c in pool}
         before = model.marginal(r)
+        if hasattr(model, "forget"):
+            model.forget()
         t.answers[number] = (y.values, before)
         moved = float(np.abs(self.model.marginal(r) - before).sum())
         anneal = cfg.rounds == "adaptive" and not self.last and moved <= self.noise_mean * self.sigma * self.unit * self.spec.size(r)

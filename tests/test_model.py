@@ -124,3 +124,21 @@ def test_mixture_gradient():
 def test_relaxed_fit_falls(measured):
     few, many = (fit_relaxed(measured, SPEC, 50, n) for n in (1, 200))
     assert isinstance(many, MixtureModel) and many.loss < 0.1 * few.loss
+
+
+def test_marginals_share_sums_and_meet_brute_force():
+    """Calibration and marginals within and across cliques against the whole table, in few large sums."""
+    spec, rng = DomainSpec.from_sizes([3, 4, 2, 5, 3, 2]), np.random.default_rng(3)
+    sets = [(0, 1), (1, 2, 3), (0, 3), (3, 4), (1,), (5,)]
+    logs = {r: rng.normal(0, 30, spec.shape(r)) for r in sets}
+    whole = sum(v.reshape([n if i in r else 1 for i, n in enumerate(spec.sizes)]) for r, v in logs.items())
+    whole = np.exp(whole - whole.max())
+    whole *= 100 / whole.sum()
+    model = g.GraphicalModel(spec, 100.0, logs)
+    for k in (1, 2, 3, 4):
+        for r in itertools.combinations(range(6), k):
+            want = whole.sum(tuple(i for i in range(6) if i not in r)).ravel()
+            assert np.allclose(model.marginal(r), want, atol=1e-9)
+    assert 0 < len(model._sums)
+    model.forget()
+    assert not model._sums
